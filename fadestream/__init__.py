@@ -1,0 +1 @@
+"""Clustering of unbounded batches whose distribution may change abruptly, on DataFrames."""
