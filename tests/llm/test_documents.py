@@ -1,0 +1,473 @@
+"""The operators against brute force, on hand-made edge cases and on the small documents table."""
+
+import hashlib
+import random
+import re
+import zlib
+
+import numpy as np
+import pytest
+import xxhash
+from pyspark.sql import functions as F
+from pyspark.sql import types as T
+
+from fadestream.llm import exact_dedup as ed
+from fadestream.llm import simhash as sh
+from fadestream.llm.components import components
+from fadestream.llm.line_dedup import line_dedup
+from fadestream.llm.mixing import LEVELS, mix, token_count
+from fadestream.llm.pii import BASE, KINDS, features_of, labelled_candidates, personal_data, trained
+from fadestream.llm.quality import NAMES, held_out, quality_scores, statistics
+from fadestream.llm.sharding import shard
+from fadestream.llm.substring_dedup import runs, sentences, substring_dedup
+from fadestream.llm.winnowing import TestBlock, contamination, drop_contaminated, words_of
+
+BLANK = re.compile(r"[\x20\x09-\x0D]")
+DOC = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("text", T.StringType()), T.StructField("lang", T.StringType()), T.StructField("source", T.StringType())])
+
+
+def table(spark, texts, start=0):
+    rows = [(i + start, t, "en", f"src{i % 3}") for i, t in enumerate(texts)]
+    return spark.createDataFrame(rows, DOC)
+
+
+EDGE = [
+    "One two three four five six seven eight nine ten eleven twelve. Another sentence follows it here now.",
+    "",
+    None,
+    "   \n\t ",
+    "x",
+    "One two three four five six seven eight nine ten eleven twelve. Another sentence follows it here now.",
+    "Onetwo threefour five six seven eight nine ten eleven twelve. Another sentence follows it here now.",
+    "é🙂 naïve\ncafé\nnaïve café 🙂",
+    "word " * 30_000,
+    "a.b@c.de 1.2.3.4 +1 (212) 555-0100 4111 1111 1111 1111 é🙂 x@y.z",
+]
+
+
+@pytest.fixture(scope="module")
+def edge(spark):
+    return table(spark, EDGE).withColumn("slot", F.lit("own")).withColumn("__row", F.lit(1)).withColumn("key", F.lit(2)).withColumn("rank", F.lit(3))
+
+
+@pytest.fixture(scope="module")
+def empty(spark):
+    return table(spark, [])
+
+
+@pytest.fixture(scope="module")
+def docs(spark, sf_dir):
+    return spark.read.parquet(f"{sf_dir}/documents.parquet")
+
+
+@pytest.fixture(scope="module")
+def rows(docs):
+    return [(r["doc_id"], r["text"]) for r in docs.select("doc_id", "text").collect()]
+
+
+def brute_exact(rows):
+    groups = {}
+    for i, t in rows:
+        groups.setdefault(BLANK.sub("", t or ""), []).append((-len(t or ""), i))
+    out = {}
+    for bare, members in groups.items():
+        keep = min(members)[1]
+        for _, i in members:
+            out[i] = (keep, len(members), i == keep, hashlib.sha256(bare.encode()).hexdigest())
+    return out
+
+
+@pytest.mark.parametrize("digest", [ed.sha256, lambda c: F.substring(F.sha2(c, 256), 1, 1)], ids=["sha256", "colliding"])
+def test_exact_dedup_equals_brute_force(spark, edge, docs, rows, digest):
+    for df, data in ((edge, list(enumerate(EDGE))), (docs, rows)):
+        got = {r["doc_id"]: (r["keep_id"], r["group_size"], r["kept"]) for r in ed.exact_dedup(df, digest).collect()}
+        assert got == {k: v[:3] for k, v in brute_exact(data).items()}
+
+
+def test_exact_dedup_repeated_rows_and_null_ids(spark):
+    df = spark.createDataFrame([(1, "a"), (1, "a"), (None, "a"), (2, "b"), (None, None)], "doc_id long, text string")
+    out = ed.exact_dedup(df).collect()
+    assert len(out) == 5
+    assert sum(r["kept"] for r in out if r["keep_id"] == 1) == 1
+    assert sum(r["kept"] for r in out) == 3
+
+
+def test_empty_tables(spark, empty):
+    labels = spark.createDataFrame([], "doc_id long, quality int")
+    bench = spark.createDataFrame([], "item_id long, text string")
+    for out in (
+        ed.exact_dedup(empty), sh.simhash_classes(empty), sh.near_duplicates(empty), sh.drop_near_duplicates(empty), substring_dedup(empty), line_dedup(empty), shard(empty), mix(empty),
+        contamination(empty, bench), quality_scores(empty, labels), personal_data(empty),
+    ):
+        assert out.collect() == []
+
+
+def brute_print(text, k):
+    words = re.findall(r"[^\x20\x09-\x0D]+", "".join(c.lower() if "A" <= c <= "Z" else c for c in text or ""))
+    if not words:
+        return 0
+    parts = [" ".join(words[i : i + k]) for i in range(max(1, len(words) - k + 1))]
+    hashes = [xxhash.xxh64_intdigest(p.encode(), 42) for p in parts]
+    return sum((sum(h >> b & 1 for h in hashes) * 2 > len(hashes)) << b for b in range(64))
+
+
+def brute_classes(prints, threshold):
+    ids = sorted(prints)
+    root = {i: i for i in ids}
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for a in ids:
+        for b in ids:
+            if a < b and (prints[a] ^ prints[b]).bit_count() <= threshold:
+                x, y = find(a), find(b)
+                root[max(x, y)] = min(x, y)
+    return {i: find(i) for i in ids}
+
+
+def test_simhash_equals_brute_force(edge, docs, rows):
+    for df, data in ((edge, [(i, t) for i, t in enumerate(EDGE) if i != 8]), (docs, rows[:60] + rows[-60:])):
+        out = {r["doc_id"]: r for r in sh.simhash_classes(df).collect()}
+        for i, t in data:
+            assert out[i]["fp"] & (2**64 - 1) == brute_print(t, 3)
+        prints = {i: r["fp"] & (2**64 - 1) for i, r in out.items()}
+        assert {i: r["component_id"] for i, r in out.items()} == brute_classes(prints, 2)
+
+
+@pytest.mark.parametrize("threshold", [1, 2, 3])
+@pytest.mark.parametrize("n", [50, 40_000, 10**9])
+def test_anchors_miss_no_pair(threshold, n):
+    rng = np.random.default_rng(threshold)
+    blocks = sh.block_lengths(n, 64, (threshold + 1) // 2)
+    assert sum(blocks) == 64
+    base = rng.integers(0, 2**63, 300, dtype=np.uint64)
+    other = base.copy()
+    for i in range(len(base)):
+        for bit in rng.choice(64, threshold, replace=False):
+            other[i] ^= np.uint64(1) << np.uint64(bit)
+    reach = (threshold + 1) // 2
+    sets = []
+    for values in (base, other):
+        at, anchor = sh.anchors_of(values, blocks, reach)
+        sets.append([set(anchor[at == i].tolist()) for i in range(len(values))])
+    assert all(a & b for a, b in zip(*sets, strict=True))
+
+
+def test_forest_and_leaders():
+    rng = np.random.default_rng(3)
+    centre = rng.integers(0, 2**63, 6, dtype=np.uint64)
+    fps = np.unique(np.concatenate([centre, *[centre ^ (np.uint64(1) << np.uint64(b)) for b in (3, 9, 30)]]))
+    a, b = sh.forest(fps, 2)
+    assert len(a) == len(fps) - 6
+    heads, followers = sh.leaders(fps, 2)
+    assert set(heads.tolist()) == set(centre.tolist()) and len(followers) == len(fps) - 6
+
+
+def test_components_of_chains_and_stars(spark):
+    rng = random.Random(1)
+    links = [(i, i + 1) for i in range(100)] + [(200, i) for i in range(201, 260)] + [(300, 301), (301, 301), (301, 300)]
+    rng.shuffle(links)
+    out = {r["node"]: r["root"] for r in components(spark.createDataFrame(links, "a long, b long"), "a", "b").collect()}
+    assert out == {i: 0 for i in range(101)} | {i: 200 for i in range(200, 260)} | {300: 300, 301: 300}
+
+
+def shingles(t, k=5):
+    w = (t or "").lower().split()
+    return {tuple(w[i : i + k]) for i in range(max(1, len(w) - k + 1))} if w else set()
+
+
+def test_near_copies_of_any_size_are_found(spark):
+    rng = random.Random(7)
+    words = ["".join(rng.choices("abcdefghij", k=rng.randint(2, 7))) for _ in range(900)]
+    texts = []
+    for g in range(30):
+        base = rng.choices(words, k=rng.choice([60, 200, 500]))
+        texts.append(" ".join(base))
+        for _ in range(rng.randint(1, 6)):
+            edited = list(base)
+            for at in rng.sample(range(len(base)), max(1, len(base) // 60)):
+                edited[at] = rng.choice(words)
+            texts.append(" ".join(edited))
+    df = table(spark, texts)
+    out = {r["doc_id"]: r["component_id"] for r in sh.near_duplicates(df).collect()}
+    sets = [shingles(t) for t in texts]
+    pairs = [(a, b) for a in range(len(texts)) for b in range(a) if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])]
+    joined = sum(out[a] == out[b] for a, b in pairs)
+    assert joined >= 0.97 * len(pairs)
+    for a in range(len(texts)):
+        assert out[a] <= a and (out[a] == a or sets[a] & sets[out[a]])
+    kept = {r["doc_id"] for r in sh.drop_near_duplicates(df).collect()}
+    assert kept == {i for i in out if out[i] == i}
+
+
+def brute_hits(words, items):
+    marks, found = [False] * len(words), set()
+    for item, item_words in items:
+        n = min(10, len(item_words))
+        windows = {tuple(item_words[i : i + n]) for i in range(len(item_words) - n + 1)} if n else set()
+        for i in range(len(words) - n + 1 if n else 0):
+            if tuple(words[i : i + n]) in windows:
+                found.add(item)
+                marks[i : i + n] = [True] * n
+    return sum(marks), found
+
+
+def test_contamination_equals_brute_force(spark, docs, rows, sf_dir):
+    bench = spark.read.parquet(f"{sf_dir}/benchmark.parquet").select("item_id", "text")
+    extra = spark.createDataFrame([(9001, "the of"), (9002, ""), (9003, None), (9004, "Naïve CAFÉ"), (9005, "the")], "item_id long, text string")
+    for items_df, block in ((bench.union(extra), 10**6), (bench.union(extra), 300), (bench, 10**6)):
+        items = [(r["item_id"], words_of(r["text"])) for r in items_df.collect()]
+        got = {r["doc_id"]: r for r in contamination(docs.limit(10**9), items_df, block).collect()}
+        for i, t in rows[:80]:
+            hit, found = brute_hits(words_of(t), items)
+            names = sorted(map(str, found))
+            assert (got[i]["n_words"], got[i]["n_hit"], got[i]["n_items"], got[i]["contaminated"]) == (len(words_of(t)), hit, len(found), hit > 0)
+            assert got[i]["items_sha256"] == hashlib.sha256(",".join(names).encode()).hexdigest()
+    kept = {r["doc_id"] for r in drop_contaminated(docs, bench).collect()}
+    assert kept == {i for i, r in got.items() if not r["contaminated"]}
+
+
+def test_winnowing_finds_every_shared_run():
+    rng = random.Random(4)
+    item = [f"w{rng.randint(0, 30)}".encode() for _ in range(60)]
+    block = TestBlock([(1, item)])
+    for _ in range(200):
+        n, at = rng.randint(8, 14), rng.randint(0, 46)
+        text = [f"z{rng.randint(0, 50)}".encode() for _ in range(rng.randint(0, 20))] + item[at : at + n] + [f"z{rng.randint(0, 50)}".encode() for _ in range(rng.randint(0, 20))]
+        marks, found = block.scan(text)
+        assert (marks.sum(), found) == brute_hits(text, [(1, item)])
+
+
+def test_words_are_those_of_the_pattern():
+    text = "Ab-9 ÄÖ ß\x7f\x00x_y`z{é}🙂  q"
+    lowered = "".join(c.lower() if "A" <= c <= "Z" else c for c in text)
+    assert words_of(text) == [w.encode() for w in re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", lowered)]
+
+
+def brute_spans(text):
+    t = text or ""
+    out = []
+    for m in re.finditer(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", t):
+        out.append((m.start(), 0, m.end()))
+    for m in re.finditer(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", t):
+        if all(int(p) <= 255 for p in m.group().split(".")):
+            out.append((m.start(), 1, m.end()))
+    for m in re.finditer(r"[0-9]([\x20-]?[0-9])+", t):
+        d = re.sub(r"[^0-9]", "", m.group())
+        total = sum(sum(divmod(2 * int(c), 10)) if i % 2 else int(c) for i, c in enumerate(reversed(d)))
+        if 12 <= len(d) <= 19 and total % 10 == 0:
+            out.append((m.start(), 2, m.end()))
+    for m in re.finditer(r"\+[0-9][\x20().0-9-]+[0-9]", t):
+        if 9 <= len(re.sub(r"[^0-9]", "", m.group())) <= 15:
+            out.append((m.start(), 3, m.end()))
+    return sorted(out)
+
+
+def test_personal_data_base_equals_brute_force(spark, docs, rows):
+    odd = [*EDGE, "1.2.3.4.5 256.1.1.1 010.1.1.00001 +12 345 +1 2345678 90", "a@b a@b.c.d_e@f.g @x.y a@b..c", "9" * 5000, "4111-1111-1111-1111 4111 1111 1111 1112", "1.2.3." * 50, "🙂 a@b.co " * 40]
+    for df, data in ((table(spark, odd), list(enumerate(odd))), (docs, rows)):
+        for r in personal_data(df).collect():
+            spans = brute_spans(dict(data)[r["doc_id"]])
+            listed = [f"{list(BASE)[k]}:{s}:{e}" for s, k, e in spans]
+            assert [r[f"n_{k}"] for k in BASE] == [sum(x[1] == i for x in spans) for i in range(4)]
+            assert r["base_sha256"] == hashlib.sha256(",".join(listed).encode()).hexdigest()
+            assert set(listed) <= set(r["spans"].split(",")) | {""}
+
+
+def test_boosted_candidates(spark):
+    texts = [
+        'the token = "24be64439e3e49cf46b2d7c90f3602a3d0b907ff" is kept',
+        "call phone 212-555-0187 now, ssn 078-05-1120",
+        "commit 24be64439e3e49cf46b2d7c90f3602a3d0b907ff landed",
+        "order 212-555-0187 and part 078-05-1120",
+        "write to jane.doe [at] example [dot] com soon",
+        "antidisestablishmentarianism floccinaucinihilipilification",
+    ]
+    got = {r["doc_id"]: r["spans"] for r in personal_data(table(spark, texts)).collect()}
+    assert got[0].startswith("secret:11:") and got[2] == "" and got[3] == "" and got[5] == ""
+    assert "local_phone:11:23" in got[1] and "national_id" in got[1]
+    assert got[4].startswith("spelt_email:9:")
+
+
+def test_boosting_is_calibrated_on_fresh_candidates():
+    x, y = labelled_candidates(3000, 99)
+    p = trained().probability(x)
+    assert ((p > 0.5) == (y > 0.5)).mean() > 0.93
+    assert y[p >= 0.9].mean() > 0.93
+    assert len(features_of("secret", "abc", "")) == x.shape[1] and len(KINDS) == 9
+
+
+def brute_lines(rows, m=2):
+    order, seen, gone = sorted(rows), set(), {}
+    seqs = {i: [(n, x.rstrip(" ")) for n, x in enumerate((t or "").split("\n")) if x.strip(" ")] if t is not None else [] for i, t in order}
+    for i, _ in order:
+        seq = seqs[i]
+        for p in range(len(seq) - m + 1):
+            run = tuple(x for _, x in seq[p : p + m])
+            if run in seen:
+                gone.setdefault(i, set()).update(n for n, _ in seq[p : p + m])
+            seen.add(run)
+    return {i: (None if t is None else "\n".join(x for n, x in enumerate(t.split("\n")) if n not in gone.get(i, ())), len(seqs[i]), len(gone.get(i, ()))) for i, t in rows}
+
+
+@pytest.mark.parametrize("m", [1, 2, 3, 5])
+def test_line_dedup_equals_brute_force(spark, m):
+    rng = random.Random(m)
+    texts = ["\n".join(rng.choice(["a", "b", "c ", "", "dd"]) for _ in range(rng.randint(0, 14))) for _ in range(60)] + [None, "", "\n\n"]
+    got = {r["doc_id"]: (r["text"], r["n_lines"], r["n_removed"]) for r in line_dedup(table(spark, texts), m).collect()}
+    assert got == brute_lines(list(enumerate(texts)), m)
+
+
+def test_line_dedup_on_documents(docs, rows):
+    got = {r["doc_id"]: (r["text"], r["n_lines"], r["n_removed"]) for r in line_dedup(docs).collect()}
+    assert got == brute_lines(rows)
+
+
+def brute_substring(rows):
+    seen, out = {}, {}
+    for i, t in sorted(rows, key=lambda r: r[0]):
+        for a, b, h in runs(sentences(t), 2, 20) if t else []:
+            seen.setdefault(h, (i, a))
+    for i, t in rows:
+        pieces = sentences(t) if t else []
+        gone = {k for a, b, h in (runs(pieces, 2, 20) if t else []) if seen[h] != (i, a) for k in range(a, b) if pieces[k].strip()}
+        out[i] = ("".join(p for k, p in enumerate(pieces) if k not in gone) if gone else t, len(gone))
+    return out
+
+
+def test_substring_dedup_equals_brute_force(docs, rows, edge):
+    for df, data in ((docs, rows), (edge, list(enumerate(EDGE)))):
+        got = {r["doc_id"]: (r["text"], r["n_removed"]) for r in substring_dedup(df).collect()}
+        assert got == brute_substring(data)
+
+
+def test_repeated_passages_leave_one_copy(spark):
+    rng = random.Random(2)
+    word = lambda: "".join(rng.choices("abcdefgh", k=rng.randint(3, 8)))
+    say = lambda n: (" ".join(word() for _ in range(n)) + ".").capitalize()
+    passage = " ".join(say(rng.randint(8, 14)) for _ in range(6))
+    texts = [f"{say(9)} {say(30)} {passage} {say(12)} {say(11)}" for _ in range(12)]
+    out = {r["doc_id"]: r for r in substring_dedup(table(spark, texts)).collect()}
+    assert out[0]["n_removed"] == 0 and out[0]["text"] == texts[0]
+    for i in range(1, 12):
+        assert passage not in out[i]["text"] and out[i]["n_removed"] == 6
+        assert out[i]["text"].startswith(texts[i][:40])
+
+
+def test_sentences_make_up_the_text():
+    for t in ("A b. C d!  E\n\nf", "no end", ". . .", "\n"):
+        assert "".join(sentences(t)) == t
+
+
+def check_shards(out, n):
+    load = {}
+    for r in out:
+        load.setdefault(r["shard"], []).append(r)
+    for s, members in load.items():
+        assert 0 <= s < n and sorted(r["slot"] for r in members) == list(range(len(members)))
+    return load
+
+
+def test_shards_are_even_whole_and_gapless(spark, edge):
+    rng = random.Random(5)
+    texts = ["w" * rng.randint(1, 900) + str(rng.random()) for _ in range(4000)] + ["copy " * 20] * 400 + ["huge " * 4000] * 60
+    rng.shuffle(texts)
+    out = shard(table(spark, texts), 8).collect()
+    assert len(out) == len(texts)
+    load = check_shards(out, 8)
+    sizes = [sum(r["size"] for r in m) for m in load.values()]
+    assert max(sizes) <= 1.05 * sum(sizes) / 8
+    assert len({r["shard"] for r in out if r["text"].startswith("copy")}) == 1
+    for r in out[:200]:
+        assert r["size"] == len(r["text"].encode()) + 1 and r["text_crc32"] == zlib.crc32(r["text"].encode())
+    small = shard(edge, 4)
+    assert small.columns.count("slot") == 1 and {"__row", "key", "rank"} <= set(small.columns)
+    check_shards(small.collect(), 4)
+
+
+def brute_mix(rows, share, epochs, weights, seed=17):
+    leaves, info = {}, {}
+    for i, t, lang, source in rows:
+        leaf = (str(zlib.crc32((source or "none").encode()) % 4), lang or "none", source or "none")
+        n = len(re.findall(r"[^\x20\x09-\x0D]+", t or ""))
+        info[i] = (leaf, n)
+        leaves[leaf] = leaves.get(leaf, 0) + n
+    target = int(sum(leaves.values()) * share)
+
+    def deal(children, amount):
+        got = dict.fromkeys(children, 0.0)
+        open_, left = set(children), amount
+        while open_:
+            total = sum(children[c][0] for c in open_)
+            short = [c for c in open_ if left * children[c][0] / total >= children[c][1]]
+            if not short:
+                return got | {c: left * children[c][0] / total for c in open_}
+            for c in short:
+                got[c] = children[c][1]
+                left -= children[c][1]
+                open_.discard(c)
+        return got
+
+    def down(prefix, amount):
+        depth = len(prefix)
+        if depth == 3:
+            return {prefix: amount}
+        children = {}
+        for leaf, n in leaves.items():
+            if leaf[:depth] == prefix:
+                w = weights[LEVELS[depth]].get(leaf[depth], 1.0)
+                children[leaf[: depth + 1]] = (w, children.get(leaf[: depth + 1], (w, 0))[1] + n * epochs)
+        out = {}
+        for child, a in deal(children, amount).items():
+            out |= down(child, a)
+        return out
+
+    budget = {k: int(v + 1e-6) for k, v in down((), min(target, sum(leaves.values()) * epochs)).items()}
+    copies = {}
+    for leaf, total in leaves.items():
+        whole = budget[leaf] // total if total else 0
+        left, run = budget[leaf] - whole * total, 0
+        members = sorted((hashlib.md5(f"{seed}:{whole}:{i}".encode()).hexdigest(), i) for i, (x, _) in info.items() if x == leaf)
+        for _, i in members:
+            run += info[i][1]
+            copies[i] = min(whole + (run <= left), epochs)
+    return copies, budget
+
+
+@pytest.mark.parametrize(("share", "epochs"), [(0.8, 2), (0.5, 1), (1.0, 1), (3.0, 2)])
+def test_mixing_equals_brute_force(docs, share, epochs):
+    from fadestream.llm.mixing import WEIGHTS
+
+    rows = [(r["doc_id"], r["text"], r["lang"], r["source"]) for r in docs.collect()]
+    copies, budget = brute_mix(rows, share, epochs, WEIGHTS)
+    out = mix(docs, share=share, max_epochs=epochs).collect()
+    assert {r["doc_id"]: r["copies"] for r in out} == copies
+    assert all(r["budget"] == budget[tuple(r[x] for x in LEVELS)] for r in out)
+
+
+def test_token_count(spark):
+    got = table(spark, EDGE).select("doc_id", token_count(F.coalesce("text", F.lit(""))).alias("n")).collect()
+    assert {r["doc_id"]: r["n"] for r in got} == {i: len((t or "").split()) for i, t in enumerate(EDGE)}
+
+
+def test_quality_on_held_out_labels(spark, sf_dir):
+    sf = sf_dir.replace("sf0.001", "sf0.01")
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    out = quality_scores(docs, labels)
+    assert out.count() == docs.count()
+    rows = out.where("held_out").join(labels, "doc_id").select("score", "quality", "predicted").collect()
+    good = [r["score"] for r in rows if r["quality"] == 1]
+    bad = [r["score"] for r in rows if r["quality"] == 0]
+    assert np.mean([g > b for g in good for b in bad]) > 0.98
+    assert np.mean([r["predicted"] == r["quality"] for r in rows]) > 0.95
+    ids = docs.select("doc_id", held_out().alias("h")).collect()
+    assert all(r["h"] == (zlib.crc32(str(r["doc_id"]).encode()) % 4 == 2) for r in ids)
+
+
+def test_quality_without_labels_and_with_edge_texts(spark, edge):
+    labels = spark.createDataFrame([(0, 1)], "doc_id long, quality int")
+    assert {r["score"] for r in quality_scores(edge, labels).collect()} == {0.5}
+    assert all(np.isfinite(statistics((t or "").encode())).all() and len(statistics((t or "").encode())) == len(NAMES) for t in EDGE)
