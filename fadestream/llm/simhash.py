@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Stored, key_filter
+from .common import Stored, key_filter, slices
 from .components import components
 
 #: Shingles whose bits are unpacked at once (64 bytes each).
@@ -76,7 +76,7 @@ def fingerprints(docs: DataFrame, k: int = 3, seed: int = 42) -> DataFrame:
     """doc_id, fp (long, the 64 bits as a signed number)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches):
             lists = [shingle_hashes(t, k, seed) if t else [] for t in b.column(1).cast(pa.binary()).to_pylist()]
             sizes = np.array([len(x) for x in lists], dtype=np.int64)
             flat = np.fromiter((h for x in lists for h in x), dtype=np.uint64, count=int(sizes.sum()))
@@ -255,10 +255,12 @@ def _texts(docs: DataFrame) -> DataFrame:
     """doc_id, key (128-bit hash of the lower-cased words), fps."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            words = [(t or b"").lower().split() for t in b.column(1).cast(pa.binary()).to_pylist()]
-            keys = [xxhash.xxh3_128_digest(b" ".join(w)) for w in words]
-            fps = [word_families(w).view(np.int64) for w in words]
+        for b in slices(batches):
+            keys, fps = [], []
+            for t in b.column(1).cast(pa.binary()).to_pylist():
+                words = (t or b"").lower().split()
+                keys.append(xxhash.xxh3_128_digest(b" ".join(words)))
+                fps.append(word_families(words).view(np.int64))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(keys, pa.binary()), pa.array(fps, pa.list_(pa.int64()))], names=["doc_id", "key", "fps"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
@@ -269,7 +271,7 @@ def _shingled(docs: DataFrame) -> DataFrame:
     """key, sh (the set of shingle hashes)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches):
             keys, sets = [], []
             for t in b.column(0).cast(pa.binary()).to_pylist():
                 keys.append(xxhash.xxh3_128_digest(b" ".join((t or b"").lower().split())))
