@@ -3,12 +3,12 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -73,11 +73,25 @@ def text_of(col: str = "text") -> Column:
     return F.coalesce(F.col(col), F.lit(""))
 
 
+def tidy() -> None:
+    """Give freed memory back to the system: idle workers live on and would keep what their largest texts took."""
+    pa.default_memory_pool().release_unused()
+    ctypes.CDLL(None).malloc_trim(0)
+
+
 def slices(batches: Iterator[pa.RecordBatch], rows: int = 256) -> Iterator[pa.RecordBatch]:
     """The same rows in small parts, so what a worker makes of them stays small however many texts come at once."""
     for b in batches:
         for lo in range(0, b.num_rows, rows):
             yield b.slice(lo, rows)
+        del b
+        tidy()
+
+
+def each(texts: pa.Array, rows: int = 256) -> Iterator[str | None]:
+    """The values of an Arrow column one by one, a few in memory at a time."""
+    for lo in range(0, len(texts), rows):
+        yield from texts.slice(lo, rows).to_pylist()
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -106,9 +120,9 @@ def key_filter(keys: DataFrame, count: int) -> Callable[..., Column]:
         whole |= np.frombuffer(row[0], dtype=np.uint8)
     probe = keys.sparkSession.sparkContext.broadcast(whole)
 
-    @F.pandas_udf("boolean")
-    def passes(key: pd.Series) -> pd.Series:
-        at = key.to_numpy() & (bits - 1)
-        return pd.Series((probe.value[at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1 == 1)
+    @F.arrow_udf("boolean")
+    def passes(key: pa.Array) -> pa.Array:
+        at = key.to_numpy(zero_copy_only=False) & (bits - 1)
+        return pa.array((probe.value[at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1 == 1)
 
     return lambda *cols: passes(F.xxhash64(*cols))

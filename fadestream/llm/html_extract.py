@@ -12,6 +12,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from .common import slices
 from .page_model import main_texts, trained
 
 #: Pages whose messages pass together, and characters of html among them.
@@ -23,7 +24,7 @@ def main_content(pages: DataFrame) -> DataFrame:
     weights = pages.sparkSession.sparkContext.broadcast(trained())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches):
             sources = [x or "" for x in b.column(2).to_pylist()]
             texts: list[str] = []
             lo = 0

@@ -19,13 +19,12 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import Stored
+from .common import Stored, each, slices, tidy
 
 #: Largest number of labelled rows that the fit sees.
 MAX_FIT = 200_000
@@ -80,7 +79,7 @@ def features(docs: DataFrame) -> DataFrame:
     """doc_id, x (array of len(NAMES) doubles)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches):
             rows = [statistics(t or b"") for t in b.column(1).cast(pa.binary()).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(rows, pa.list_(pa.float64()))], names=["doc_id", "x"])
 
@@ -171,11 +170,11 @@ def quality_scores(docs: DataFrame, labels: DataFrame, max_fit: int = MAX_FIT) -
     stats = Stored(features(docs), "stats").df
     model = docs.sparkSession.sparkContext.broadcast(train(stats, labels, max_fit))
 
-    @F.pandas_udf("double")
-    def score(x: pd.Series) -> pd.Series:
+    @F.arrow_udf("double")
+    def score(x: pa.Array) -> pa.Array:
         if model.value is None or not len(x):
-            return pd.Series(np.full(len(x), 0.5))
-        return pd.Series(model.value.score(np.array(x.tolist())))
+            return pa.array(np.full(len(x), 0.5))
+        return pa.array(model.value.score(np.asarray(x.flatten()).reshape(len(x), -1)))
 
     out = stats.select("doc_id", held_out().alias("held_out"), score("x").alias("score"))
     return out.withColumn("predicted", (F.col("score") >= CUT).cast("int"))
@@ -186,10 +185,12 @@ def reject_low_quality(docs: DataFrame, labels: DataFrame, max_fit: int = MAX_FI
     stats = Stored(features(docs), "stats").df
     model = docs.sparkSession.sparkContext.broadcast(train(stats, labels, max_fit))
 
-    @F.pandas_udf("double")
-    def score(text: pd.Series) -> pd.Series:
+    @F.arrow_udf("double")
+    def score(text: pa.Array) -> pa.Array:
         if model.value is None or not len(text):
-            return pd.Series(np.ones(len(text)))
-        return pd.Series(model.value.score(np.array([statistics((t or "").encode("utf-8", "surrogatepass")) for t in text])))
+            return pa.array(np.ones(len(text)))
+        out = pa.array(model.value.score(np.array([statistics(t or b"") for t in each(text.cast(pa.binary()))])))
+        tidy()
+        return out
 
     return docs.where(score("text") >= CUT)

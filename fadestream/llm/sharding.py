@@ -3,7 +3,7 @@ r"""Sharding by sampled splitters: size-weighted key samples, quantile boundarie
 The key of a record is (hash of its text, hash of its id), so equal texts are neighbours. A Poisson sample in which a
 record's chance grows with its bytes gives the key quantiles; records are counted exactly by range, and a range that is
 overfull is subdivided by the id hash. Whole ranges are dealt to the shards, largest first to the least filled. Copies of
-one text stay in one range, hence one shard, unless their range is itself larger than a share. Counts by range are the only
+one text go to one shard, unless they are more than a share by themselves. Counts by range are the only
 thing the driver sees: their number is a parameter.
 
 Results for odd input: null text has size 1 and checksum 0; an empty table gives no rows; repeated rows get slots of their
@@ -12,8 +12,11 @@ own; a null id is a key like any other; columns named like the new ones are repl
 
 from __future__ import annotations
 
+from collections import Counter
+
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -27,38 +30,38 @@ def _keys() -> list[Column]:
     return [F.xxhash64(text_of()).alias("__h"), F.xxhash64(F.col("doc_id"), F.lit(7)).alias("__g"), (F.octet_length(text_of()).cast("long") + 1).alias("__size")]
 
 
-def splitters(keys: DataFrame, n_ranges: int, total: int) -> list[tuple[int, int]]:
-    """Upper-exclusive boundaries of the ranges from a sample of about n_ranges * PER_RANGE records, the larger the likelier."""
+def splitters(keys: DataFrame, n_ranges: int, total: int) -> tuple[list[tuple[int, int]], set[int]]:
+    """Upper-exclusive boundaries of the ranges from a sample of about n_ranges * PER_RANGE records, the larger the likelier, and
+    the hashes of the texts that fill ranges of their own."""
     want = n_ranges * PER_RANGE
     chance = F.least(F.lit(1.0), F.col("__size") * F.lit(want / max(total, 1)))
     unit = F.pmod(F.xxhash64("__h", "__g", F.lit(11)), F.lit(1 << 30)) / F.lit(float(1 << 30))
     sample = keys.where(unit < chance).select("__h", "__g", (F.col("__size") / chance).alias("w")).toPandas().sort_values(["__h", "__g"])
     if sample.empty:
-        return []
+        return [], set()
     h, g, w = sample["__h"].to_numpy(), sample["__g"].to_numpy(), sample["w"].to_numpy()
     at = np.unique(np.searchsorted(np.cumsum(w), np.arange(1, n_ranges) * w.sum() / n_ranges))
     low = np.iinfo(np.int64).min
-    texts = h[at[at < len(h)]].tolist()
+    at = at[at < len(h)]
+    often = Counter(h[at].tolist())
     # a text that attracts one boundary isn't cut; one that attracts more is larger than a range, and is cut by id
-    cuts = {(x, low) for x in texts}
-    for i in at[at < len(h)].tolist():
-        if texts.count(int(h[i])) > 1:
-            cuts.add((int(h[i]), int(g[i])))
-    cuts |= {(x + 1, low) for x in set(texts) if texts.count(x) > 1 and x < np.iinfo(np.int64).max}
-    return sorted(cuts)
+    heavy = {x for x, n in often.items() if n > 1}
+    cuts = {(x, low) for x in often} | {(x + 1, low) for x in heavy if x < np.iinfo(np.int64).max}
+    cuts |= {(int(h[i]), int(g[i])) for i in at.tolist() if int(h[i]) in heavy}
+    return sorted(cuts), heavy
 
 
 def _range_of(cuts: list[tuple[int, int]]):  # noqa: ANN202
     hs, gs = np.array([c[0] for c in cuts], dtype=np.int64), np.array([c[1] for c in cuts], dtype=np.int64)
 
-    @F.pandas_udf("int")
-    def place(h: pd.Series, g: pd.Series) -> pd.Series:
-        x, y = h.to_numpy(), g.to_numpy()
+    @F.arrow_udf("int")
+    def place(h: pa.Array, g: pa.Array) -> pa.Array:
+        x, y = h.to_numpy(zero_copy_only=False), g.to_numpy(zero_copy_only=False)
         lo, hi = np.searchsorted(hs, x, side="left"), np.searchsorted(hs, x, side="right")
         out = lo.copy()
         for i in np.flatnonzero(hi > lo).tolist():
             out[i] = lo[i] + np.searchsorted(gs[lo[i] : hi[i]], y[i], side="right")
-        return pd.Series(out.astype(np.int32))
+        return pa.array(out.astype(np.int32))
 
     return place
 
@@ -68,7 +71,7 @@ def shard(docs: DataFrame, n_shards: int = 16) -> DataFrame:
     spark = docs.sparkSession
     keys = Stored(docs.select(*_keys()), "keys").df
     total = int(keys.agg(F.sum("__size")).first()[0] or 0)
-    cuts = splitters(keys, n_shards * RANGES, total)
+    cuts, heavy = splitters(keys, n_shards * RANGES, total)
     place = _range_of(cuts)
     counts = keys.groupBy(place("__h", "__g").alias("r")).agg(F.sum("__size").alias("b"), F.count(F.lit(1)).alias("n")).toPandas()
     full = max(1, min(PIECE_BYTES, 2 * total // (n_shards * RANGES)))
@@ -81,7 +84,7 @@ def shard(docs: DataFrame, n_shards: int = 16) -> DataFrame:
         return cut.withColumn("__s", F.pmod(F.xxhash64("__g", F.lit(3)), F.col("subs")).cast("int")).drop("r", "subs")
 
     exact = pieces(keys).groupBy("__r", "__s").agg(F.sum("__size").alias("b"), F.count(F.lit(1)).alias("n")).toPandas().sort_values(["__r", "__s"])
-    table = _deal(exact, n_shards, total)
+    table = _deal(exact, cuts, heavy, n_shards, total)
     dealt = spark.createDataFrame(table, "pr int, ps int, shard int, start long")
     new = {"size", "text_crc32", "shard", "slot"}
     own = [F.col(f"`{c}`") for c in docs.columns if c not in new]
@@ -91,13 +94,16 @@ def shard(docs: DataFrame, n_shards: int = 16) -> DataFrame:
     return rows.select(*own, F.col("__size").alias("size"), "text_crc32", "shard", "slot")
 
 
-def _deal(exact: pd.DataFrame, n_shards: int, total: int) -> pd.DataFrame:
-    """Ranges to shards, largest first to the least filled; a range larger than half a share goes piece by piece."""
+def _deal(exact: pd.DataFrame, cuts: list[tuple[int, int]], heavy: set[int], n_shards: int, total: int) -> pd.DataFrame:
+    """Ranges to shards, largest first to the least filled; the ranges of one text go together. What is larger than a share goes piece by piece."""
     share = total / n_shards
+    groups: dict[tuple, list] = {}
+    for row in exact[["__r", "__s", "b", "n"]].itertuples(index=False, name=None):
+        low = cuts[int(row[0]) - 1][0] if row[0] > 0 else None
+        groups.setdefault(("text", low) if low in heavy else ("range", int(row[0])), []).append(row)
     units = []
-    for r, part in exact.groupby("__r"):
-        rows = list(part[["__r", "__s", "b", "n"]].itertuples(index=False, name=None))
-        units += [rows] if part["b"].sum() <= share / 2 else [[x] for x in rows]
+    for rows in groups.values():
+        units += [rows] if sum(x[2] for x in rows) <= share else [[x] for x in rows]
     load, used, out = np.zeros(n_shards), np.zeros(n_shards, dtype=np.int64), []
     for rows in sorted(units, key=lambda u: (-sum(x[2] for x in u), u[0][:2])):
         s = int(np.argmin(load))

@@ -232,7 +232,7 @@ def simhash_classes(docs: DataFrame, k: int = 3, threshold: int = 2, seed: int =
 #: Word families for near copies: bits of a fingerprint, families, threshold; words of a shingle and similarity that count.
 BITS, FAMILIES, NEAR, SHINGLE, SIMILAR = 44, 8, 2, 5, 0.8
 #: Representatives of the texts that share a fingerprint of a family.
-REPRESENTATIVES = 3
+REPRESENTATIVES = 1
 
 
 def word_families(words: list[bytes]) -> np.ndarray:

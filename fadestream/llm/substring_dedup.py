@@ -8,7 +8,8 @@ repeats keeps exactly its first copy; copies inside one document count too.
 Only run hashes are exchanged. Texts are exchanged only for documents that lose something: a bounded bit filter passes the
 others through. Results for odd input: null stays null and has no sentences; a text with fewer than two sentences or MIN_WORDS words has
 no runs and stays whole; rows equal in doc_id and text are one document, shown as often as they occur; a null doc_id
-orders last; an empty table gives no rows; other columns stay as they are.
+orders last; an empty table gives no rows; other columns stay as
+they are, but for n_sentences and n_removed, which are replaced.
 """
 
 from __future__ import annotations
@@ -16,13 +17,13 @@ from __future__ import annotations
 import re
 from collections.abc import Iterator
 
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from .common import Stored, key_filter
+from .common import Stored, key_filter, slices
 
 MIN_SENTENCES, MIN_WORDS = 2, 20
 
@@ -66,7 +67,7 @@ def runs(pieces: list[str], min_sentences: int, min_words: int) -> list[tuple[in
 
 def _spans(docs: DataFrame, min_sentences: int, min_words: int) -> DataFrame:
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches):
             rows, first, end, hashes = [], [], [], []
             for i, text in enumerate(b.column(2).to_pylist()):
                 if text:
@@ -75,12 +76,10 @@ def _spans(docs: DataFrame, min_sentences: int, min_words: int) -> DataFrame:
                         first.append(x)
                         end.append(y)
                         hashes.append(h)
-                if len(rows) > 50_000 or i == b.num_rows - 1:
-                    take = pa.array(rows, pa.int32())
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array(hashes, pa.binary()), b.column(0).take(take), b.column(1).take(take), pa.array(first, pa.int32()), pa.array(end, pa.int32())], names=["h", "doc_id", "th", "first", "end"]
-                    )
-                    rows, first, end, hashes = [], [], [], []
+            take = pa.array(rows, pa.int32())
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(hashes, pa.binary()), b.column(0).take(take), b.column(1).take(take), pa.array(first, pa.int32()), pa.array(end, pa.int32())], names=["h", "doc_id", "th", "first", "end"]
+            )
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     return docs.select("doc_id", F.xxhash64("text").alias("th"), "text").mapInArrow(emit, f"h binary, doc_id {kind}, th long, first int, end int")
@@ -91,25 +90,34 @@ def substring_dedup(docs: DataFrame, min_sentences: int = MIN_SENTENCES, min_wor
     spans = Stored(_spans(docs, min_sentences, min_words), "spans").df
     order = F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "th", "first")
     kinds = spans.groupBy("h").agg(F.min(order).alias("least"), F.max(order).alias("most")).where("least <> most").select("h", "least")
+    kinds = Stored(kinds, "kinds").df  # so that a hot run's side of the join can be split
     later = spans.join(kinds, "h").where(order != F.col("least"))
     marks = later.groupBy("doc_id", "th").agg(F.collect_set(F.struct("first", "end")).alias("marked"))
     marks = Stored(marks, "marks").df
     may_hit = key_filter(marks.select("doc_id", "th"), marks.count())
 
-    @F.pandas_udf("struct<text: string, n_sentences: long, n_removed: long>")
-    def cleaned(text: pd.Series, marked: pd.Series) -> pd.DataFrame:
-        out = []
-        for t, spans in zip(text, marked, strict=True):
-            pieces = sentences(t) if t else []
-            gone = {i for s in (spans if spans is not None else ()) for i in range(s["first"], s["end"]) if pieces[i].strip()}
-            out.append(("".join(p for i, p in enumerate(pieces) if i not in gone) if gone else t, sum(bool(p.strip()) for p in pieces), len(gone)))
-        return pd.DataFrame(out, columns=["text", "n_sentences", "n_removed"])
-
-    own = [F.col(c) for c in docs.columns]
+    docs = docs.drop("n_sentences", "n_removed")
+    own = [F.col(f"`{c}`") for c in docs.columns]
     keyed = docs.select(F.struct(*own).alias("__row"), F.xxhash64("text").alias("__th"))
     hit = may_hit(F.col("__row.doc_id"), F.col("__th"))
     on = F.col("__row.doc_id").eqNullSafe(F.col("doc_id")) & (F.col("__th") == F.col("th"))
     touched = keyed.where(hit).join(marks, on, "left").select("__row", "marked")
     rest = keyed.where(~hit).select("__row", F.lit(None).cast(marks.schema["marked"].dataType).alias("marked"))
-    both = touched.unionByName(rest).select("__row", cleaned(F.col("__row.text"), F.col("marked")).alias("__new"))
-    return both.select(*(F.col("__new.text").alias(c) if c == "text" else F.col(f"__row.`{c}`").alias(c) for c in docs.columns), F.col("__new.n_sentences").alias("n_sentences"), F.col("__new.n_removed").alias("n_removed"))
+    both = touched.unionByName(rest)
+    names, at = list(docs.columns), docs.columns.index("text")
+
+    def clean(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in slices(batches):
+            fields = b.column(0).flatten()
+            texts, total, removed = [], [], []
+            for t, marked in zip(fields[at].to_pylist(), b.column(1).to_pylist(), strict=True):
+                pieces = sentences(t) if t else []
+                gone = {i for s in marked or () for i in range(s["first"], s["end"]) if pieces[i].strip()}
+                texts.append("".join(p for i, p in enumerate(pieces) if i not in gone) if gone else t)
+                total.append(sum(bool(p.strip()) for p in pieces))
+                removed.append(len(gone))
+            fields[at] = pa.array(texts, pa.string())
+            yield pa.RecordBatch.from_arrays([*fields, pa.array(total, pa.int64()), pa.array(removed, pa.int64())], names=[*names, "n_sentences", "n_removed"])
+
+    new = T.StructType([*(f for f in docs.schema.fields), T.StructField("n_sentences", T.LongType()), T.StructField("n_removed", T.LongType())])
+    return both.mapInArrow(clean, new)

@@ -16,11 +16,11 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Stored
+from .common import Stored, each, slices, tidy
 
 WINDOW, GRAM = 10, 5
 #: Benchmark words in one block: the bound of what is broadcast at once (about 100 bytes a word at most).
@@ -147,9 +147,11 @@ def drop_contaminated(docs: DataFrame, benchmark: DataFrame, block_words: int =
 
 
 def _clean(block):  # noqa: ANN001, ANN202
-    @F.pandas_udf("boolean")
-    def clean(text: pd.Series) -> pd.Series:
-        return pd.Series([not block.value.scan(words_of(t))[0].any() for t in text], dtype=bool)
+    @F.arrow_udf("boolean")
+    def clean(text: pa.Array) -> pa.Array:
+        out = pa.array([not block.value.scan(words_of(t))[0].any() for t in each(text)], pa.bool_())
+        tidy()
+        return out
 
     return clean
 
@@ -162,19 +164,23 @@ def contamination(docs: DataFrame, benchmark: DataFrame, block_words: int = BLOC
     """doc_id, n_words, n_hit, items (list of item ids, sorted as strings), items_sha256, contaminated: a row per input row."""
     sc = docs.sparkSession.sparkContext
     blocks = [sc.broadcast(TestBlock(b)) for b in _blocks(benchmark, block_words)]
-    kind = docs.select("doc_id").schema["doc_id"].dataType.simpleString()
+    kind = docs.schema["doc_id"].dataType.simpleString()
     if len(blocks) <= 1:
-        return _finish(docs.select("doc_id", "text").mapInPandas(_scanner(blocks), f"doc_id {kind}, n_words long, n_hit long, items array<string>"))
+        return _finish(docs.select("doc_id", "text").mapInArrow(_scanner(blocks), f"doc_id {kind}, n_words long, n_hit long, items array<string>"))
     rows = docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text")
     rows = Stored(rows, "rows").df
     parts = None
     for block in blocks:
-        one = rows.mapInPandas(_marker(block), f"row long, doc_id {kind}, n_words long, marks binary, items array<string>")
+        one = rows.mapInArrow(_marker(block), f"row long, doc_id {kind}, n_words long, marks binary, items array<string>")
         parts = one if parts is None else parts.union(one)
 
-    @F.pandas_udf("long")
-    def union_size(marks: pd.Series) -> pd.Series:
-        return pd.Series([int(np.unpackbits(np.bitwise_or.reduce([np.frombuffer(m, np.uint8) for m in some])).sum()) if (some := [m for m in ms if m]) else 0 for ms in marks])
+    @F.arrow_udf("long")
+    def union_size(marks: pa.Array) -> pa.Array:
+        sizes = []
+        for ms in each(marks):
+            some = [np.frombuffer(m, np.uint8) for m in ms if m]
+            sizes.append(int(np.unpackbits(np.bitwise_or.reduce(some)).sum()) if some else 0)
+        return pa.array(sizes, pa.int64())
 
     by_row = parts.groupBy("row").agg(
         F.first("doc_id").alias("doc_id"), F.first("n_words").alias("n_words"), F.collect_list("marks").alias("marks"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items")
@@ -183,29 +189,31 @@ def contamination(docs: DataFrame, benchmark: DataFrame, block_words: int = BLOC
 
 
 def _scanner(blocks: list):  # noqa: ANN202
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in slices(batches):
             n_words, n_hit, found = [], [], []
-            for text in frame["text"]:
+            for text in b.column(1).to_pylist():
                 words = words_of(text)
                 marks, items = blocks[0].value.scan(words) if blocks and words else (np.empty(0, dtype=bool), set())
                 n_words.append(len(words))
                 n_hit.append(int(marks.sum()))
                 found.append(sorted(str(i) for i in items if i is not None))
-            yield pd.DataFrame({"doc_id": frame["doc_id"], "n_words": n_words, "n_hit": n_hit, "items": found})
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n_words, pa.int64()), pa.array(n_hit, pa.int64()), pa.array(found, pa.list_(pa.string()))], names=["doc_id", "n_words", "n_hit", "items"])
 
     return run
 
 
 def _marker(block):  # noqa: ANN001, ANN202
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
-            out = []
-            for row, doc_id, text in zip(frame["row"], frame["doc_id"], frame["text"], strict=True):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in slices(batches):
+            n_words, bits, found = [], [], []
+            for text in b.column(2).to_pylist():
                 words = words_of(text)
                 marks, items = block.value.scan(words)
-                out.append((row, doc_id, len(words), _pack(marks), sorted(str(i) for i in items if i is not None)))
-            yield pd.DataFrame(out, columns=["row", "doc_id", "n_words", "marks", "items"])
+                n_words.append(len(words))
+                bits.append(_pack(marks))
+                found.append(sorted(str(i) for i in items if i is not None))
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(n_words, pa.int64()), pa.array(bits, pa.binary()), pa.array(found, pa.list_(pa.string()))], names=["row", "doc_id", "n_words", "marks", "items"])
 
     return run
 
