@@ -13,7 +13,7 @@ from fadestream.functions import vectors as V
 from fadestream.functions.kernels import Sums, nearest, nearest_two, sums_of
 
 #: Centroids with more coordinates in all than this are unrolled no more: the plan would get too large.
-UNROLL_MAX = 160
+UNROLL_MAX = 100
 
 
 def block(column: pa.Array, d: int) -> np.ndarray:

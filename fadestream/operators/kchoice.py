@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fadestream.functions.kernels import Sums
-from fadestream.operators.lloyd import SparkWindow, lloyd
+from fadestream.operators.lloyd import lloyd, window_of
 from fadestream.operators.seeding import seed_kmpp
 
 
@@ -43,7 +43,7 @@ def simplified_silhouette(df: DataFrame, centroids: np.ndarray) -> DataFrame:
     """value: the silhouette with distances to centroids in place of points; one scan."""
     from fadestream.functions import vectors as V
 
-    every = F.array_sort(F.array(*((V.sq_dist_unrolled(F.col("x"), c) if centroids.size <= 160 else V.sq_dist(F.col("x"), V.vec(c))) for c in centroids)))
+    every = F.array_sort(F.array(*((V.sq_dist_unrolled(F.col("x"), c) if centroids.size <= 100 else V.sq_dist(F.col("x"), V.vec(c))) for c in centroids)))
     a, b = F.sqrt(F.get(every, 0)), F.sqrt(F.get(every, 1))
     return df.select(F.when(b == 0, 0.0).otherwise((b - a) / b).alias("s")).agg(F.avg("s").alias("value"))
 
@@ -96,7 +96,7 @@ def choose_k(df: DataFrame, k_max: int = 16, method: str = "bic_split", seed: in
     if method in ("silhouette", "davies_bouldin", "calinski_harabasz"):
         scores = []
         for k in range(2, k_max + 1):
-            r = lloyd(SparkWindow(df), seed_kmpp(df, k, seed), max_iter=30)
+            r = lloyd(window_of(df), seed_kmpp(df, k, seed), max_iter=30)
             if method == "silhouette":
                 value = simplified_silhouette(df, r.centroids).first()[0]
             else:
@@ -116,10 +116,10 @@ def choose_k(df: DataFrame, k_max: int = 16, method: str = "bic_split", seed: in
             if mark in settled or len(parts) + len(centroids) - k >= k_max or part.limit(8).count() < 8:
                 parts.append(centroids[k])
                 continue
-            two = lloyd(SparkWindow(part), seed_kmpp(part, 2, seed + k), max_iter=30)
+            two = lloyd(window_of(part), seed_kmpp(part, 2, seed + k), max_iter=30)
             n = two.sums.n.sum(axis=0)
             if method == "bic_split":
-                one = lloyd(SparkWindow(part), centroids[k : k + 1], max_iter=2)
+                one = lloyd(window_of(part), centroids[k : k + 1], max_iter=2)
                 split = bic(n, float(two.sums.sse.sum()), d) > bic(one.sums.n.sum(axis=0), float(one.sums.sse.sum()), d)
             else:
                 line = two.centroids[1] - two.centroids[0]
@@ -131,7 +131,7 @@ def choose_k(df: DataFrame, k_max: int = 16, method: str = "bic_split", seed: in
             else:
                 settled.add(mark)
                 parts.append(centroids[k])
-        centroids = lloyd(SparkWindow(df), np.array(parts), max_iter=30).centroids
+        centroids = lloyd(window_of(df), np.array(parts), max_iter=30).centroids
         if not grew:
             break
     return len(centroids), centroids

@@ -2,7 +2,8 @@
 
 A pass returns sums per (batch, cluster); the driver keeps K x d numbers and W x K rows whatever the window's size. Several
 models share a pass. The fixed point is reached when the centroids repeat, or when the counts repeat and the error stands
-still (sums of another order may differ in the last bits).
+still (sums of another order may differ in the last bits); it takes a confirming pass, which counts, also from a start that
+is one.
 """
 
 from __future__ import annotations
@@ -13,6 +14,7 @@ from typing import Protocol
 
 import numpy as np
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from fadestream.functions.kernels import Sums, sums_of, update
 from fadestream.operators.distance import cluster_stats, gather
@@ -48,6 +50,21 @@ class SparkWindow:
         return gather(cluster_stats(self.df, models, self.weight_col), len(models), [len(m) for m in models], d)
 
 
+#: Points up to which a window is pulled into memory instead of being scanned by a job a pass.
+LOCAL_ROWS = 100_000
+
+
+def window_of(df: DataFrame, local_rows: int = LOCAL_ROWS) -> Window:
+    """The window over a points relation: in memory if it is small (one job finds out and fetches it), else distributed."""
+    cols = ["batch_seq", "x"] if "batch_seq" in df.columns else ["x"]
+    rows = df.select(*cols).limit(local_rows + 1).toArrow()
+    if rows.num_rows > local_rows or not rows.num_rows:
+        return SparkWindow(df if "batch_seq" in df.columns else df.withColumn("batch_seq", F.lit(0).cast("long")))
+    x = np.asarray(rows.column(len(cols) - 1).combine_chunks().flatten(), dtype=float).reshape(rows.num_rows, -1)
+    seq = rows.column(0).to_numpy() if len(cols) == 2 else np.zeros(len(x), dtype=np.int64)
+    return LocalWindow(x, seq)
+
+
 @dataclass
 class LloydResult:
     centroids: np.ndarray
@@ -85,7 +102,7 @@ def lloyd_many(window: Window, starts: Sequence[np.ndarray], weights: Sequence[W
             prev = last[i]
             still = prev is not None and prev.n.shape == s.n.shape and (prev.n == s.n).all() and abs(errors[i][-1] - errors[i][-2]) <= 1e-12 * max(errors[i][-1], 1e-300)
             shift = float(((moved - now[i]) ** 2).sum())
-            if np.array_equal(moved, now[i]) or still or (tol and shift <= tol * tol * max(float((now[i] ** 2).sum()), 1e-300)):
+            if prev is not None and (np.array_equal(moved, now[i]) or still) or (tol and shift <= tol * tol * max(float((now[i] ** 2).sum()), 1e-300)):
                 done[i] = True
             else:
                 now[i] = moved

@@ -42,7 +42,7 @@ def seed_forgy(df: DataFrame, k: int, seed: int = 0) -> np.ndarray:
 
 
 def _nearest_d2(c: np.ndarray) -> Column:
-    return V.nearest_struct(F.col("x"), c)["d2"] if c.size <= 160 else V.nearest_lambda(F.col("x"), F.array(*(V.vec(r) for r in c)))["d2"]
+    return V.nearest_struct(F.col("x"), c)["d2"] if c.size <= 100 else V.nearest_lambda(F.col("x"), F.array(*(V.vec(r) for r in c)))["d2"]
 
 
 def kmpp_picks(df: DataFrame, k: int, seed: int = 0, power: int = 2, weight_col: str | None = None) -> list[tuple[object, list[float]]]:
@@ -159,10 +159,10 @@ SEEDINGS = {"kmpp": seed_kmpp, "forgy": seed_forgy, "parallel": seed_parallel, "
 
 def kmeans(df: DataFrame, k: int, init: str = "kmpp", seed: int = 0, max_iter: int = 100):  # noqa: ANN201
     """Seeding plus Lloyd on a static relation."""
-    from fadestream.operators.lloyd import SparkWindow, lloyd
+    from fadestream.operators.lloyd import lloyd, window_of
 
     points = df if "batch_seq" in df.columns else df.withColumn("batch_seq", F.lit(0).cast("long"))
-    return lloyd(SparkWindow(points), SEEDINGS[init](points, k, seed=seed), max_iter=max_iter)
+    return lloyd(window_of(points), SEEDINGS[init](points, k, seed=seed), max_iter=max_iter)
 
 
 def counts_near(x: np.ndarray, c: np.ndarray) -> np.ndarray:

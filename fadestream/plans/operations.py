@@ -130,13 +130,13 @@ def window_mass(spark: SparkSession, sf_dir: str) -> DataFrame:
 _MS = ", ".join(f"avg(v{j}) AS m{j}, stddev_pop(v{j}) AS s{j}, min(v{j}) AS a{j}, max(v{j}) AS b{j}" for j in range(1, 5))
 
 
-@query(f"WITH {Q.EV}, f AS (SELECT {_MS} FROM ev WHERE b = 0), x AS (SELECT * FROM ev, f WHERE id < 200) " + unpivot("x", D, value="round((v{j} - m{j}) / s{j}, 6)"))
+@query(f"WITH {Q.EV}, f AS (SELECT {_MS} FROM ev WHERE b = 0), x AS (SELECT * FROM ev, f WHERE id < 200) " + unpivot("x", D, value="CASE WHEN s{j} = 0 THEN 0.0 ELSE round((v{j} - m{j}) / s{j}, 6) END"))
 def feature_zscore(spark: SparkSession, sf_dir: str) -> DataFrame:
     p = ev(spark, sf_dir)
     return dims(ft.zscore(p, D, p.where("batch_seq = 0")).where("id < 200"), "id")
 
 
-@query(f"WITH {Q.EV}, f AS (SELECT {_MS} FROM ev), x AS (SELECT * FROM ev, f WHERE id < 200) " + unpivot("x", D, value="round((v{j} - a{j}) / CAST(b{j} - a{j} AS DOUBLE), 6)"))
+@query(f"WITH {Q.EV}, f AS (SELECT {_MS} FROM ev), x AS (SELECT * FROM ev, f WHERE id < 200) " + unpivot("x", D, value="CASE WHEN a{j} = b{j} THEN 0.0 ELSE round((v{j} - a{j}) / CAST(b{j} - a{j} AS DOUBLE), 6) END"))
 def feature_minmax(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dims(ft.minmax(ev(spark, sf_dir), D).where("id < 200"), "id")
 
@@ -281,7 +281,7 @@ def fn_string(spark: SparkSession, sf_dir: str) -> DataFrame:
 _A8 = "[CAST(e AS DOUBLE) FOR e IN embedding[1:8]]"
 
 
-@query(f"WITH a AS (SELECT vec_id AS id, {_A8} AS x FROM embeddings) SELECT id, CAST(len(list_filter(x, v -> v > 0)) AS INTEGER) AS pos, round(list_min(x), 6) AS lo, round(list_max(x), 6) AS hi, round(list_sum(x), 6) AS total, round(list_sum(list_transform(x, v -> v * v)), 6) AS sq, round(list_sort(x)[1], 6) AS first, len(list_filter(x, v -> v > 0.2)) > 0 AS big, round(x[3], 6) AS third, CAST(len(flatten([x, x])) AS INTEGER) AS twice FROM a")
+@query(f"WITH a AS (SELECT vec_id AS id, {_A8} AS x FROM embeddings) SELECT id, CAST(len(list_filter(x, lambda v: v > 0)) AS INTEGER) AS pos, round(list_min(x), 6) AS lo, round(list_max(x), 6) AS hi, round(list_sum(x), 6) AS total, round(list_sum(list_transform(x, lambda v: v * v)), 6) AS sq, round(list_sort(x)[1], 6) AS first, len(list_filter(x, lambda v: v > 0.2)) > 0 AS big, round(x[3], 6) AS third, CAST(len(flatten([x, x])) AS INTEGER) AS twice FROM a")
 def fn_array(spark: SparkSession, sf_dir: str) -> DataFrame:
     a = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.slice("embedding", 1, 8).cast("array<double>").alias("x"))
     total = lambda c: F.aggregate(c, F.lit(0.0), lambda s, v: s + v)

@@ -59,7 +59,7 @@ class _ForgeStream(SimpleDataSourceStreamReader):
         s = start["seq"]
         if s >= self.stream.batches:
             return iter(()), start
-        return self.stream.rows(s), {"seq": s + 1}
+        return iter(list(self.stream.rows(s))), {"seq": s + 1}
 
     def readBetweenOffsets(self, start: dict, end: dict) -> Iterator[tuple]:  # noqa: N802
         for s in range(start["seq"], end["seq"]):
@@ -127,7 +127,7 @@ class _ReplayStream(SimpleDataSourceStreamReader):
         s = start["seq"]
         if s * self.table.n >= self.table.count():
             return iter(()), start
-        return self.table.rows(s), {"seq": s + 1}
+        return iter(list(self.table.rows(s))), {"seq": s + 1}
 
     def readBetweenOffsets(self, start: dict, end: dict) -> Iterator[tuple]:  # noqa: N802
         for s in range(start["seq"], end["seq"]):

@@ -53,11 +53,11 @@ def fit_event_time(events: DataFrame, ts: str, width_seconds: int, t_max: int, s
         tagged = batch.withColumn("batch_seq", F.floor(F.unix_timestamp(F.col(ts).cast("timestamp")) / width_seconds).cast("long")).persist()
         top = tagged.agg(F.max("batch_seq")).first()[0]
         if top is not None:
-            edge = max(top, newest["seq"] if newest["seq"] is not None else top)
-            before = newest["seq"] if newest["seq"] is not None else top
-            sink(tagged.where(F.col("batch_seq") > before - t_max), epoch)
-            late(tagged.where(F.col("batch_seq") <= before - t_max), epoch)
-            newest["seq"] = edge
+            before = newest["seq"]
+            left = F.lit(False) if before is None else F.col("batch_seq") <= before - t_max
+            sink(tagged.where(~left), epoch)
+            late(tagged.where(left), epoch)
+            newest["seq"] = top if before is None else max(top, before)
         tagged.unpersist()
 
     return events.writeStream.foreachBatch(route).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True})).start()
