@@ -15,7 +15,7 @@ from .quality import quality_scores
 from .sharding import shard
 from .simhash import simhash_classes
 from .substring_dedup import substring_dedup
-from .winnowing import contamination
+from .winnowing import WINDOW, contamination
 
 
 def op1_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -94,7 +94,23 @@ FROM lines GROUP BY doc_id
 """
 
 
-def _mix_sql() -> str:
+_WORDS = r"regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
+
+_OP7 = f"""
+WITH d AS (SELECT doc_id, {_WORDS} AS ws FROM documents),
+i AS (SELECT item_id, {_WORDS} AS ws FROM benchmark),
+iw AS (SELECT DISTINCT item_id, least({WINDOW}, len(ws)) AS n, array_to_string(ws[p : p + least({WINDOW}, len(ws)) - 1], ' ') AS w
+       FROM (SELECT *, unnest(range(1, CAST(len(ws) - least({WINDOW}, len(ws)) + 2 AS BIGINT))) AS p FROM i WHERE len(ws) > 0)),
+dw AS (SELECT doc_id, n, p, array_to_string(ws[p : p + n - 1], ' ') AS w FROM (SELECT doc_id, ws, n, unnest(range(1, CAST(len(ws) - n + 2 AS BIGINT))) AS p FROM d, (SELECT DISTINCT n FROM iw) WHERE len(ws) >= n)),
+hit AS (SELECT doc_id, p, n, item_id FROM dw JOIN iw USING (n, w)),
+words AS (SELECT doc_id, count(*) AS n_hit FROM (SELECT DISTINCT doc_id, unnest(range(p, p + n)) AS q FROM hit) GROUP BY doc_id),
+items AS (SELECT doc_id, count(*) AS n_items, string_agg(s, ',' ORDER BY s) AS names FROM (SELECT DISTINCT doc_id, CAST(item_id AS VARCHAR) AS s FROM hit) GROUP BY doc_id)
+SELECT d.doc_id, CAST(len(ws) AS BIGINT) AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_items, 0) AS n_items, sha256(coalesce(names, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
+FROM d LEFT JOIN words USING (doc_id) LEFT JOIN items USING (doc_id)
+"""
+
+
+def _mix_sql() -> list[str]:
     """Water-filling level by level: a child is short if its even share at its place among its siblings exceeds its capacity."""
     parts = [
         rf"""rows_ AS (SELECT doc_id, coalesce(source, 'none') AS origin, coalesce(lang, 'none') AS language, coalesce(text, '') AS text FROM documents),
@@ -133,4 +149,4 @@ def _domains() -> str:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_exact_dedup": _OP4, "op6_mixing": "WITH " + _domains() + ",\n" + ",\n".join(_mix_sql()[:-1]) + ",\n" + _mix_sql()[-1], "op9_line_dedup": _OP9}
+    return {"op4_exact_dedup": _OP4, "op6_mixing": "WITH " + ",\n".join([_domains(), *_mix_sql()]), "op7_decontamination": _OP7, "op9_line_dedup": _OP9}
