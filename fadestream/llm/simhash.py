@@ -295,8 +295,10 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     groups = Stored(member.groupBy("family", "fp").agg(F.array_distinct(F.array(*least)).alias("reps")), "groups").df
     links = anchor_links(groups.select("family", "fp"), NEAR, texts.count(), BITS, leaders)
     towards = Stored(links.select("family", F.col("b").alias("fp"), F.col("a").alias("to")).distinct().unionByName(groups.select("family", "fp", F.col("fp").alias("to"))), "towards").df
-    targets = towards.join(groups.select("family", F.col("fp").alias("to"), "reps"), ["family", "to"]).select("family", "fp", F.explode("reps").alias("rep"))
-    pairs = member.join(targets, ["family", "fp"]).where(F.col("key") != F.col("rep")).select(F.least("key", "rep").alias("a"), F.greatest("key", "rep").alias("b")).distinct()
+    # a fingerprint has few leaders near it (they are over NEAR bits apart), so its list of targets is short whatever its texts
+    targets = towards.join(groups.select("family", F.col("fp").alias("to"), "reps"), ["family", "to"]).groupBy("family", "fp").agg(F.array_distinct(F.flatten(F.collect_list("reps"))).alias("reps"))
+    listed = member.join(targets, ["family", "fp"]).select("key", F.explode("reps").alias("rep")).where(F.col("key") != F.col("rep"))
+    pairs = listed.select(F.least("key", "rep").alias("a"), F.greatest("key", "rep").alias("b")).distinct()
     pairs = Stored(pairs, "pairs").df
     ends = pairs.select(F.col("a").alias("key")).union(pairs.select("b")).distinct()
     ids = Stored(texts.join(ends, "key").where(F.col("least").isNotNull()).select(F.col("least").alias("doc_id")), "ends").df
