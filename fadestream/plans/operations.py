@@ -168,7 +168,7 @@ def _view(name: str, sql: str, keys: int = 40) -> None:
         d, view = ft.VIEWS[name]
         v = view(spark, sf_dir).select(F.col("point_id").alias("id"), "x")
         first = v.select("id").distinct().orderBy("id").limit(keys)
-        return v.join(F.broadcast(first), "id", "left_semi").select("id", F.posexplode("x").alias("dim", "v")).groupBy("id", "dim").agg(F.round(F.sum("v"), 4).alias("value"))
+        return v.join(F.broadcast(first), "id", "left_semi").select("id", F.posexplode("x").alias("dim", "v")).groupBy("id", "dim").agg((F.round(F.sum("v"), 4) + 0.0).alias("value"))  # no negative zero
 
     query(sql, f"features_{name}")(run)
 
@@ -176,7 +176,7 @@ def _view(name: str, sql: str, keys: int = 40) -> None:
 def _view_sql(rel: str, feats: list[str], pid: str, keys: int = 40, prelude: str = "") -> str:
     body = ", ".join(f"CAST({f} AS DOUBLE) AS v{j}" for j, f in enumerate(feats, 1))
     rows = " UNION ALL ".join(f"SELECT id, CAST({j - 1} AS INTEGER) AS dim, v{j} AS v FROM k" for j in range(1, len(feats) + 1))
-    return f"WITH {prelude}p AS (SELECT CAST({pid} AS VARCHAR) AS id, {body} FROM {rel}), f AS (SELECT DISTINCT id FROM p ORDER BY id LIMIT {keys}), k AS (SELECT p.* FROM p SEMI JOIN f ON p.id = f.id) SELECT id, dim, round(sum(v), 4) AS value FROM ({rows}) GROUP BY id, dim"
+    return f"WITH {prelude}p AS (SELECT CAST({pid} AS VARCHAR) AS id, {body} FROM {rel}), f AS (SELECT DISTINCT id FROM p ORDER BY id LIMIT {keys}), k AS (SELECT p.* FROM p SEMI JOIN f ON p.id = f.id) SELECT id, dim, round(sum(v), 4) + 0.0 AS value FROM ({rows}) GROUP BY id, dim"
 
 
 _STARS = "lineitem JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey JOIN customer ON o_custkey = c_custkey"

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -25,3 +26,9 @@ def query(sql: str | None = None, name: str | None = None) -> Callable[[Query],
         return fn
 
     return keep
+
+
+def rounded(v: float, digits: int) -> float:
+    """Halves away from zero, as SQL engines round."""
+    scaled = abs(v) * 10**digits
+    return math.copysign(math.floor(scaled + 0.5) / 10**digits, v) if math.isfinite(scaled) else v

@@ -16,7 +16,7 @@ from fadestream.plans import duck as Q
 from fadestream.plans.experiments import gap_experiment, run_grid
 from fadestream.plans.methods import D, K, ev, first_rows, r6
 from fadestream.plans.operations import scratch
-from fadestream.plans.registry import query
+from fadestream.plans.registry import query, rounded
 from fadestream.sources import datasources
 from fadestream.sources.window_store import WindowStore
 from fadestream.streaming import fit
@@ -153,7 +153,7 @@ def source_ordinal_replay(spark: SparkSession, sf_dir: str) -> DataFrame:
     q = stream.writeStream.foreachBatch(step).option("checkpointLocation", scratch(spark, "replay-cp")).start()
     q.processAllAvailable()
     q.stop()
-    return spark.createDataFrame([(int(b), int(n), round(float(t), 4)) for b, n, t in rows], "batch_seq long, n long, total double")
+    return spark.createDataFrame([(int(b), int(n), rounded(float(t), 4)) for b, n, t in rows], "batch_seq long, n long, total double")
 
 
 @query(None)
