@@ -108,10 +108,10 @@ def run_grid(
     return joined.repartition(max(1, len(cells)), "dataset", "eps", "k", "m", "rep").mapInPandas(run, MEASUREMENTS)
 
 
-def gap_experiment(spark: SparkSession, sf_dir: str, dataset: str = "lineitem4", *, rho: float = 0.676, n: int = 1000, eps: float = 0.5, stored: int = 40, after: int = 20, reps: int = 20, deltas: Sequence[float] = (0.05, 0.32), limit: int = 100_000, seed: int = 1) -> DataFrame:
+def gap_experiment(spark: SparkSession, sf_dir: str, dataset: str = "lineitem4", *, rho: float = 0.676, n: int = 1000, eps: float = 0.5, stored: int = 40, after: int = 20, reps: int = 20, deltas: Sequence[float] = (0.05, 0.32), limit: int = 1_000_000, seed: int = 1) -> DataFrame:
     """rep, t, delta, gap, centre, half_width, lo, hi, centre_finite, half_finite, inside: measured and predicted gap of the two errors, K = 1."""
-    block = block_of(spark, sf_dir, dataset, limit).select("x").collect()  # bounded by limit
-    x = np.array([r["x"] for r in block])
+    block = block_of(spark, sf_dir, dataset, limit).select("x").toArrow()  # bounded by limit
+    x = np.asarray(block.column(0).combine_chunks().flatten(), dtype=float).reshape(block.num_rows, -1)
     x = x[np.lexsort(x.T[::-1])]
     moved = DriftForge(eps, 1, seed).next(x).points
     c = x.mean(axis=0)

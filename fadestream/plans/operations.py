@@ -15,7 +15,7 @@ from fadestream.operators import features as ft
 from fadestream.operators.distance import assign, centroid_rows, cluster_stats
 from fadestream.operators.features import table
 from fadestream.plans import duck as Q
-from fadestream.plans.methods import C0, CUR, NEAR0, D, K, N, em, ev, first_rows, last_batch, lim, r6
+from fadestream.plans.methods import C0, CUR, EV5, NEAR0, D, K, N, em, ev, fifths, first_rows, last_batch, lim, r6
 from fadestream.plans.registry import query
 from fadestream.sources.datasources import read_points, write_points
 from fadestream.sources.window_store import WindowStore, shared_root
@@ -37,15 +37,15 @@ def unpivot(rel: str, d: int, key: str = "id", where: str = "true", value: str =
 # ---------------------------------------------------------------- scans and formats
 
 
-@query(f"WITH {Q.EV} " + unpivot("ev", D, where="id < 200"))
+@query(f"WITH {Q.EV} " + unpivot("ev", D))
 def scan_parquet_points(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return dims(ev(spark, sf_dir).where("id < 200"), "id")
+    return dims(ev(spark, sf_dir), "id")
 
 
-@query(f"WITH {Q.EV} SELECT b, count(*) AS n, CAST(sum(v1) AS BIGINT) AS s FROM ev WHERE b BETWEEN 2 AND 4 GROUP BY b")
+@query(f"WITH {EV5} SELECT b, count(*) AS n, CAST(sum(v1) AS BIGINT) AS s FROM ev5 WHERE b BETWEEN 2 AND 4 GROUP BY b")
 def scan_pruned_window(spark: SparkSession, sf_dir: str) -> DataFrame:
     store = WindowStore(spark, scratch(spark, "window"))
-    p = ev(spark, sf_dir).where("batch_seq < 5").persist()
+    p = fifths(spark, sf_dir).persist()
     for s in [r[0] for r in p.select("batch_seq").distinct().orderBy("batch_seq").collect()]:
         store.append(p.where(F.col("batch_seq") == s), s)
     return store.window(2, 4).groupBy(F.col("batch_seq").alias("b")).agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("x")[0]).cast("long").alias("s"))
@@ -54,14 +54,14 @@ def scan_pruned_window(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _round_trip(fmt: str):  # noqa: ANN202
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         path = scratch(spark, f"points-{fmt}")
-        write_points(ev(spark, sf_dir).where("id < 300").select("point_id", "x", "batch_seq"), path, fmt)
+        write_points(ev(spark, sf_dir).select("point_id", "x", "batch_seq"), path, fmt)
         return dims(read_points(spark, path, fmt).withColumn("id", F.col("point_id").cast("long")), "id")
 
     return run
 
 
 for _f in ("csv", "json", "orc", "text", "parquet"):
-    query(f"WITH {Q.EV} " + unpivot("ev", D, where="id < 300"), f"scan_{_f}_roundtrip")(_round_trip(_f))
+    query(f"WITH {Q.EV} " + unpivot("ev", D), f"scan_{_f}_roundtrip")(_round_trip(_f))
 
 
 @query("SELECT event_id AS id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS a, CAST(json_extract_string(props, '$.k') AS BIGINT) AS b, CAST(json_extract_string(props, '$.k') AS BIGINT) AS c FROM events")
@@ -81,9 +81,9 @@ def batch_by_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return b.groupBy(F.col("batch_seq").alias("batch")).agg(F.count(F.lit(1)).alias("n"), F.min("event_id").alias("lo"), F.max("event_id").alias("hi"))
 
 
-@query("WITH o AS (SELECT *, row_number() OVER (ORDER BY event_id) - 1 AS r FROM events WHERE event_id % 3 <> 1) SELECT CAST(r // 100 AS BIGINT) AS batch, count(*) AS n, min(event_id) AS lo, max(event_id) AS hi FROM o GROUP BY 1")
+@query("WITH o AS (SELECT *, row_number() OVER (ORDER BY value, event_id) - 1 AS r FROM events) SELECT CAST(r // 100 AS BIGINT) AS batch, count(*) AS n, min(event_id) AS lo, max(event_id) AS hi FROM o GROUP BY 1")
 def batch_sparse_ordinal(spark: SparkSession, sf_dir: str) -> DataFrame:
-    b = batching.by_ordinal(table(spark, sf_dir, "events").where("event_id % 3 <> 1"), ["event_id"], 100)
+    b = batching.by_ordinal(table(spark, sf_dir, "events"), ["value", "event_id"], 100)
     return b.groupBy(F.col("batch_seq").alias("batch")).agg(F.count(F.lit(1)).alias("n"), F.min("event_id").alias("lo"), F.max("event_id").alias("hi"))
 
 
@@ -130,20 +130,20 @@ def window_mass(spark: SparkSession, sf_dir: str) -> DataFrame:
 _MS = ", ".join(f"avg(v{j}) AS m{j}, stddev_pop(v{j}) AS s{j}, min(v{j}) AS a{j}, max(v{j}) AS b{j}" for j in range(1, 5))
 
 
-@query(f"WITH {Q.EV}, f AS (SELECT {_MS} FROM ev WHERE b = 0), x AS (SELECT * FROM ev, f WHERE id < 200) " + unpivot("x", D, value="CASE WHEN s{j} = 0 THEN 0.0 ELSE round((v{j} - m{j}) / s{j}, 6) END"))
+@query(f"WITH {Q.EV}, f AS (SELECT {_MS} FROM ev WHERE b = 0), x AS (SELECT * FROM ev, f) " + unpivot("x", D, value="CASE WHEN s{j} = 0 THEN 0.0 ELSE round((v{j} - m{j}) / s{j}, 6) END"))
 def feature_zscore(spark: SparkSession, sf_dir: str) -> DataFrame:
     p = ev(spark, sf_dir)
-    return dims(ft.zscore(p, D, p.where("batch_seq = 0")).where("id < 200"), "id")
+    return dims(ft.zscore(p, D, p.where("batch_seq = 0")), "id")
 
 
-@query(f"WITH {Q.EV}, f AS (SELECT {_MS} FROM ev), x AS (SELECT * FROM ev, f WHERE id < 200) " + unpivot("x", D, value="CASE WHEN a{j} = b{j} THEN 0.0 ELSE round((v{j} - a{j}) / CAST(b{j} - a{j} AS DOUBLE), 6) END"))
+@query(f"WITH {Q.EV}, f AS (SELECT {_MS} FROM ev), x AS (SELECT * FROM ev, f) " + unpivot("x", D, value="CASE WHEN a{j} = b{j} THEN 0.0 ELSE round((v{j} - a{j}) / CAST(b{j} - a{j} AS DOUBLE), 6) END"))
 def feature_minmax(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return dims(ft.minmax(ev(spark, sf_dir), D).where("id < 200"), "id")
+    return dims(ft.minmax(ev(spark, sf_dir), D), "id")
 
 
-@query(f"WITH {Q.EV} " + unpivot("ev", D, where="id < 200", value="round(v{j} / sqrt(v1*v1 + v2*v2 + v3*v3 + v4*v4), 6)"))
+@query(f"WITH {Q.EV} " + unpivot("ev", D, value="round(v{j} / sqrt(v1*v1 + v2*v2 + v3*v3 + v4*v4), 6)"))
 def feature_l2(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return dims(ft.l2_normalise(ev(spark, sf_dir)).where("id < 200"), "id")
+    return dims(ft.l2_normalise(ev(spark, sf_dir)), "id")
 
 
 @query("SELECT event_id AS id, " + ", ".join(f"CAST(event_type = t{i} AS INTEGER) AS is{i}" for i in range(3)) + " FROM events, (SELECT min(event_type) AS t0, max(event_type) AS t2, (SELECT DISTINCT event_type FROM events ORDER BY 1 LIMIT 1 OFFSET 1) AS t1 FROM events)")
@@ -154,29 +154,27 @@ def feature_onehot(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.select(F.col("event_id").alias("id"), *((F.col("event_type") == x).cast("int").alias(f"is{i}") for i, x in enumerate(t)))
 
 
-@query("SELECT vec_id AS id, CAST(i AS INTEGER) AS dim, CAST(round(CAST(embedding[i + 1] AS DOUBLE) * 10000) AS BIGINT) AS q, round(CAST(round(CAST(embedding[i + 1] AS DOUBLE) * 10000) AS BIGINT) / 10000.0, 6) AS value FROM embeddings, range(8) AS g(i)")
+@query("SELECT vec_id AS id, CAST(i AS INTEGER) AS dim, CAST(round(CAST(embedding[i + 1] AS DOUBLE) * 10000) AS BIGINT) AS q, round(CAST(round(CAST(embedding[i + 1] AS DOUBLE) * 10000) AS BIGINT) / 10000.0, 6) AS value FROM embeddings, range(64) AS g(i)")
 def feature_fixed_point(spark: SparkSession, sf_dir: str) -> DataFrame:
-    e = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.posexplode(F.slice("embedding", 1, 8)).alias("dim", "v"))
+    e = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.posexplode("embedding").alias("dim", "v"))
     q = V.quantise(F.col("v").cast("double"), 1e4)
     return e.select("id", "dim", q.alias("q"), r6(V.dequantise(q, 1e4)).alias("value"))
 
 
-def _view(name: str, sql: str, keys: int = 40) -> None:
-    """A feature view: the coordinates of the first ids as rows."""
+def _view(name: str, sql: str) -> None:
+    """A feature view: every coordinate of every point as a row."""
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        d, view = ft.VIEWS[name]
-        v = view(spark, sf_dir).select(F.col("point_id").alias("id"), "x")
-        first = v.select("id").distinct().orderBy("id").limit(keys)
-        return v.join(F.broadcast(first), "id", "left_semi").select("id", F.posexplode("x").alias("dim", "v")).groupBy("id", "dim").agg((F.round(F.sum("v"), 4) + 0.0).alias("value"))  # no negative zero
+        v = ft.VIEWS[name][1](spark, sf_dir)
+        return v.select(F.col("point_id").alias("id"), F.posexplode("x").alias("dim", "v")).select("id", "dim", (F.round("v", 4) + 0.0).alias("value"))  # no negative zero
 
     query(sql, f"features_{name}")(run)
 
 
-def _view_sql(rel: str, feats: list[str], pid: str, keys: int = 40, prelude: str = "") -> str:
+def _view_sql(rel: str, feats: list[str], pid: str, prelude: str = "") -> str:
     body = ", ".join(f"CAST({f} AS DOUBLE) AS v{j}" for j, f in enumerate(feats, 1))
-    rows = " UNION ALL ".join(f"SELECT id, CAST({j - 1} AS INTEGER) AS dim, v{j} AS v FROM k" for j in range(1, len(feats) + 1))
-    return f"WITH {prelude}p AS (SELECT CAST({pid} AS VARCHAR) AS id, {body} FROM {rel}), f AS (SELECT DISTINCT id FROM p ORDER BY id LIMIT {keys}), k AS (SELECT p.* FROM p SEMI JOIN f ON p.id = f.id) SELECT id, dim, round(sum(v), 4) + 0.0 AS value FROM ({rows}) GROUP BY id, dim"
+    rows = " UNION ALL ".join(f"SELECT id, CAST({j - 1} AS INTEGER) AS dim, round(v{j}, 4) + 0.0 AS value FROM p" for j in range(1, len(feats) + 1))
+    return f"WITH {prelude}p AS (SELECT CAST({pid} AS VARCHAR) AS id, {body} FROM {rel}) {rows}"
 
 
 _STARS = "lineitem JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey JOIN customer ON o_custkey = c_custkey"
@@ -202,12 +200,12 @@ _view(
 )
 _view(
     "spend25",
-    _view_sql("s", [f"coalesce(n{i}, 0) / t" for i in range(25)], "o_custkey", 40, "s AS (SELECT o_custkey, sum(l_extendedprice) AS t, " + ", ".join(f"sum(l_extendedprice) FILTER (s_nationkey = {i}) AS n{i}" for i in range(25)) + " FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN supplier ON l_suppkey = s_suppkey GROUP BY o_custkey), "),
+    _view_sql("s", [f"coalesce(n{i}, 0) / t" for i in range(25)], "o_custkey", "s AS (SELECT o_custkey, sum(l_extendedprice) AS t, " + ", ".join(f"sum(l_extendedprice) FILTER (s_nationkey = {i}) AS n{i}" for i in range(25)) + " FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN supplier ON l_suppkey = s_suppkey GROUP BY o_custkey), "),
 )
 _TY = "(SELECT list(event_type ORDER BY event_type) FROM (SELECT DISTINCT event_type FROM events))"
 _view(
     "events20",
-    _view_sql("w", [f"coalesce({a}{i}, 0)" for i in range(1, 6) for a in ("n", "s", "m", "a")], "user_id || '-' || strftime(day, '%Y-%m-%d')", 40, f"t AS (SELECT {_TY} AS ty), w AS (SELECT user_id, date_trunc('day', ts) AS day, " + ", ".join(f"count(value) FILTER (event_type = ty[{i}]) AS n{i}, sum(value) FILTER (event_type = ty[{i}]) AS s{i}, max(value) FILTER (event_type = ty[{i}]) AS m{i}, avg(value) FILTER (event_type = ty[{i}]) AS a{i}" for i in range(1, 6)) + " FROM events, t GROUP BY ALL), "),
+    _view_sql("w", [f"coalesce({a}{i}, 0)" for i in range(1, 6) for a in ("n", "s", "m", "a")], "user_id || '-' || strftime(day, '%Y-%m-%d')", f"t AS (SELECT {_TY} AS ty), w AS (SELECT user_id, date_trunc('day', ts) AS day, " + ", ".join(f"count(value) FILTER (event_type = ty[{i}]) AS n{i}, sum(value) FILTER (event_type = ty[{i}]) AS s{i}, max(value) FILTER (event_type = ty[{i}]) AS m{i}, avg(value) FILTER (event_type = ty[{i}]) AS a{i}" for i in range(1, 6)) + " FROM events, t GROUP BY ALL), "),
 )
 
 
@@ -239,12 +237,12 @@ _checked_sums(
         ],
     ),
 )
-_HASH = "SELECT doc_id, CAST(('0x' || substr(md5(w), 1, 8)) AS BIGINT) % 178 AS bin, CAST(count(*) AS DOUBLE) AS n FROM (SELECT doc_id, unnest(regexp_split_to_array(lower(text), '\\s+')) AS w FROM documents WHERE doc_id < 150) WHERE w <> '' GROUP BY 1, 2"
+_HASH = "SELECT doc_id, CAST(('0x' || substr(md5(w), 1, 8)) AS BIGINT) % 178 AS bin, CAST(count(*) AS DOUBLE) AS n FROM (SELECT doc_id, unnest(regexp_split_to_array(lower(text), '\\s+')) AS w FROM documents) WHERE w <> '' GROUP BY 1, 2"
 
 
 @query(f"WITH c AS ({_HASH}), m AS (SELECT doc_id, sqrt(sum(n * n)) AS s FROM c GROUP BY 1) SELECT c.doc_id AS id, CAST(bin AS INTEGER) AS dim, round(n / s, 6) AS value FROM c JOIN m USING (doc_id)", "features_hash178")
 def features_hash178(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return dims(ft.hash178(spark, sf_dir).where("doc_id < 150").withColumn("id", F.col("doc_id")), "id").where("value <> 0")
+    return dims(ft.hash178(spark, sf_dir).withColumn("id", F.col("doc_id")), "id").where("value <> 0")
 
 
 # ---------------------------------------------------------------- functions
@@ -278,12 +276,12 @@ def fn_string(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-_A8 = "[CAST(e AS DOUBLE) FOR e IN embedding[1:8]]"
+_A8 = "[CAST(e AS DOUBLE) FOR e IN embedding]"
 
 
 @query(f"WITH a AS (SELECT vec_id AS id, {_A8} AS x FROM embeddings) SELECT id, CAST(len(list_filter(x, lambda v: v > 0)) AS INTEGER) AS pos, round(list_min(x), 6) AS lo, round(list_max(x), 6) AS hi, round(list_sum(x), 6) AS total, round(list_sum(list_transform(x, lambda v: v * v)), 6) AS sq, round(list_sort(x)[1], 6) AS first, len(list_filter(x, lambda v: v > 0.2)) > 0 AS big, round(x[3], 6) AS third, CAST(len(flatten([x, x])) AS INTEGER) AS twice FROM a")
 def fn_array(spark: SparkSession, sf_dir: str) -> DataFrame:
-    a = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.slice("embedding", 1, 8).cast("array<double>").alias("x"))
+    a = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("x"))
     total = lambda c: F.aggregate(c, F.lit(0.0), lambda s, v: s + v)
     return a.select(
         "id", F.size(F.filter("x", lambda v: v > 0)).alias("pos"), r6(F.array_min("x")).alias("lo"), r6(F.array_max("x")).alias("hi"), r6(total(F.col("x"))).alias("total"), r6(total(F.transform("x", lambda v: v * v))).alias("sq"),
@@ -333,19 +331,19 @@ def filter_finite_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
 # ---------------------------------------------------------------- joins
 
 
-@query(f"WITH {Q.EV}, {C0}, {NEAR0} SELECT id, CAST(k AS INTEGER) AS k FROM a WHERE b <= 1")
+@query(f"WITH {Q.EV}, {C0}, {NEAR0} SELECT id, CAST(k AS INTEGER) AS k FROM a")
 def join_bnl_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
     p = ev(spark, sf_dir)
     c = first_rows(p)
-    both = p.where("batch_seq <= 1").crossJoin(F.broadcast(centroid_rows(p, c)))  # K rows on the inner side
+    both = p.crossJoin(F.broadcast(centroid_rows(p, c)))  # K rows on the inner side
     return both.groupBy("id").agg(F.min_by("k", F.struct(V.sq_dist(F.col("x"), F.col("c")), "k")).alias("k"))
 
 
-@query(f"WITH {Q.EV}, {C0}, {NEAR0} SELECT id, a.k, round(v1 - c1, 6) AS off FROM a JOIN c0 USING (k) WHERE b <= 1")
+@query(f"WITH {Q.EV}, {C0}, {NEAR0} SELECT id, a.k, round(v1 - c1, 6) AS off FROM a JOIN c0 USING (k)")
 def join_broadcast_shift(spark: SparkSession, sf_dir: str) -> DataFrame:
     p = ev(spark, sf_dir)
     c = first_rows(p)
-    return assign(p.where("batch_seq <= 1"), c).join(F.broadcast(centroid_rows(p, c)), "k").select("id", "k", r6(F.col("x")[0] - F.col("c")[0]).alias("off"))
+    return assign(p, c).join(F.broadcast(centroid_rows(p, c)), "k").select("id", "k", r6(F.col("x")[0] - F.col("c")[0]).alias("off"))
 
 
 @query(f"SELECT n_name AS nation, count(*) AS n, CAST(sum(CAST(round(l_quantity) AS BIGINT)) AS BIGINT) AS q FROM {_STARS} JOIN nation ON c_nationkey = n_nationkey GROUP BY 1")
@@ -378,10 +376,10 @@ def join_asof_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.withColumn("day", F.to_date("ts")).join(days, "day", "left").select(F.col("event_id").alias("id"), "model")
 
 
-@query(f"WITH {Q.EV}, p AS (SELECT i AS concept, i * 2 AS lo, i * 2 + 2 AS hi FROM range(2) AS g(i)), z AS (SELECT b, count(*) AS n FROM ev GROUP BY b) SELECT b, CAST(concept AS INTEGER) AS concept, b - lo + 1 AS t_index, n FROM z JOIN p ON b >= lo AND b < hi")
+@query(f"WITH {Q.EV}, p AS (SELECT i AS concept, i * 2 AS lo, i * 2 + 2 AS hi FROM range(10000) AS g(i)), z AS (SELECT b, count(*) AS n FROM ev GROUP BY b) SELECT b, CAST(concept AS INTEGER) AS concept, b - lo + 1 AS t_index, n FROM z JOIN p ON b >= lo AND b < hi")
 def join_interval_concept(spark: SparkSession, sf_dir: str) -> DataFrame:
     z = ev(spark, sf_dir).groupBy(F.col("batch_seq").alias("b")).agg(F.count(F.lit(1)).alias("n"))
-    p = spark.range(2).select(F.col("id").cast("int").alias("concept"), (F.col("id") * 2).alias("lo"), (F.col("id") * 2 + 2).alias("hi"))
+    p = spark.range(10_000).select(F.col("id").cast("int").alias("concept"), (F.col("id") * 2).alias("lo"), (F.col("id") * 2 + 2).alias("hi"))
     return z.join(F.broadcast(p), (z.b >= p.lo) & (z.b < p.hi)).select("b", "concept", (F.col("b") - F.col("lo") + 1).alias("t_index"), "n")
 
 
@@ -396,20 +394,20 @@ def join_anti_unprocessed(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ev(spark, sf_dir).join(done, "batch_seq", "left_anti").select(F.col("batch_seq").alias("b")).distinct()
 
 
-@query(f"WITH {Q.EV}, {C0}, {NEAR0}, x AS (SELECT k, count(*) AS n0 FROM a WHERE id < 3 GROUP BY k), y AS (SELECT k, count(*) AS n1 FROM a WHERE id BETWEEN 3 AND 6 GROUP BY k) SELECT CAST(coalesce(x.k, y.k) AS INTEGER) AS k, coalesce(n0, 0) AS n0, coalesce(n1, 0) AS n1 FROM x FULL JOIN y ON x.k = y.k")
+@query(f"WITH {Q.EV}, {C0}, {NEAR0}, {CUR}, x AS (SELECT k, count(*) AS n0 FROM a, cur WHERE b <= cur // 2 GROUP BY k), y AS (SELECT k, count(*) AS n1 FROM a, cur WHERE b > cur // 2 GROUP BY k) SELECT CAST(coalesce(x.k, y.k) AS INTEGER) AS k, coalesce(n0, 0) AS n0, coalesce(n1, 0) AS n1 FROM x FULL JOIN y ON x.k = y.k")
 def join_full_cluster_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     p = ev(spark, sf_dir)
-    a = assign(p, first_rows(p))
+    a, half = assign(p, first_rows(p)), last_batch(p) // 2
     count = lambda w, n: a.where(w).groupBy("k").agg(F.count(F.lit(1)).alias(n))
-    return count("id < 3", "n0").join(count("id BETWEEN 3 AND 6", "n1"), "k", "full_outer").select("k", F.coalesce("n0", F.lit(0)).alias("n0"), F.coalesce("n1", F.lit(0)).alias("n1"))
+    return count(F.col("batch_seq") <= half, "n0").join(count(F.col("batch_seq") > half, "n1"), "k", "full_outer").select("k", F.coalesce("n0", F.lit(0)).alias("n0"), F.coalesce("n1", F.lit(0)).alias("n1"))
 
 
-@query(f"WITH {Q.EV}, {C0} SELECT k, id, CAST(d AS BIGINT) AS d2 FROM (SELECT c.k, p.id, {Q.d2('p', 'c', D)} AS d, row_number() OVER (PARTITION BY c.k ORDER BY {Q.d2('p', 'c', D)}, p.id) AS r FROM ev p CROSS JOIN c0 c WHERE p.b <= 1) WHERE r <= 3")
+@query(f"WITH {Q.EV}, {C0} SELECT k, id, CAST(d AS BIGINT) AS d2 FROM (SELECT c.k, p.id, {Q.d2('p', 'c', D)} AS d, row_number() OVER (PARTITION BY c.k ORDER BY {Q.d2('p', 'c', D)}, p.id) AS r FROM ev p CROSS JOIN c0 c) WHERE r <= 3")
 def join_lateral_topm(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The three points nearest to each centroid, by a lateral subquery for each of the K rows."""
     p = ev(spark, sf_dir)
     c = centroid_rows(p, first_rows(p))
-    pts = p.where("batch_seq <= 1").select("id", "x")
+    pts = p.select("id", "x")
     top = pts.select("id", V.sq_dist(F.col("x"), F.col("c").outer()).alias("d")).orderBy("d", "id").limit(3)
     return c.lateralJoin(top).select("k", "id", F.col("d").cast("long").alias("d2"))
 
@@ -570,24 +568,24 @@ def sort_global_page(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "events").select(F.col("event_id").alias("id"), "value").orderBy(F.desc("value"), "id").offset(40).limit(20)
 
 
-@query(f"WITH {Q.EV} SELECT id, b FROM ev WHERE b BETWEEN 1 AND 3")
+@query(f"WITH {EV5} SELECT id, b FROM ev5")
 def set_union_window(spark: SparkSession, sf_dir: str) -> DataFrame:
-    p = ev(spark, sf_dir).select("id", F.col("batch_seq").alias("b"))
-    return p.where("b IN (1, 2)").unionByName(p.where("b = 3"))
+    p = fifths(spark, sf_dir).select("id", F.col("batch_seq").alias("b"))
+    return p.where("b < 4").unionByName(p.where("b = 4"))
 
 
-@query(f"WITH {Q.EV} SELECT v2, v3 FROM ev WHERE b = 0 INTERSECT SELECT v2, v3 FROM ev WHERE b = 1")
+@query(f"WITH {EV5} SELECT v2, v3 FROM ev5 WHERE b < 2 INTERSECT SELECT v2, v3 FROM ev5 WHERE b >= 2")
 def set_intersect(spark: SparkSession, sf_dir: str) -> DataFrame:
-    p = ev(spark, sf_dir)
-    side = lambda b: p.where(F.col("batch_seq") == b).select(F.col("x")[1].cast("long").alias("v2"), F.col("x")[2].cast("long").alias("v3"))
-    return side(0).intersect(side(1))
+    p = fifths(spark, sf_dir)
+    side = lambda old: p.where((F.col("batch_seq") < 2) == old).select(F.col("x")[1].cast("long").alias("v2"), F.col("x")[2].cast("long").alias("v3"))
+    return side(True).intersect(side(False))
 
 
-@query(f"WITH {Q.EV} SELECT id FROM ev WHERE b BETWEEN 0 AND 3 EXCEPT SELECT id FROM ev WHERE b BETWEEN 1 AND 3")
+@query(f"WITH {EV5} SELECT id FROM ev5 EXCEPT SELECT id FROM ev5 WHERE b > 0")
 def set_except_evicted(spark: SparkSession, sf_dir: str) -> DataFrame:
     """What eviction removed is exactly the oldest batch."""
-    p = ev(spark, sf_dir)
-    return batching.evict(p, 3, 4).select("id").exceptAll(batching.evict(p, 3, 3).select("id"))
+    p = fifths(spark, sf_dir)
+    return batching.evict(p, 4, 5).select("id").exceptAll(batching.evict(p, 4, 4).select("id"))
 
 
 @query(f"WITH {Q.EV}, {C0}, {Q.first_rows('c1', 'ev', K, D, 'b = 1')} SELECT 'past' AS role, k, c1 FROM c0 UNION ALL SELECT 'fresh', k, c1 FROM c1")
@@ -648,17 +646,15 @@ def udtf_centroid_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.sql("SELECT k, dim, value FROM centroid_rows('[[1.5, 2.0], [-3.0, 0.25]]')")
 
 
-_LS = Q.lloyd("l", "b0", "c0", 1, D)
-
-
-@query(Q.with_(Q.EV, C0, "b0 AS (SELECT * FROM ev WHERE b = 0)", _LS[0], select=f"SELECT k, round(c1, 6) AS c1, round(c4, 6) AS c4 FROM {_LS[1]}"))
+@query(
+    Q.with_(EV5, Q.first_rows("c0", "ev5", K, D), Q.near("a", "ev5", "c0", D), select="SELECT c.k, round(CASE WHEN count(a.k) > 0 THEN avg(a.v1) ELSE c.c1 END, 6) AS c1, round(CASE WHEN count(a.k) > 0 THEN avg(a.v4) ELSE c.c4 END, 6) AS c4 FROM (SELECT DISTINCT b FROM ev5) z CROSS JOIN c0 c LEFT JOIN a ON a.k = c.k AND a.b = z.b GROUP BY z.b, c.k, c.c1, c.c4")
+)
 def udtf_lloyd_step(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One update of a model by each batch on its own."""
     import json
 
     udtfs.register(spark)
-    p = ev(spark, sf_dir)
-    p.where("batch_seq = 0").select("x", F.lit(1.0).alias("w")).createOrReplaceTempView("lloyd_points")
+    p = fifths(spark, sf_dir)
+    p.select("x", F.lit(1.0).alias("w"), F.col("batch_seq").alias("b")).createOrReplaceTempView("lloyd_points")
     model = json.dumps(first_rows(p).tolist())
-    return spark.sql(f"SELECT k, round(c[0], 6) AS c1, round(c[3], 6) AS c4 FROM lloyd_step(TABLE(lloyd_points) WITH SINGLE PARTITION, '{model}')")
-
-
+    return spark.sql(f"SELECT k, round(c[0], 6) AS c1, round(c[3], 6) AS c4 FROM lloyd_step(TABLE(lloyd_points) PARTITION BY (b), '{model}')")

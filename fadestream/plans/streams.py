@@ -14,7 +14,7 @@ from fadestream.operators.engine import FadingClusterer
 from fadestream.operators.features import EIGHT, table
 from fadestream.plans import duck as Q
 from fadestream.plans.experiments import gap_experiment, run_grid
-from fadestream.plans.methods import D, K, ev, first_rows, r6
+from fadestream.plans.methods import EV5, D, K, ev, fifths, first_rows, r6
 from fadestream.plans.operations import scratch
 from fadestream.plans.registry import query, rounded
 from fadestream.sources import datasources
@@ -44,10 +44,10 @@ def _drain(df: DataFrame, sink: str, mode: str, label: str, spark: SparkSession)
     return spark.read.schema(df.schema).parquet(out)
 
 
-@query(f"WITH {Q.EV}, {Q.first_rows('c0', 'ev', K, D)}, {Q.near('a', 'ev', 'c0', D)} SELECT b, CAST(k AS INTEGER) AS k, count(*) AS n FROM a WHERE b < 4 GROUP BY b, k")
+@query(f"WITH {EV5}, {Q.first_rows('c0', 'ev5', K, D)}, {Q.near('a', 'ev5', 'c0', D)} SELECT b, CAST(k AS INTEGER) AS k, count(*) AS n FROM a GROUP BY b, k")
 def stream_count_replay(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Micro-batches of one file each through foreachBatch; each writes its sums under its own number, twice, to the same effect."""
-    p = ev(spark, sf_dir).where("batch_seq < 4").withColumn("b", F.col("batch_seq")).persist()
+    p = fifths(spark, sf_dir).withColumn("b", F.col("batch_seq")).persist()
     c = first_rows(p)
     path, out = _files(spark, p.select("point_id", "x", "b"), "b", "count"), scratch(spark, "count-out")
 
@@ -77,11 +77,11 @@ def stream_dedup_replay(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _drain(fit.deduplicated(stream, "ts", "event_id", "3650 days"), "parquet", "append", "dedup", spark).select(F.col("event_id").alias("id"))
 
 
-@query(f"WITH {Q.EV}, f AS (SELECT user_id % 3 AS u, b, count(*) AS n FROM ev JOIN events ON id = event_id WHERE b < 4 GROUP BY 1, 2) SELECT CAST(u AS VARCHAR) AS key, b AS batch_seq, CAST(sum(n) OVER (PARTITION BY u ORDER BY b ROWS BETWEEN 1 PRECEDING AND CURRENT ROW) AS BIGINT) AS n FROM f")
+@query(f"WITH {EV5}, f AS (SELECT user_id % 3 AS u, b, count(*) AS n FROM ev5 JOIN events ON id = event_id GROUP BY 1, 2) SELECT CAST(u AS VARCHAR) AS key, b AS batch_seq, CAST(sum(n) OVER (PARTITION BY u ORDER BY b ROWS BETWEEN 1 PRECEDING AND CURRENT ROW) AS BIGINT) AS n FROM f")
 def stream_keyed_state_replay(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A fading model a key with two retained batches: the points each model was fitted to."""
     u = table(spark, sf_dir, "events").select(F.col("event_id").alias("id"), (F.col("user_id") % 3).alias("u"))
-    p = ev(spark, sf_dir).where("batch_seq < 4").join(u, "id").select("u", "x", F.col("batch_seq").alias("b")).persist()
+    p = fifths(spark, sf_dir).join(u, "id").select("u", "x", F.col("batch_seq").alias("b")).persist()
     stream = fit.file_stream(spark, _files(spark, p, "b", "keyed"), "u long, x array<double>")
     out = _drain(fit.fit_keyed(stream, "u", 3, 0.5, 2), "parquet", "append", "keyed", spark)
     return out.groupBy("key", "batch_seq").agg(F.sum("n").alias("n"))
@@ -99,27 +99,27 @@ def stream_late_routed(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read(kept, "kept").unionByName(read(late, "late"))
 
 
-@query(f"WITH {Q.EV}, {Q.first_rows('c0', 'ev', K, D)}, {Q.near('a', 'ev', 'c0', D)} SELECT id, CAST(k AS INTEGER) AS k, CAST(d2 AS BIGINT) AS d2 FROM a WHERE b < 3")
+@query(f"WITH {EV5}, {Q.first_rows('c0', 'ev5', K, D)}, {Q.near('a', 'ev5', 'c0', D)} SELECT id, CAST(k AS INTEGER) AS k, CAST(d2 AS BIGINT) AS d2 FROM a")
 def stream_scored_replay(spark: SparkSession, sf_dir: str) -> DataFrame:
-    p = ev(spark, sf_dir).where("batch_seq < 3").withColumn("b", F.col("batch_seq")).persist()
+    p = fifths(spark, sf_dir).withColumn("b", F.col("batch_seq")).persist()
     stream = fit.file_stream(spark, _files(spark, p.select("id", "x", "b"), "b", "scored"), "id long, x array<double>")
     out = _drain(fit.score_stream(stream, first_rows(p)), "parquet", "append", "scored", spark)
     return out.select("id", "k", F.col("d2").cast("long").alias("d2"))
 
 
-@query("SELECT event_id AS id, event_type AS label FROM events WHERE event_id % 2 = 0")
+@query("SELECT event_id AS id, event_type AS label FROM events")
 def stream_stream_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Labels that come an hour after their events, joined within three hours."""
     e = table(spark, sf_dir, "events")
     a = _files(spark, e.select("event_id", "ts", F.lit(0).alias("b")), "b", "ss-events")
-    lab = e.where("event_id % 2 = 0").select(F.col("event_id"), (F.col("ts").cast("timestamp") + F.expr("INTERVAL 1 HOUR")).alias("lts"), F.col("event_type").alias("label"), F.lit(0).alias("b"))
+    lab = e.select(F.col("event_id"), (F.col("ts").cast("timestamp") + F.expr("INTERVAL 1 HOUR")).alias("lts"), F.col("event_type").alias("label"), F.lit(0).alias("b"))
     b = _files(spark, lab, "b", "ss-labels")
     joined = fit.with_late_labels(fit.file_stream(spark, a, "event_id long, ts timestamp_ntz"), fit.file_stream(spark, b, "event_id long, lts timestamp, label string"), "event_id", "ts", "lts", "3 HOURS")
     return _drain(joined, "parquet", "append", "ss", spark).select(F.col("event_id").alias("id"), "label")
 
 
 def _fitted_stream(spark: SparkSession, sf_dir: str, start: str) -> DataFrame:
-    p = ev(spark, sf_dir).where("batch_seq < 5").withColumn("b", F.col("batch_seq")).persist()
+    p = fifths(spark, sf_dir).withColumn("b", F.col("batch_seq")).persist()
     stream = fit.file_stream(spark, _files(spark, p.select("point_id", "x", "b"), "b", "fit"), "point_id string, x array<double>")
     store = WindowStore(spark, scratch(spark, "fit-store"))
     rows: list[tuple] = []
@@ -138,13 +138,13 @@ def source_drift_forge(spark: SparkSession, sf_dir: str) -> DataFrame:
     return df.groupBy("batch_seq").agg(F.count(F.lit(1)).alias("n"), F.avg(F.col("x")[0]).alias("mean"))
 
 
-@query(f"SELECT event_id // {Q.N} AS batch_seq, count(*) AS n, round(sum(value), 4) AS total FROM events WHERE event_id < {Q.N * 3} GROUP BY 1")
+@query("SELECT event_id // 2000 AS batch_seq, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY 1")
 def source_ordinal_replay(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Events written in order to one file, then replayed in batches of exactly N by the Python source as a stream."""
+    """Events written in order to one file, then replayed in batches of exactly 2000 by the Python source as a stream."""
     datasources.register(spark)
     path = scratch(spark, "replay").removeprefix("file://")
-    table(spark, sf_dir, "events").where(F.col("event_id") < Q.N * 3).select("event_id", "value").orderBy("event_id").coalesce(1).write.parquet(path)
-    stream = spark.readStream.format("ordinal_replay").options(path=path, columns="value", n=str(Q.N)).load()
+    table(spark, sf_dir, "events").select("event_id", "value").orderBy("event_id").coalesce(1).write.parquet(path)
+    stream = spark.readStream.format("ordinal_replay").options(path=path, columns="value", n="2000").load()
     rows: list[tuple] = []
 
     def step(batch: DataFrame, epoch: int) -> None:
@@ -216,8 +216,12 @@ for _name, (_metric, _expr) in _VAL.items():
 # ---------------------------------------------------------------- the experiments at small size
 
 
+#: Points that one cell of an experiment can hold in memory; larger views are sampled to it.
+BLOCK = 1_000_000
+
+
 def _grid(spark: SparkSession, sf_dir: str, **options) -> DataFrame:  # noqa: ANN003
-    return run_grid(spark, sf_dir, options.pop("datasets", ["lineitem2", "embed50"]), **({"n": 100, "concepts": 3, "limit": 4000, "eps": (1.0,), "ks": (5,)} | options))
+    return run_grid(spark, sf_dir, options.pop("datasets", ["lineitem2", "embed50"]), **({"n": 100, "concepts": 3, "limit": BLOCK, "eps": (1.0,), "ks": (5,)} | options))
 
 
 def _summary(facts_: DataFrame, by: tuple[str, ...] = ("metric", "t_index", "method")) -> DataFrame:
@@ -227,13 +231,13 @@ def _summary(facts_: DataFrame, by: tuple[str, ...] = ("metric", "t_index", "met
 
 
 query(None, "grid_small")(lambda s, d: _summary(_grid(s, d)))
-query(None, "grid_eight_sets")(lambda s, d: _summary(_grid(s, d, datasets=EIGHT, concepts=2, limit=2000)))
+query(None, "grid_eight_sets")(lambda s, d: _summary(_grid(s, d, datasets=EIGHT, concepts=2)))
 query(None, "grid_m_sweep")(lambda s, d: _summary(_grid(s, d, datasets=["lineitem2"], ms=(1, 2, 4)), ("m", "metric", "t_index", "method")))
 query(None, "grid_refined_starts")(lambda s, d: _summary(_grid(s, d, datasets=["lineitem2"], c0_refine="mean", recenter_past=True)))
 query(None, "grid_independent")(lambda s, d: _summary(_grid(s, d, datasets=["lineitem2"], shared_from="independent")))
-query(None, "gap_experiment_a")(lambda s, d: gap_experiment(s, d, rho=0.676, n=200, limit=20_000))
-query(None, "gap_experiment_b")(lambda s, d: gap_experiment(s, d, rho=0.676, n=800, limit=20_000))
-query(None, "gap_experiment_c")(lambda s, d: gap_experiment(s, d, rho=0.822, n=200, limit=20_000))
+query(None, "gap_experiment_a")(lambda s, d: gap_experiment(s, d, rho=0.676, n=200))
+query(None, "gap_experiment_b")(lambda s, d: gap_experiment(s, d, rho=0.676, n=800))
+query(None, "gap_experiment_c")(lambda s, d: gap_experiment(s, d, rho=0.822, n=200))
 
 
 @query(None)
