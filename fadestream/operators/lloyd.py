@@ -51,7 +51,7 @@ class SparkWindow:
 
 
 #: Points up to which a window is pulled into memory instead of being scanned by a job a pass.
-LOCAL_ROWS = 100_000
+LOCAL_ROWS = 20_000
 
 
 def window_of(df: DataFrame, local_rows: int = LOCAL_ROWS) -> Window:
