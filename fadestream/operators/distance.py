@@ -109,9 +109,29 @@ def partial_stats(df: DataFrame, models: Sequence[np.ndarray], weight_col: str |
     return df.select(*cols).mapInArrow(run, _STATS)
 
 
-def cluster_stats(df: DataFrame, models: Sequence[np.ndarray], weight_col: str | None = None) -> DataFrame:
-    """model, batch_seq, k, n, sx, sxx, sse: the materialised sums of a window under each model."""
+#: Coordinates of one model up to which a pass stays in generated code; beyond, blocks and a matrix product are faster.
+EXPR_MAX = 40
+
+
+def _expr_stats(df: DataFrame, c: np.ndarray, weight_col: str | None) -> DataFrame:
+    w = F.col(weight_col).cast("double") if weight_col else F.lit(1.0)
+    x = [F.col("x")[j] for j in range(c.shape[1])]
+    near = V.nearest_struct(F.col("x"), c)
+    rows = df.select("batch_seq", near.alias("near"), w.alias("w"), *(v.alias(f"x{j}") for j, v in enumerate(x)))
+    weigh = (lambda e: e) if weight_col is None else (lambda e: F.col("w") * e)
+    square = sum((F.col(f"x{j}") * F.col(f"x{j}") for j in range(1, len(x))), F.col("x0") * F.col("x0"))
+    done = rows.groupBy("batch_seq", F.col("near.k").alias("k")).agg(
+        F.sum("w").alias("n"), *(F.sum(weigh(F.col(f"x{j}"))).alias(f"s{j}") for j in range(len(x))), F.sum(weigh(square)).alias("sxx"), F.sum(weigh(F.col("near.d2"))).alias("sse")
+    )
+    return done.select(F.lit(0).alias("model"), "batch_seq", "k", "n", F.array(*(f"s{j}" for j in range(len(x)))).alias("sx"), "sxx", "sse")
+
+
+def cluster_stats(df: DataFrame, models: Sequence[np.ndarray], weight_col: str | None = None, engine: str = "auto") -> DataFrame:
+    """model, batch_seq, k, n, sx, sxx, sse: the materialised sums of a window under each model. engine: expr (one model), arrow, auto."""
     d = np.asarray(models[0]).shape[1]
+    small = len(models) == 1 and np.asarray(models[0]).size <= EXPR_MAX
+    if engine == "expr" or (engine == "auto" and small):
+        return _expr_stats(df, np.asarray(models[0], dtype=float), weight_col)
     part = partial_stats(df, models, weight_col)
     sums = [F.sum(F.col("sx")[j]).alias(f"s{j}") for j in range(d)]
     done = part.groupBy("model", "batch_seq", "k").agg(F.sum("n").alias("n"), *sums, F.sum("sxx").alias("sxx"), F.sum("sse").alias("sse"))

@@ -3,15 +3,17 @@ distance to the old centroids has grown by the factor wanted."""
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fadestream.functions import vectors as V
 from fadestream.functions.kernels import nearest
-from fadestream.operators.distance import assign
+from fadestream.operators.distance import assign, block
 from fadestream.operators.lloyd import LocalWindow, lloyd
 from fadestream.operators.seeding import kmeans, local_kmpp
 
@@ -111,12 +113,17 @@ def shift_concept(tagged: DataFrame, xi: np.ndarray, alpha: float) -> DataFrame:
 
 
 def trial_errors(tagged: DataFrame, c: np.ndarray, xi: np.ndarray, alphas: np.ndarray) -> list[float]:
-    """Mean error of the block moved by each length, all in one scan."""
-    moved = [(f"a{i}", shift_by_case(xi, float(a))) for i, a in enumerate(alphas)]
-    near = [V.nearest_lambda(V.vec_add(F.col("x"), m), F.array(*(V.vec(r) for r in c)))["d2"].alias(n) for n, m in moved]
-    row = tagged.select(*near).agg(*(F.avg(n).alias(n) for n, _ in moved)).first()
-    return [row[n] for n, _ in moved]
-
-
-def shift_by_case(xi: np.ndarray, alpha: float):  # noqa: ANN201
-    return F.get(F.array(*(V.vec(alpha * r) for r in xi)), F.col("k"))
+    """Mean error of the block moved by each length, all in one scan: each task sends a sum for each length."""
+    n_alpha = len(alphas)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums, n = np.zeros(n_alpha), 0
+        for b in batches:
+            k, x = b.column(0).to_numpy(zero_copy_only=False), block(b.column(1), c.shape[1])
+            n += len(x)
+            for i, a in enumerate(alphas):
+                sums[i] += nearest(x + a * xi[k], c)[1].sum()
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(n_alpha, dtype=np.int32)), pa.array(sums), pa.array(np.full(n_alpha, n))], names=["i", "s", "n"])
+
+    rows = tagged.select("k", "x").mapInArrow(run, "i int, s double, n long").groupBy("i").agg((F.sum("s") / F.sum("n")).alias("e")).orderBy("i").collect()
+    return [r["e"] for r in rows]

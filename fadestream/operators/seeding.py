@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 
 from fadestream.functions import vectors as V
 from fadestream.functions.kernels import nearest
+from fadestream.operators.distance import UNROLL_MAX, assign
 from fadestream.operators.lloyd import lloyd_points
 
 
@@ -41,8 +42,11 @@ def seed_forgy(df: DataFrame, k: int, seed: int = 0) -> np.ndarray:
     return fill(_array(rows), k)
 
 
-def _nearest_d2(c: np.ndarray) -> Column:
-    return V.nearest_struct(F.col("x"), c)["d2"] if c.size <= 100 else V.nearest_lambda(F.col("x"), F.array(*(V.vec(r) for r in c)))["d2"]
+def with_d2(df: DataFrame, c: np.ndarray) -> DataFrame:
+    """df with __d, the squared distance to the nearest of c: generated code for few coordinates, blocks for many."""
+    if c.size <= UNROLL_MAX:
+        return df.withColumn("__d", V.nearest_struct(F.col("x"), c)["d2"])
+    return assign(df, c).withColumnRenamed("d2", "__d").drop("k")
 
 
 def kmpp_picks(df: DataFrame, k: int, seed: int = 0, power: int = 2, weight_col: str | None = None) -> list[tuple[object, list[float]]]:
@@ -57,8 +61,8 @@ def kmpp_picks(df: DataFrame, k: int, seed: int = 0, power: int = 2, weight_col:
         base = df
         load = w
         if chosen:
-            d2 = _nearest_d2(np.array([x for _, x in chosen]))
-            base = df.withColumn("__d", d2 if power == 2 else F.pow(d2, F.lit(power / 2.0))).where("__d > 0")
+            base = with_d2(df, np.array([x for _, x in chosen]))
+            base = (base if power == 2 else base.withColumn("__d", F.pow("__d", F.lit(power / 2.0)))).where("__d > 0")
             load = w * F.col("__d")
         race = F.min_by(F.struct("point_id", "x"), F.struct(-F.log(_u(seed, r)) / load, F.col("point_id"))).alias("p")
         row = base.where(w > 0).agg(race).first()["p"]
@@ -99,9 +103,9 @@ def local_forgy(x: np.ndarray, k: int, rng: np.random.Generator) -> np.ndarray:
 
 def parallel_round(df: DataFrame, chosen: np.ndarray, ell: float, seed: int, step: int) -> tuple[DataFrame, float]:
     """One oversampling round: the points that pass their own coin with probability min(1, ell * D^2 / total), and the total."""
-    d = _nearest_d2(chosen)
-    phi = df.agg(F.sum(d)).first()[0] or 0.0
-    picked = df.withColumn("__d", d).where((F.col("__d") > 0) & (_u(seed, f"par{step}") < F.least(F.lit(1.0), F.lit(ell) * F.col("__d") / F.lit(max(phi, 1e-300)))))
+    near = with_d2(df, chosen)
+    phi = near.agg(F.sum("__d")).first()[0] or 0.0
+    picked = near.where((F.col("__d") > 0) & (_u(seed, f"par{step}") < F.least(F.lit(1.0), F.lit(ell) * F.col("__d") / F.lit(max(phi, 1e-300)))))
     return picked.drop("__d"), phi
 
 
@@ -116,8 +120,6 @@ def seed_parallel(df: DataFrame, k: int, ell: float | None = None, rounds: int =
         rows = picked.select("x").collect()  # about ell points
         if rows:
             chosen = np.unique(np.vstack([chosen, _array(rows)]), axis=0)
-    from fadestream.operators.distance import assign
-
     counts = {r["k"]: r["count"] for r in assign(df.select("x"), chosen).groupBy("k").count().collect()}
     w = np.array([counts.get(i, 0) for i in range(len(chosen))], dtype=float)
     rng = np.random.default_rng(seed)

@@ -129,6 +129,11 @@ def test_one_scan_for_many_models(spark):
     df = frame(spark, np.random.default_rng(1).normal(size=(100, 2)))
     plan = cluster_stats(df, [np.zeros((2, 2)), np.ones((3, 2)), np.ones((1, 2))])._jdf.queryExecution().executedPlan().toString()
     assert plan.count("MapInArrow") == 1
+    w = df.withColumn("w", F.col("point_id").cast("double") % 3)
+    for col in (None, "w"):
+        a, b = ({(r["batch_seq"], r["k"]): r for r in cluster_stats(w, [np.eye(2)], col, e).collect()} for e in ("expr", "arrow"))
+        assert a.keys() == b.keys()
+        assert all(np.allclose([a[q][c] for c in ("n", "sxx", "sse")], [b[q][c] for c in ("n", "sxx", "sse")]) and np.allclose(a[q]["sx"], b[q]["sx"]) for q in a)
     for d in (1, 3, 7):
         x = np.random.default_rng(d).normal(size=(50, d))
         s = SparkWindow(frame(spark, x)).passes([x[:2]])[0]
