@@ -139,12 +139,25 @@ def cluster_stats(df: DataFrame, models: Sequence[np.ndarray], weight_col: str |
 
 
 def gather(stats: DataFrame, n_models: int, k: Sequence[int], d: int) -> list[Sums]:
-    """The few rows of cluster_stats as one Sums per model."""
-    rows = stats.collect()
-    seqs = sorted({r["batch_seq"] for r in rows})
-    at = {s: i for i, s in enumerate(seqs)}
-    out = [Sums.zeros(seqs, k[m], d) for m in range(n_models)]
-    for r in rows:
-        s, i = out[r["model"]], at[r["batch_seq"]]
-        s.n[i, r["k"]], s.sx[i, r["k"]], s.sxx[i, r["k"]], s.sse[i, r["k"]] = r["n"], r["sx"], r["sxx"], r["sse"]
+    """The few rows of cluster_stats or partial_stats as one Sums per model; parts of a cell add up."""
+    t = stats.toArrow()
+    model, seq, at = (t.column(c).to_numpy() for c in ("model", "batch_seq", "k"))
+    n, sxx, sse = (t.column(c).to_numpy() for c in ("n", "sxx", "sse"))
+    sx = np.asarray(t.column("sx").combine_chunks().flatten(), dtype=float).reshape(-1, d)
+    seqs, place = np.unique(seq, return_inverse=True)
+    out = []
+    for m in range(n_models):
+        s, mine = Sums.zeros(seqs, k[m], d), model == m
+        cell = (place[mine], at[mine])
+        for target, values in ((s.n, n), (s.sx, sx), (s.sxx, sxx), (s.sse, sse)):
+            np.add.at(target, cell, values[mine])
+        out.append(s)
     return out
+
+
+def few_parts(df: DataFrame, cells: int, most: int = 200_000) -> bool:
+    """Whether the tasks over df are few enough to send their sums straight to the driver, judged by the plan's size estimate."""
+    spark = df.sparkSession
+    size = float(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    tasks = max(size / (64 << 20), float(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
+    return tasks * cells <= most

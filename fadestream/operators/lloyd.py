@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fadestream.functions.kernels import Sums, sums_of, update
-from fadestream.operators.distance import cluster_stats, gather
+from fadestream.operators.distance import cluster_stats, few_parts, gather, partial_stats
 
 
 class Window(Protocol):
@@ -44,10 +44,15 @@ class SparkWindow:
 
     df: DataFrame
     weight_col: str | None = None
+    direct: bool | None = None
 
     def passes(self, models: Sequence[np.ndarray]) -> list[Sums]:
-        d = np.asarray(models[0]).shape[1]
-        return gather(cluster_stats(self.df, models, self.weight_col), len(models), [len(m) for m in models], d)
+        """Few tasks send their sums straight here (one stage); many add them up on executors first (one exchange of sums)."""
+        d, k = np.asarray(models[0]).shape[1], [len(m) for m in models]
+        if self.direct is None:
+            self.direct = few_parts(self.df, 16 * sum(k))
+        stats = partial_stats(self.df, models, self.weight_col) if self.direct else cluster_stats(self.df, models, self.weight_col)
+        return gather(stats, len(models), k, d)
 
 
 #: Points up to which a window is pulled into memory instead of being scanned by a job a pass.

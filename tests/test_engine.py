@@ -136,7 +136,9 @@ def test_one_scan_for_many_models(spark):
         assert all(np.allclose([a[q][c] for c in ("n", "sxx", "sse")], [b[q][c] for c in ("n", "sxx", "sse")]) and np.allclose(a[q]["sx"], b[q]["sx"]) for q in a)
     for d in (1, 3, 7):
         x = np.random.default_rng(d).normal(size=(50, d))
-        s = SparkWindow(frame(spark, x)).passes([x[:2]])[0]
+        for direct in (True, False):
+            s = SparkWindow(frame(spark, x), direct=direct).passes([x[:2]])[0]
+            assert np.allclose(s.n, LocalWindow(x, np.zeros(50, dtype=int)).passes([x[:2]])[0].n)
         assert np.allclose(s.sx, LocalWindow(x, np.zeros(50, dtype=int)).passes([x[:2]])[0].sx)
 
 
