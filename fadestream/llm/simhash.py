@@ -15,6 +15,7 @@ null takes part and shows the component of its fingerprint; an empty table gives
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable, Iterator
 from itertools import combinations
 
@@ -229,42 +230,36 @@ def simhash_classes(docs: DataFrame, k: int = 3, threshold: int = 2, seed: int =
     return prints.join(classes, "fp")
 
 
-#: Word families for near copies: bits of a fingerprint, families, threshold; words of a shingle and similarity that count.
-BITS, FAMILIES, NEAR, SHINGLE, SIMILAR = 44, 8, 2, 5, 0.8
-#: Representatives of the texts that share a fingerprint of a family.
-REPRESENTATIVES = 1
-
-
-def word_families(words: list[bytes]) -> np.ndarray:
-    """FAMILIES fingerprints of BITS bits over the set of words: neighbours even where every fifth shingle differs."""
-    n = -(-BITS * FAMILIES // 64)
-    h = np.array([xxhash.xxh64_intdigest(w, 1) for w in set(words)], dtype=np.uint64)
-    counts, size = np.zeros(64 * n, dtype=np.int64), len(h)
-    for lo in range(0, size, CHUNK // n):
-        part = h[lo : lo + CHUNK // n]
-        seeds = np.arange(1, n + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
-        mixed = (part[:, None] ^ seeds) * np.uint64(0xBF58476D1CE4E5B9)
-        mixed = (mixed ^ (mixed >> np.uint64(29))) * np.uint64(0x94D049BB133111EB)
-        mixed ^= mixed >> np.uint64(32)
-        counts += np.unpackbits(mixed.view(np.uint8).reshape(len(part), -1), axis=1).sum(axis=0, dtype=np.int64)
-    bits = (counts[: BITS * FAMILIES] * 2 > size).reshape(FAMILIES, BITS)
-    return (bits.astype(np.uint64) << np.arange(BITS, dtype=np.uint64)).sum(axis=1, dtype=np.uint64)
+#: Words of a shingle and similarity that count for near copies.
+SHINGLE, SIMILAR = 5, 0.8
+#: Texts of a block of a large group (two blocks are compared at a time); groups of up to PAIRED texts are joined pair by pair.
+BLOCK, PAIRED = 256, 32
+#: Cells of the frequency sketch, a byte each to broadcast. It only orders shingles: fewer cells cost time, never a pair.
+CELLS_MAX = 1 << 24
 
 
 def _texts(docs: DataFrame) -> DataFrame:
-    """doc_id, key (128-bit hash of the lower-cased words), fps."""
+    """doc_id, key (128-bit hash of the lower-cased words), id (its first half)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches):
-            keys, fps = [], []
-            for t in b.column(1).cast(pa.binary()).to_pylist():
-                words = (t or b"").lower().split()
-                keys.append(xxhash.xxh3_128_digest(b" ".join(words)))
-                fps.append(word_families(words).view(np.int64))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(keys, pa.binary()), pa.array(fps, pa.list_(pa.int64()))], names=["doc_id", "key", "fps"])
+            keys = [_key(t) for t in b.column(1).cast(pa.binary()).to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(keys, pa.binary()), pa.array([_half(k) for k in keys], pa.int64())], names=["doc_id", "key", "id"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, key binary, fps array<long>")
+    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, key binary, id long")
+
+
+def _key(text: bytes | None) -> bytes:
+    return xxhash.xxh3_128_digest(b" ".join((text or b"").lower().split()))
+
+
+def _half(key: bytes) -> int:
+    return int.from_bytes(key[:8], "big", signed=True)
+
+
+def _set(text: bytes | None) -> np.ndarray:
+    return np.unique(np.array(shingle_hashes(text or b"", SHINGLE), dtype=np.uint64))
 
 
 def _shingled(docs: DataFrame) -> DataFrame:
@@ -272,42 +267,179 @@ def _shingled(docs: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches):
-            keys, sets = [], []
-            for t in b.column(0).cast(pa.binary()).to_pylist():
-                keys.append(xxhash.xxh3_128_digest(b" ".join((t or b"").lower().split())))
-                sets.append(np.unique(np.array(shingle_hashes(t or b"", SHINGLE), dtype=np.uint64).view(np.int64)))
-            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(sets, pa.list_(pa.int64()))], names=["key", "sh"])
+            texts = b.column(0).cast(pa.binary()).to_pylist()
+            yield pa.RecordBatch.from_arrays([pa.array([_key(t) for t in texts], pa.binary()), pa.array([_set(t).view(np.int64) for t in texts], pa.list_(pa.int64()))], names=["key", "sh"])
 
     return docs.select("text").mapInArrow(run, "key binary, sh array<long>")
 
 
+def _frequencies(docs: DataFrame, cells: int) -> np.ndarray:
+    """About how many texts hold a shingle of each cell, on a log scale; counted by task, added up by executors."""
+    part = 1 << 16
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen = np.zeros(cells, dtype=np.uint8)
+        for b in slices(batches):
+            sets = [_set(t) for t in b.column(0).cast(pa.binary()).to_pylist()]
+            at, n = np.unique(np.concatenate(sets) & np.uint64(cells - 1), return_counts=True)
+            seen[at] = np.minimum(seen[at] + n, 255)
+        for lo in range(0, cells, part):
+            if seen[lo : lo + part].any():
+                yield pa.RecordBatch.from_pydict({"block": pa.array([lo], pa.int64()), "n": [seen[lo : lo + part].tobytes()]})
+
+    def total(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums: dict[int, np.ndarray] = {}
+        for b in batches:
+            for lo, n in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                sums[lo] = sums.get(lo, 0) + np.frombuffer(n, dtype=np.uint8).astype(np.int64)
+        for lo, n in sums.items():
+            yield pa.RecordBatch.from_pydict({"block": pa.array([lo], pa.int64()), "n": [np.minimum(8 * np.log2(1 + n), 255).astype(np.uint8).tobytes()]})
+
+    out = np.zeros(cells, dtype=np.uint8)
+    kind = "block long, n binary"
+    for lo, n in docs.select("text").mapInArrow(count, kind).repartition("block").mapInArrow(total, kind).collect():
+        out[lo : lo + part] = np.frombuffer(n, dtype=np.uint8)
+    return out
+
+
+def _prefixes(docs: DataFrame, cells: int) -> DataFrame:
+    """h, id, size, pos (place from rare to frequent): the rarest shingles of each text, so many that two texts of similarity SIMILAR share one whatever the edit."""
+    probe = docs.sparkSession.sparkContext.broadcast(_frequencies(docs, cells))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in slices(batches):
+            ids, kept, sizes, places = [], [], [], []
+            for t in b.column(0).cast(pa.binary()).to_pylist():
+                sh = _set(t)
+                if len(sh):
+                    n = len(sh) - math.ceil(SIMILAR * len(sh) - 1e-9) + 1
+                    kept.append(sh[np.lexsort((sh, probe.value[sh & np.uint64(cells - 1)]))[:n]])
+                    ids.append(np.full(n, _half(_key(t))))
+                    sizes.append(np.full(n, len(sh), dtype=np.int32))
+                    places.append(np.arange(n, dtype=np.int32))
+            if kept:
+                cols = [np.concatenate(kept).view(np.int64), *(np.concatenate(x) for x in (ids, sizes, places))]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["h", "id", "size", "pos"])
+
+    return docs.select("text").mapInArrow(run, "h long, id long, size int, pos int")
+
+
+def _verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """Those of the pairs (a, b) whose whole sets are similar."""
+    both = pairs.join(sets.select(F.col("key").alias("a"), F.col("sh").alias("sa")), "a").join(sets.select(F.col("key").alias("b"), F.col("sh").alias("sb")), "b")
+    shared = F.size(F.array_intersect("sa", "sb"))
+    return both.where(shared >= SIMILAR * (F.size("sa") + F.size("sb") - shared)).select("a", "b")
+
+
+def close_pairs(left: list[np.ndarray], right: list[np.ndarray], columns: int = 1 << 22) -> np.ndarray:
+    """left x right: which sets are similar, by matrix products over the shingles that occur twice."""
+    sizes = np.array([len(x) for x in [*left, *right]])
+    _, col, n = np.unique(np.concatenate([*left, *right]), return_inverse=True, return_counts=True)
+    row, use = np.repeat(np.arange(len(sizes)), sizes), n[col] > 1
+    row, col = row[use], (np.cumsum(n > 1) - 1)[col[use]]
+    shared = np.zeros((len(left), len(right)))
+    step = max(1, columns // len(sizes))
+    order = np.argsort(col, kind="stable")
+    row, col = row[order], col[order]
+    for lo in range(0, int(col[-1]) + 1 if len(col) else 0, step):
+        a, b = np.searchsorted(col, (lo, lo + step))
+        held = np.zeros((len(sizes), step), dtype=np.float32)
+        held[row[a:b], col[a:b] - lo] = 1
+        shared += held[: len(left)] @ held[len(left) :].T
+    return shared >= SIMILAR * (sizes[: len(left), None] + sizes[None, len(left) :] - shared)
+
+
+def _compared(t: pa.Table) -> pa.Table:
+    """Two blocks (or one with itself) -> links (a, b) between texts of different roots, at most one less than there are texts."""
+    keys, roots, block = t["key"].to_pylist(), t["root"].to_pylist(), t["block"].to_pylist()
+    flat = t["sh"].combine_chunks()
+    ends = flat.offsets.to_numpy()
+    values = flat.values.to_numpy(zero_copy_only=False)
+    sets = [values[x:y] for x, y in zip(ends, ends[1:], strict=False)]
+    i, j = t["i"][0].as_py(), t["j"][0].as_py()
+    left, right = [k for k, b in enumerate(block) if b == i], [k for k, b in enumerate(block) if b == j]
+    a, b = [], []
+    if left and right:
+        number = {r: k for k, r in enumerate(dict.fromkeys(roots))}
+        at = np.array([number[r] for r in roots])
+        root = list(range(len(number)))
+
+        def find(k: int) -> int:
+            while root[k] != k:
+                root[k] = root[root[k]]
+                k = root[k]
+            return k
+
+        hit = close_pairs([sets[k] for k in left], [sets[k] for k in right]) & (at[left][:, None] != at[right][None, :])
+        for p, q in zip(*(z.tolist() for z in np.nonzero(hit)), strict=True):
+            x, y = find(at[left[p]]), find(at[right[q]])
+            if x != y:
+                root[max(x, y)] = min(x, y)
+                a.append(keys[left[p]])
+                b.append(keys[right[q]])
+    return pa.table({"a": pa.array(a, pa.binary()), "b": pa.array(b, pa.binary())})
+
+
+def _unsettled(many: DataFrame, joined: DataFrame, sets: DataFrame) -> DataFrame | None:
+    """Links (a, b) that large groups of texts (h, key) still lack, given the components joined (node, root) so far; None where all groups are whole.
+
+    Groups that overlap make one field of texts, dealt by hash into blocks; each two blocks meet in one task, so a pair costs a
+    place in a matrix and no row.
+    """
+    marked = many.join(joined.select(F.col("node").alias("key"), "root"), "key", "left").withColumn("root", F.coalesce("root", "key"))
+    marked = Stored(marked, "marked").df
+    broken = marked.groupBy("h").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.min("key").alias("lead")).where("lo <> hi").select("h", "lead")
+    rest = Stored(marked.join(broken, "h"), "rest").df
+    if rest.isEmpty():
+        return None
+    fields = components(rest.select("key", "lead"), "key", "lead").select(F.col("node").alias("key"), F.col("root").alias("field"))
+    fields = Stored(fields.join(rest.select("key", "root").distinct(), "key"), "fields").df
+    blocks = fields.groupBy("field").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"))
+    dealt = fields.join(blocks, "field").withColumn("block", F.pmod(F.xxhash64("key", F.lit(5)), "blocks").cast("int"))
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.select("field", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "key", "root")
+    return dealt.join(sets, "key").groupBy("field", "i", "j").applyInArrow(_compared, "a binary, b binary")
+
+
 def near_duplicates(docs: DataFrame) -> DataFrame:
     """doc_id, component_id: documents linked by a similarity of at least SIMILAR over sets of SHINGLE-word shingles.
 
-    Candidates share an anchor in one of FAMILIES fingerprints of their word sets; a text is compared with the representatives of
-    its own fingerprint and of the leading fingerprints near it, so links grow with texts, not with pairs of them; each link is
-    verified on the whole sets.
+    Exact: texts of that similarity share one of the rarest shingles of each (a prefix filter), so they meet in the group of that
+    shingle. Small groups are joined pair by pair, without pairs whose sizes and places rule them out. All of a large group are
+    compared with its best connected text first; where that leaves a group in more than one component, every pair between its
+    components is compared. Each link is verified on the whole sets.
     """
     rows = Stored(_texts(docs), "texts").df
-    texts = Stored(rows.groupBy("key").agg(F.min("doc_id").alias("least"), F.first("fps").alias("fps")), "keys").df
-    member = texts.select("key", F.posexplode("fps").alias("family", "fp"))
-    least = [F.min(F.struct(F.xxhash64("key", "family", F.lit(i)).alias("o"), F.col("key").alias("key")))["key"] for i in range(REPRESENTATIVES)]
-    groups = Stored(member.groupBy("family", "fp").agg(F.array_distinct(F.array(*least)).alias("reps")), "groups").df
-    links = anchor_links(groups.select("family", "fp"), NEAR, texts.count(), BITS, leaders)
-    towards = Stored(links.select("family", F.col("b").alias("fp"), F.col("a").alias("to")).distinct().unionByName(groups.select("family", "fp", F.col("fp").alias("to"))), "towards").df
-    # a fingerprint has few leaders near it (they are over NEAR bits apart), so its list of targets is short whatever its texts
-    targets = towards.join(groups.select("family", F.col("fp").alias("to"), "reps"), ["family", "to"]).groupBy("family", "fp").agg(F.array_distinct(F.flatten(F.collect_list("reps"))).alias("reps"))
-    listed = member.join(targets, ["family", "fp"]).select("key", F.explode("reps").alias("rep")).where(F.col("key") != F.col("rep"))
-    pairs = listed.select(F.least("key", "rep").alias("a"), F.greatest("key", "rep").alias("b")).distinct()
-    pairs = Stored(pairs, "pairs").df
-    ends = pairs.select(F.col("a").alias("key")).union(pairs.select("b")).distinct()
-    ids = Stored(texts.join(ends, "key").where(F.col("least").isNotNull()).select(F.col("least").alias("doc_id")), "ends").df
+    texts = Stored(rows.groupBy("key", "id").agg(F.min("doc_id").alias("least")), "keys").df
+    count = texts.count()
+    one = key_filter(texts.select(F.col("least").alias("doc_id")), count)  # one document a text and few others
+    cells = 1 << max(16, min(CELLS_MAX.bit_length() - 1, (32 * count).bit_length()))
+    prefixes = Stored(_prefixes(docs.where(one("doc_id")), cells), "prefixes").df
+    shared = Stored(prefixes.groupBy("h").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo <> hi").select("h"), "shared").df
+    again = key_filter(shared, shared.count())
+    listed = prefixes.where(again("h")).join(shared, "h").distinct().join(texts.select("id", "key"), "id").select("h", "key", "size", "pos")
+    listed = Stored(listed, "listed").df
+    listed = Stored(listed.join(listed.groupBy("h").agg(F.count(F.lit(1)).alias("n")), "h"), "counted").df
+    few, many = listed.where(F.col("n") <= PAIRED), Stored(listed.where(F.col("n") > PAIRED), "many").df
+    # at the first shingle that two texts share, what either has from there on bounds what they share
+    a, b = (few.select("h", F.col("key").alias(x), F.col("size").alias(f"s{x}"), (F.col("size") - F.col("pos")).alias(f"r{x}")) for x in "ab")
+    pairs = a.join(b, "h").where(F.expr("a < b") & ((1 + SIMILAR) * F.least("ra", "rb") >= SIMILAR * (F.col("sa") + F.col("sb")) - 1e-9)).select("a", "b")
+    # the text whose shingles most others hold leads: the original of edited copies rather than one of them
+    score = many.groupBy("key").agg(F.sum("n").alias("score"))
+    lead = many.join(score, "key").groupBy("h").agg(F.max(F.struct("score", "key", "size")).alias("lead"))
+    alike = F.least("size", "lead.size") >= SIMILAR * F.greatest("size", "lead.size") - 1e-9
+    led = many.join(lead, "h").where((F.col("key") != F.col("lead.key")) & alike)
+    led = led.select(F.least("key", "lead.key").alias("a"), F.greatest("key", "lead.key").alias("b"))
+    pairs = Stored(pairs.union(led).distinct(), "pairs").df
+    ends = pairs.select(F.col("a").alias("key")).union(pairs.select("b")).union(many.select("key")).distinct()
+    ids = Stored(texts.join(ends, "key").select(F.col("least").alias("doc_id")), "ends").df
     may_hit = key_filter(ids, ids.count())
     sets = Stored(_shingled(docs.where(may_hit("doc_id"))).dropDuplicates(["key"]), "sets").df
-    both = pairs.join(sets.select(F.col("key").alias("a"), F.col("sh").alias("sa")), "a").join(sets.select(F.col("key").alias("b"), F.col("sh").alias("sb")), "b")
-    shared = F.size(F.array_intersect("sa", "sb"))
-    linked = both.where((F.size("sa") > 0) & (shared >= SIMILAR * (F.size("sa") + F.size("sb") - shared))).select("a", "b")
-    joined = components(linked, "a", "b")
+    links = Stored(_verified(pairs, sets), "verified").df
+    joined = components(links, "a", "b")
+    more = None if many.isEmpty() else _unsettled(many, joined, sets)
+    if more is not None:
+        joined = components(links.union(more), "a", "b")
     roots = texts.select("key", "least").join(joined.select(F.col("node").alias("key"), "root"), "key", "left").withColumn("root", F.coalesce("root", "key"))
     roots = Stored(roots, "roots").df
     names = roots.groupBy("root").agg(F.min("least").alias("component_id"))

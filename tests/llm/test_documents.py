@@ -203,6 +203,58 @@ def test_near_copies_of_any_size_are_found(spark):
     assert kept == {i for i in out if out[i] == i}
 
 
+def star(rng, n=1000, words=250, edits=5):
+    """An original and n copies with some words replaced, each by a word of its own: similar to the original, not to each other."""
+    base = [f"w{i}" for i in rng.sample(range(10**6), words)]
+    texts = []
+    for c in range(n):
+        copy = list(base)
+        for at in rng.sample(range(words), edits):
+            copy[at] = f"c{c}x{at}"
+        texts.append(" ".join(copy))
+    return [*texts, " ".join(base)]
+
+
+def test_near_copies_of_a_star_are_one_group(spark):
+    texts = star(random.Random(11))
+    sets = [shingles(t) for t in texts]
+    true = [len(s & sets[-1]) >= 0.8 * len(s | sets[-1]) for s in sets]
+    assert sum(true) > 900
+    out = [r["component_id"] for r in sorted(sh.near_duplicates(table(spark, texts)).collect(), key=lambda r: r["doc_id"])]
+    lost = sum(t and c != out[-1] for t, c in zip(true, out, strict=True))
+    assert lost == 0
+
+
+def brute_components(sets):
+    root = list(range(len(sets)))
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for a in range(len(sets)):
+        for b in range(a):
+            if sets[a] and sets[b] and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]):
+                x, y = find(a), find(b)
+                root[max(x, y)] = min(x, y)
+    return {i: find(i) for i in range(len(sets))}
+
+
+def test_near_copies_that_no_text_leads(spark, monkeypatch):
+    """Windows that slide along a text: everyone shares shingles with many, is similar to few, and all are one group by steps."""
+    monkeypatch.setattr(sh, "BLOCK", 8)
+    monkeypatch.setattr(sh, "PAIRED", 4)
+    rng = random.Random(12)
+    texts = []
+    for f in range(3):
+        line = [f"f{f}w{i}" for i in range(700)]
+        texts += [" ".join(line[at : at + 200]) for at in range(0, 500, 7) if f or at % 140 < 70]
+    rng.shuffle(texts)
+    out = {r["doc_id"]: r["component_id"] for r in sh.near_duplicates(table(spark, texts)).collect()}
+    assert out == brute_components([shingles(t) for t in texts])
+
+
 def brute_hits(words, items):
     marks, found = [False] * len(words), set()
     for item, item_words in items:
