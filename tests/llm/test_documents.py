@@ -255,6 +255,30 @@ def test_near_copies_that_no_text_leads(spark, monkeypatch):
     assert out == brute_components([shingles(t) for t in texts])
 
 
+@pytest.mark.parametrize("kind", ["truncated", "extended", "substituted"])
+def test_near_copies_are_found_whatever_the_edit(spark, kind):
+    rng = random.Random(13)
+    words = ["".join(rng.choices("abcdefghij", k=rng.randint(2, 7))) for _ in range(900)]
+    texts = []
+    for _ in range(150):
+        base = rng.choices(words, k=rng.choice([30, 120, 400]))
+        share = rng.uniform(0.02, 0.22)
+        cut = int(len(base) * share)
+        if kind == "truncated":
+            edited = base[: len(base) - cut]
+        elif kind == "extended":
+            edited = base + rng.choices(words, k=cut)
+        else:
+            edited = list(base)
+            for at in rng.sample(range(len(base)), max(1, cut // 8)):
+                edited[at] = rng.choice(words)
+        texts += [" ".join(base), " ".join(edited)]
+    want = brute_components([shingles(t) for t in texts])
+    assert 75 < sum(i != c for i, c in want.items()) <= 150
+    out = {r["doc_id"]: r["component_id"] for r in sh.near_duplicates(table(spark, texts)).collect()}
+    assert out == want
+
+
 def brute_hits(words, items):
     marks, found = [False] * len(words), set()
     for item, item_words in items:
