@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -74,19 +76,35 @@ def bic(n: np.ndarray, sse: float, d: int) -> float:
     return float(like - (k - 1 + d * k + 1) / 2 * math.log(total))
 
 
-def _normal_statistic(z: np.ndarray) -> float:
-    """Anderson-Darling statistic against a normal law with estimated moments."""
-    z = np.sort((z - z.mean()) / max(z.std(ddof=1), 1e-300))
-    n = len(z)
-    cdf = np.clip([0.5 * (1 + math.erf(v / math.sqrt(2))) for v in z], 1e-12, 1 - 1e-12)
-    i = np.arange(1, n + 1)
-    a2 = -n - ((2 * i - 1) * (np.log(cdf) + np.log(1 - cdf[::-1]))).mean()
+def _normal_statistic(values: DataFrame) -> float:
+    """Anderson-Darling statistic of all rows of one column z against a normal law with estimated moments: ranks come from a range exchange and counts of its partitions."""
+    n, mean, std = values.agg(F.count("z"), F.avg("z"), F.stddev_samp("z")).first()
+    dealt = values.repartitionByRange("z").sortWithinPartitions("z").withColumn("part", F.spark_partition_id()).persist()
+    starts, upto = {}, 0
+    for part, count in sorted(tuple(r) for r in dealt.groupBy("part").count().collect()):
+        starts[part], upto = upto, upto + count
+
+    def terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, total = None, 0.0
+        for b in batches:
+            if not b.num_rows:
+                continue
+            at = starts[b.column(1)[0].as_py()] if at is None else at
+            z = (b.column(0).to_numpy(zero_copy_only=False) - mean) / max(std, 1e-300)
+            cdf = np.clip([0.5 * (1 + math.erf(v / math.sqrt(2))) for v in z], 1e-12, 1 - 1e-12)
+            i = np.arange(at + 1, at + len(z) + 1)
+            total += float(((2 * i - 1) * np.log(cdf) + (2 * (n - i) + 1) * np.log(1 - cdf)).sum())
+            at += len(z)
+        yield pa.RecordBatch.from_pydict({"t": [total]})
+
+    a2 = -n - dealt.mapInArrow(terms, "t double").agg(F.sum("t")).first()[0] / n
+    dealt.unpersist()
     return float(a2 * (1 + 4 / n - 25 / n**2))
 
 
-def choose_k(df: DataFrame, k_max: int = 16, method: str = "bic_split", seed: int = 0, sample: int = 5000, critical: float = 1.8692) -> tuple[int, np.ndarray]:
+def choose_k(df: DataFrame, k_max: int = 16, method: str = "bic_split", seed: int = 0, critical: float = 1.8692) -> tuple[int, np.ndarray]:
     """Split clusters in two while it pays. bic_split: the information criterion of the part improves; normal_split: the part,
-    projected on the line between its halves, fails a normality test (on at most `sample` points); or the best of an index
+    projected on the line between its halves, fails a normality test on all its points; or the best of an index
     over 2..k_max: silhouette, davies_bouldin, calinski_harabasz. Returns K and centroids.
     """
     from fadestream.operators.distance import assign
@@ -123,8 +141,8 @@ def choose_k(df: DataFrame, k_max: int = 16, method: str = "bic_split", seed: in
                 split = bic(n, float(two.sums.sse.sum()), d) > bic(one.sums.n.sum(axis=0), float(one.sums.sse.sum()), d)
             else:
                 line = two.centroids[1] - two.centroids[0]
-                pts = np.array([r["x"] for r in part.select("x").limit(sample).collect()])
-                split = bool(line @ line) and _normal_statistic(pts @ line / (line @ line)) > critical
+                z = sum((F.col("x")[j] * float(v) for j, v in enumerate(line / max(line @ line, 1e-300))), F.lit(0.0))
+                split = bool(line @ line) and _normal_statistic(part.select(z.alias("z"))) > critical
             if split and (n > 0).all():
                 parts.extend(two.centroids)
                 grew = True

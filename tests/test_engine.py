@@ -308,3 +308,13 @@ def test_queries_equal_sql(spark, duck, sf_dir, name):
     a = sorted(tuple(show(r[c]) for c in order) for r in got.collect())
     b = sorted(tuple(show(r[cols.index(c)]) for c in order) for r in result.fetchall())
     assert a == b
+
+
+def test_normality_reads_every_point(spark):
+    """The first 5000 points are one normal lump, the rest another: all of them decide, in whatever order they lie."""
+    from fadestream.operators.kchoice import choose_k
+
+    rng = np.random.default_rng(5)
+    x = np.concatenate([rng.normal(0, 1, 5000), rng.normal(9, 1, 5000)])
+    df = spark.createDataFrame([(i, [float(v)]) for i, v in enumerate(x)], "point_id long, x array<double>").coalesce(1)
+    assert choose_k(df, 4, "normal_split")[0] == 2
