@@ -13,14 +13,20 @@ import functools
 import html as entities
 import random
 import re
+from bisect import bisect_left
+from collections import Counter
+from collections.abc import Iterator
 
 import numpy as np
 
+# Repeats are possessive: a tag is closed by the first > outside quotes or not at all, so nothing is tried twice.
 _TOKEN = re.compile(
-    r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*>|<(script|style|noscript|template|textarea|title|svg|iframe|select|button|object)\b(?:\"[^\"]*\"|'[^']*'|[^'\">])*>.*?(?:</\1\s*>|\Z)"
-    r"|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^'\">])*)>|[^<]+|<",
+    r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*+(?:>|\Z)|<(script|style|noscript|template|textarea|title|svg|iframe|select|button|object)\b(?:\"[^\"]*+\"|'[^']*+'|[^'\">])*+>.*?(?:</\1\s*+>|\Z)"
+    r"|<(/?)([a-zA-Z][^\s/>]*+)((?:\"[^\"]*+\"|'[^']*+'|[^'\">]++)*+)>|[^<]++|<",
     re.S | re.I,
 )
+_NAMED = re.compile(r"</?[a-zA-Z][^\s/>]*+")
+_EVENT = re.compile("[\"'>]")
 _ATTR = re.compile(r"(?:class|id|role|aria-label|itemprop)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 _HIDDEN = re.compile(r"(?:^|\s)hidden(?:\s|=|/|$)|display\s*:\s*none|aria-hidden\s*=\s*[\"']?true", re.I)
 _WORD = re.compile(r"[a-z]+")
@@ -28,8 +34,11 @@ _WORD = re.compile(r"[a-z]+")
 INLINE = frozenset("a abbr acronym b bdi bdo big br cite code data del dfn em font i img ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr input meta link source".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 P_CLOSERS = frozenset("address article aside blockquote div dl fieldset footer form h1 h2 h3 h4 h5 h6 header hr main nav ol p pre section table ul figure details".split())
-SAME_CLOSERS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
+SAME_CLOSERS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 STOPPERS = frozenset("ul ol dl table body html div section article td th blockquote main aside nav header footer form".split())
+_MARKED = STOPPERS | {"p"} | frozenset(x for names in SAME_CLOSERS.values() for x in names)
+#: Levels of a tree; what is nested deeper hangs at the last one, as in browsers.
+DEEPEST = 512
 
 TAGS = ["nav", "header", "footer", "aside", "form", "article", "main", "section", "div", "ul", "ol", "dl", "li", "p", "h1", "h2", "h3", "table", "blockquote", "pre", "figure", "body", "html", "#text"]
 _TAG_AT = {t: i for i, t in enumerate(TAGS)} | {"h4": 16, "h5": 16, "h6": 16, "tr": 17, "td": 17, "th": 17, "tbody": 17, "dt": 12, "dd": 12, "figcaption": 20, "fieldset": 4, "menu": 0}
@@ -52,6 +61,79 @@ N_FEATURES = len(TAGS) + len(GROUPS) + 9
 TEXT = "#text"
 
 
+def _closing(source: str, start: int) -> tuple[list[int], list[bool]]:
+    """Places of quotes and > from start on; for each, whether a tag that reaches it outside quotes is ever closed. One pass, from the right."""
+    events = list(_EVENT.finditer(source, start))
+    at, closed = [m.start() for m in events], [False] * (len(events) + 1)
+    later = {}  # the nearest quote of either kind to the right
+    for i in range(len(events) - 1, -1, -1):
+        c = events[i].group()
+        if c == ">":
+            closed[i] = True
+        else:
+            closed[i] = c in later and closed[later[c] + 1]
+            later[c] = i
+    return at, closed
+
+
+def tokens(source: str) -> Iterator[re.Match]:
+    """Matches of _TOKEN from end to end in time linear in the page. A < that opens a tag which nothing closes is text; from the
+    first of those on, a table says which tags are closed."""
+    pos = None
+    for m in _TOKEN.finditer(source):
+        if m.end() - m.start() == 1 and _NAMED.match(source, m.start()):
+            pos = m.start()
+            break
+        yield m
+    if pos is None:
+        return
+    at, closed = _closing(source, pos)
+    alone = re.compile("<")
+    while pos < len(source):
+        name = _NAMED.match(source, pos)
+        m = (alone if name and not closed[bisect_left(at, name.end())] else _TOKEN).match(source, pos)
+        yield m
+        pos = m.end()
+
+
+class _Stack:
+    """Open blocks (name, node); closers are looked up by count and by the few that bound a search, so no step walks a deep stack twice."""
+
+    def __init__(self) -> None:
+        self.open: list[tuple[str, int]] = [("html", 0)]
+        self.count: Counter = Counter()
+        self.marks: list[int] = []
+
+    def push(self, name: str, node: int) -> None:
+        if name in _MARKED:
+            self.marks.append(len(self.open))
+        self.open.append((name, node))
+        self.count[name] += 1
+
+    def cut(self, at: int) -> None:
+        for name, _ in self.open[at:]:
+            self.count[name] -= 1
+        del self.open[at:]
+        while self.marks and self.marks[-1] >= at:
+            self.marks.pop()
+
+    def close(self, name: str) -> bool:
+        """An end tag: everything up to the innermost block of that name goes."""
+        if not self.count[name]:
+            return False
+        self.cut(next(i for i in range(len(self.open) - 1, 0, -1) if self.open[i][0] == name))
+        return True
+
+    def imply(self, names: set[str]) -> None:
+        """A start tag that ends an open block of one of these names, if no stopper is in between."""
+        for i in reversed(self.marks):
+            if self.open[i][0] in names:
+                self.cut(i)
+                return
+            if self.open[i][0] in STOPPERS:
+                return
+
+
 class Page:
     """Nodes of one page: parent, tag number, features; runs of text by node."""
 
@@ -66,31 +148,37 @@ class Page:
     def _build(self, source: str) -> None:
         tags, words_of_class, dark = ["html"], [set()], [False]
         self.parent, self.depth = [-1], [0]
-        stack: list[tuple[str, int]] = [("html", 0)]  # open elements; inline ones carry the node of their block
+        stack = _Stack()
         run: list[str] = []
         linked = 0
         stats: dict[int, tuple[int, int]] = {}
 
+        def add(name: str, words: set[str], hidden: bool) -> int:
+            up = stack.open[-1][1]
+            if self.depth[up] >= DEEPEST:
+                up = self.parent[up]
+            tags.append(name)
+            words_of_class.append(words)
+            dark.append(dark[stack.open[-1][1]] or hidden)
+            self.parent.append(up)
+            self.depth.append(self.depth[up] + 1)
+            return len(tags) - 1
+
         def flush() -> None:
             nonlocal linked
             if run:
                 text = " ".join(entities.unescape("".join(run)).split())
                 run.clear()
-                if text and not dark[stack[-1][1]]:
-                    node = len(tags)
-                    tags.append(TEXT)
-                    words_of_class.append(set())
-                    dark.append(False)
-                    self.parent.append(stack[-1][1])
-                    self.depth.append(self.depth[stack[-1][1]] + 1)
+                if text and not dark[stack.open[-1][1]]:
+                    node = add(TEXT, set(), False)
                     self.runs.append((node, text))
                     stats[node] = (len(text), min(linked, len(text)))
             linked = 0
 
         in_link = 0
-        for m in _TOKEN.finditer(source):
+        for m in tokens(source):
             token = m.group()
-            name = m.group(3)
+            name = m.group(3) if m.re is _TOKEN else None
             if name is None:
                 if token[0] != "<" or token == "<":
                     run.append(token)
@@ -100,47 +188,33 @@ class Page:
                     run.append(" ")
                 continue
             name = name.lower()
+            if name in INLINE:  # inline markup has no node: only links and breaks matter
+                if name == "a":
+                    in_link = 0 if m.group(2) else 1
+                elif not m.group(2) and name in VOID and name == "br":
+                    run.append(" ")
+                continue
             if m.group(2):
-                depth = next((i for i in range(len(stack) - 1, 0, -1) if stack[i][0] == name), 0)
-                if name in INLINE:
-                    if name == "a":
-                        in_link = 0
-                    if depth and all(t in INLINE for t, _ in stack[depth:]):
-                        del stack[depth]
-                elif depth:
+                if stack.count[name]:
                     flush()
                     in_link = 0
-                    del stack[depth:]
-                continue
-            if name in INLINE:
-                if name in VOID:
-                    run.append(" " if name == "br" else "")
-                else:
-                    if name == "a":
-                        in_link = 1
-                    stack.append((name, stack[-1][1]))
+                    stack.close(name)
                 continue
             flush()
             in_link = 0
             if name in P_CLOSERS:
-                at = next((i for i in range(len(stack) - 1, 0, -1) if stack[i][0] == "p" or stack[i][0] in STOPPERS), 0)
-                if at and stack[at][0] == "p":
-                    del stack[at:]
+                stack.imply({"p"})
+            if name == "tr":  # a row ends the open cell first
+                stack.imply(SAME_CLOSERS["td"])
             if name in SAME_CLOSERS:
-                at = next((i for i in range(len(stack) - 1, 0, -1) if stack[i][0] in SAME_CLOSERS[name] or stack[i][0] in STOPPERS), 0)
-                if at and stack[at][0] in SAME_CLOSERS[name]:
-                    del stack[at:]
+                stack.imply(SAME_CLOSERS[name])
             if name in VOID or name == "html":
                 continue
-            attrs, up = m.group(4), stack[-1][1]
-            node = len(tags)
-            tags.append(name)
-            words_of_class.append({w for a in _ATTR.findall(attrs) for w in _WORD.findall(" ".join(a).lower())} if "=" in attrs else set())
-            dark.append(dark[up] or name == "head" or bool(attrs and _HIDDEN.search(attrs)))
-            self.parent.append(up)
-            self.depth.append(self.depth[up] + 1)
+            attrs = m.group(4)
+            words = {w for a in _ATTR.findall(attrs) for w in _WORD.findall(" ".join(a).lower())} if "=" in attrs else set()
+            node = add(name, words, name == "head" or bool(attrs and _HIDDEN.search(attrs)))
             if not attrs.endswith("/"):
-                stack.append((name, node))
+                stack.push(name, node)
         flush()
         self.features = self._features(tags, words_of_class, stats)
 
@@ -184,7 +258,8 @@ class Forest:
         self.x = np.concatenate([p.features for p in pages])
         self.parent = np.concatenate([np.where(np.array(p.parent) < 0, -1, np.array(p.parent) + s) for p, s in zip(pages, shift[:-1], strict=True)])
         depth = np.concatenate([np.array(p.depth) for p in pages])
-        self.levels = [np.flatnonzero(depth == d) for d in range(int(depth.max()) + 1)]
+        order = np.argsort(depth, kind="stable")
+        self.levels = np.split(order, np.searchsorted(depth[order], np.arange(1, int(depth.max()) + 1)))
         self.kind = self.x[:, : len(TAGS)] @ np.array([_KIND.get(t, 0) for t in TAGS])
         self.kind = self.kind.astype(int)
         self.shift = shift
