@@ -6,6 +6,10 @@ numbers. Boosted trees judge each from its format and the words before it, and a
 are trained once in a process on generated candidates (seeded; numpy on the driver) and become CASE expressions; texts
 never leave the JVM. Positions count code points.
 
+Work is linear in a text. A pattern whose match can begin anywhere in a run of characters is tried only where the run or the
+last match ends before it, which gives the same leftmost matches; positions are running sums taken in blocks of matches, so no
+list is copied once a match; a candidate's context comes from the pieces between matches, not from a search through the text.
+
 Results for odd input: null counts as empty; no spans give the digest of the empty string; overlapping spans of different
 kinds are all listed; repeated rows are answered row by row; very long texts are scanned whole; repeats of patterns are
 possessive where nothing can be given back, so long runs of digits need no deep stack; an empty table gives no rows; other
@@ -27,8 +31,8 @@ from .common import text_of
 
 # The base patterns, in order of the kinds.
 BASE = {
-    "email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)++",
-    "ip": r"[0-9]++(?:\.[0-9]++)(?:\.[0-9]++)(?:\.[0-9]++)",
+    "email": r"(?:(?<![A-Za-z0-9._%+-])|\G)[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++",
+    "ip": r"(?:(?<![0-9])|\G)[0-9]++(?:\.[0-9]++)(?:\.[0-9]++)(?:\.[0-9]++)",
     "card": r"[0-9](?:[\x20-]?[0-9])++",
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
@@ -37,12 +41,12 @@ MORE = {
     "secret": r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_-]{16,}+={0,2}",
     "national_id": r"(?<![0-9-])[0-9]{3}[ -][0-9]{2}[ -][0-9]{4}(?![0-9-])",
     "account": r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){3,7}(?: ?[A-Z0-9]{1,3})?(?![A-Za-z0-9])",
-    "spelt_email": r"[A-Za-z0-9._-]+ ?(?:\(at\)|\[at\]|\{at\}| at ) ?[A-Za-z0-9-]+ ?(?:\(dot\)|\[dot\]|\{dot\}| dot ) ?[A-Za-z]{2,}",
+    "spelt_email": r"(?<![A-Za-z0-9._-])[A-Za-z0-9._-]++ ?(?:\(at\)|\[at\]|\{at\}| at ) ?[A-Za-z0-9-]++ ?(?:\(dot\)|\[dot\]|\{dot\}| dot ) ?[A-Za-z]{2,}",
     "local_phone": r"(?<![0-9+.-])\(?[0-9]{3}\)?[ .-][0-9]{3}[ .-][0-9]{4}(?![0-9.-])",
 }
 KINDS = [*BASE, *MORE]
-#: Characters before a candidate that its features see; words that speak for and against.
-BEFORE = 32
+#: Characters before a candidate that its features see; words that speak for and against. Matches in a block of running sums.
+BEFORE, BLOCK = 32, 128
 FOR = r"(?i)(?:token|secret|key|passw|pwd|auth|bearer|credential|ssn|social|security|iban|account|acct|phone|tel|call|mobile|fax|mail|contact|write)"
 AGAINST = r"(?i)(?:order|invoice|version|commit|sha|hash|checksum|ref|part|model|isbn|build|page|room|sku|id)"
 FEATURES = ("kind", "length", "digits", "upper", "lower", "marks", "hex", "for", "against", "assigned", "lead_zero", "runs")
@@ -55,20 +59,44 @@ def _hits(text: Column, pattern: str, guard: Column | None = None) -> Column:
     return hits if guard is None else F.when(guard, hits).otherwise(F.array().cast("array<string>"))
 
 
-def _spans(text: Column, pattern: str, kind: str, hits: Column) -> Column:
-    """Matches, leftmost and not overlapping, as structs (s, e, k, t): start, end, kind's number, matched text."""
-    empty = F.array().cast("array<struct<s:int,e:int,k:int,t:string>>")
+def _pairs(text: Column, pattern: str, hits: Column) -> Column:
+    """Matches, leftmost and not overlapping, as structs: matched text t, length g of the gap before it, end r of that gap."""
     gaps = F.split(text, pattern, -1)
-    pairs = F.zip_with(hits, F.slice(gaps, 1, F.size(hits)), lambda h, g: F.struct(h.alias("h"), F.length(g).alias("g")))
-    start = F.struct(F.lit(0).alias("at"), empty.alias("out"))
+    empty = F.array().cast("array<struct<t:string,g:int,r:string>>")
+    return F.when(
+        F.size(hits) > 0,
+        F.zip_with(hits, F.slice(gaps, 1, F.size(hits)), lambda h, g: F.struct(h.alias("t"), F.length(g).alias("g"), F.right(g, F.lit(BEFORE)).alias("r"))),
+    ).otherwise(empty)
+
+
+def _blocks(pairs: Column) -> Column:
+    """Spans (s, e, both from the start of their block) by blocks: structs of the block's length n and its spans z."""
+    empty = F.array().cast("array<struct<s:int,e:int>>")
+    last = F.size(pairs) - 1
+
+    def step(acc: Column, i: Column) -> Column:
+        x = F.get(pairs, i)
+        s = acc["n"] + x["g"]
+        e = s + F.length(x["t"])
+        return F.struct(e.alias("n"), F.concat(acc["z"], F.array(F.struct(s.alias("s"), e.alias("e")))).alias("z"))
+
+    one = lambda lo: F.aggregate(F.sequence(lo, F.least(lo + (BLOCK - 1), last)), F.struct(F.lit(0).alias("n"), empty.alias("z")), step)
+    return F.when(last >= 0, F.transform(F.sequence(F.lit(0), last, F.lit(BLOCK)), one)).otherwise(F.array().cast("array<struct<n:int,z:array<struct<s:int,e:int>>>>"))
+
 
-    def step(acc: Column, x: Column) -> Column:
-        s = acc["at"] + x["g"]
-        e = s + F.length(x["h"])
-        span = F.struct(s.alias("s"), e.alias("e"), F.lit(KINDS.index(kind)).alias("k"), x["h"].alias("t"))
-        return F.struct(e.alias("at"), F.concat(acc["out"], F.array(span)).alias("out"))
+def _placed(blocks: Column, good: Column, kind: str) -> Column:
+    """Blocks with the places in the text (lo, hi) of their first and last span and those spans (s, e, k) that are good."""
+    starts = F.aggregate(
+        blocks, F.struct(F.lit(0).alias("at"), F.array().cast("array<int>").alias("out")), lambda a, b: F.struct((a["at"] + b["n"]).alias("at"), F.concat(a["out"], F.array(a["at"])).alias("out")), lambda a: a["out"]
+    )
+    number = lambda i: F.get(good, i)
+
+    def moved(b: Column, at: Column, first: Column) -> Column:
+        kept = F.filter(F.transform(b["z"], lambda z, i: F.struct((z["s"] + at).alias("s"), (z["e"] + at).alias("e"), F.when(number(first + i), F.lit(KINDS.index(kind))).alias("k"))), lambda z: z["k"].isNotNull())
+        return F.struct(at.alias("lo"), (at + b["n"]).alias("hi"), kept.alias("z"))
 
-    return F.when(F.size(hits) > 0, F.aggregate(pairs, start, step, lambda a: a["out"])).otherwise(empty)
+    numbered = F.transform(blocks, lambda b, j: F.struct(b.alias("b"), (j * BLOCK).alias("first")))
+    return F.zip_with(numbered, starts, lambda x, at: moved(x["b"], at, x["first"]))
 
 
 def _digits(t: Column) -> Column:
@@ -82,29 +110,26 @@ def _luhn(t: Column) -> Column:
     return value % 10 == 0
 
 
-def _base(text: Column) -> list[Column]:
-    """Checked spans of the base kinds."""
-    checks = {
-        "email": None,
-        "ip": lambda z: F.forall(F.split(z["t"], r"\."), lambda p: (F.length(F.ltrim(p, F.lit("0"))) <= 3) & (F.right(p, F.lit(3)).cast("int") <= 255)),
-        "card": lambda z: F.when(F.length(_digits(z["t"])).between(12, 19), _luhn(z["t"])).otherwise(F.lit(False)),
-        "phone": lambda z: F.length(_digits(z["t"])).between(9, 15),
-    }
-    out = []
-    for kind, pattern in BASE.items():
-        spans = _spans(text, pattern, kind, F.col(f"hits_{kind}"))
-        out.append(F.filter(spans, checks[kind]) if checks[kind] else spans)
-    return out
+def _checked(kind: str, t: Column) -> Column:
+    """Whether a match of a base pattern holds."""
+    if kind == "ip":
+        return F.forall(F.split(t, r"\."), lambda p: (F.length(F.ltrim(p, F.lit("0"))) <= 3) & (F.right(p, F.lit(3)).cast("int") <= 255))
+    if kind == "card":
+        return F.when(F.length(_digits(t)).between(12, 19), _luhn(t)).otherwise(F.lit(False))
+    return F.length(_digits(t)).between(9, 15) if kind == "phone" else F.lit(True)
+
+
+def _verified(kind: str, pairs: Column) -> Column:
+    return F.transform(pairs, lambda x: _checked(kind, x["t"]))
 
 
 def _count(t: Column, unwanted: str) -> Column:
     return F.length(F.regexp_replace(t, unwanted, "")).cast("double")
 
 
-def _features(z: Column, before: Column) -> list[Column]:
-    t = z["t"]
+def _features(kind: str, t: Column, before: Column) -> list[Column]:
     return [
-        z["k"].cast("double"),
+        F.lit(float(KINDS.index(kind))),
         F.length(t).cast("double"),
         _count(t, "[^0-9]"),
         _count(t, "[^A-Z]"),
@@ -187,16 +212,19 @@ def trained(n: int = 6000, seed: int = 23) -> Boosted:
     return boost(*labelled_candidates(n, seed))
 
 
-def _proposed(text: Column, model: Boosted) -> Column:
-    every = F.concat(*(_spans(text, pattern, kind, F.col(f"hits_{kind}")) for kind, pattern in MORE.items()))
+def _accepted(kind: str, pairs: Column, model: Boosted) -> Column:
+    """For each match of a generator, whether its calibrated probability reaches the cut. No match is shorter than eleven characters, so three pieces hold its context."""
     least = F.lit(model.margin_for(CUT))
 
-    def accepted(z: Column) -> Column:
-        before = F.substring(text, F.greatest(z["s"] - BEFORE, F.lit(0)) + 1, F.least(z["s"], F.lit(BEFORE)))
-        made = F.transform(F.array(F.array(*_features(z, before))), lambda x: model.expression(lambda j: x[j], lambda c, a, b: F.when(c, a).otherwise(b), F.lit))
-        return made[0] >= least
+    def piece(i: Column) -> Column:
+        return F.coalesce(F.concat(F.get(pairs, i)["r"], F.right(F.get(pairs, i)["t"], F.lit(BEFORE))), F.lit(""))
+
+    def judged(x: Column, i: Column) -> Column:
+        before = F.right(F.concat(*(piece(i - j) for j in (3, 2, 1)), x["r"]), F.lit(BEFORE))
+        made = F.transform(F.array(before), lambda b: F.array(*_features(kind, x["t"], b)))
+        return F.get(F.transform(made, lambda f: model.expression(lambda j: f[j], lambda c, a, b: F.when(c, a).otherwise(b), F.lit)), F.lit(0)) >= least
 
-    return F.filter(every, accepted)
+    return F.transform(pairs, judged)
 
 
 def _listed(spans: Column) -> Column:
@@ -209,16 +237,18 @@ def personal_data(docs: DataFrame, model: Boosted | None = None) -> DataFrame:
     """doc_id, n_email, n_ip, n_card, n_phone, base_sha256, spans: a row per input row."""
     model = model or trained()
     text = F.col("text")
-    guards = {"email": F.contains(text, F.lit("@")), "phone": F.contains(text, F.lit("+")), "spelt_email": text.rlike(r"(?:\(|\[|\{| )dot(?:\)|\]|\}| )"), "account": text.rlike("[A-Z]{2}[0-9]{2}")}
+    guards = {"email": F.contains(text, F.lit("@")), "ip": text.rlike(r"[0-9]\.[0-9]"), "phone": F.contains(text, F.lit("+")), "spelt_email": text.rlike(r"(?:\(|\[|\{| )dot(?:\)|\]|\}| )"), "account": text.rlike("[A-Z]{2}[0-9]{2}")}
+    kinds, patterns = list(KINDS), BASE | MORE
     out = docs.select("doc_id", text_of().alias("text"))
-    out = out.select("doc_id", "text", *(_hits(text, p, guards.get(k)).alias(f"hits_{k}") for k, p in (BASE | MORE).items()))
-    out = out.select("doc_id", "text", *(b.alias(k) for k, b in zip(BASE, _base(text), strict=True)), _proposed(text, model).alias("more"))
+    # one step a projection: each column is read more than once by the next, so none is computed again
+    out = out.select("doc_id", "text", *(_hits(text, patterns[k], guards.get(k)).alias(f"hits_{k}") for k in kinds))
+    out = out.select("doc_id", *(_pairs(text, patterns[k], F.col(f"hits_{k}")).alias(f"pairs_{k}") for k in kinds))
+    good = {k: _verified(k, F.col(f"pairs_{k}")) if k in BASE else _accepted(k, F.col(f"pairs_{k}"), model) for k in kinds}
+    out = out.select("doc_id", *(_blocks(F.col(f"pairs_{k}")).alias(f"blocks_{k}") for k in kinds), *(good[k].alias(f"good_{k}") for k in kinds))
+    out = out.select("doc_id", *(_placed(F.col(f"blocks_{k}"), F.col(f"good_{k}"), k).alias(k) for k in kinds))
+    spans = lambda k: F.flatten(F.transform(k, lambda b: b["z"]))
     base = F.concat(*(F.col(k) for k in BASE))
-    touches = lambda z: F.exists(base, lambda b: (b["s"] < z["e"]) & (z["s"] < b["e"]))
-    more = F.filter("more", lambda z: ~touches(z))
-    return out.select(
-        "doc_id",
-        *(F.size(k).cast("long").alias(f"n_{k}") for k in BASE),
-        F.sha2(_listed(base), 256).alias("base_sha256"),
-        _listed(F.concat(base, more)).alias("spans"),
-    )
+    out = out.select("doc_id", *(spans(k).alias(f"n_{k}") for k in BASE), base.alias("near"), F.concat(*(spans(k) for k in MORE)).alias("more"))
+    touches = lambda z: F.exists("near", lambda b: (b["lo"] < z["e"]) & (z["s"] < b["hi"]) & F.exists(b["z"], lambda y: (y["s"] < z["e"]) & (z["s"] < y["e"])))
+    out = out.select("doc_id", *(F.size(f"n_{k}").cast("long").alias(f"n_{k}") for k in BASE), F.concat(*(F.col(f"n_{k}") for k in BASE)).alias("base"), F.filter("more", lambda z: ~touches(z)).alias("more"))
+    return out.select("doc_id", *(f"n_{k}" for k in BASE), F.sha2(_listed(F.col("base")), 256).alias("base_sha256"), _listed(F.concat("base", "more")).alias("spans"))
