@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from .common import documents
 from .exact_dedup import exact_dedup
 from .html_extract import main_content
-from .line_dedup import MIN_LINES, line_dedup
+from .line_dedup import MIN_CHARS, MIN_LINES, line_dedup
 from .mixing import DEFAULT_WEIGHT, DOMAINS, LEVELS, MAX_EPOCHS, SEED, SHARE, WEIGHTS, mix
 from .pii import personal_data
 from .quality import quality_scores
@@ -85,7 +85,8 @@ trimmed AS (SELECT doc_id, line, line_no, rtrim(line, ' ') AS x FROM raw),
 seq AS (SELECT doc_id, line_no, x, row_number() OVER (PARTITION BY doc_id ORDER BY line_no) AS pos FROM trimmed WHERE trim(x, ' ') <> ''),
 ahead AS (SELECT doc_id, pos, list(x) OVER w AS run FROM seq WINDOW w AS (PARTITION BY doc_id ORDER BY pos ROWS BETWEEN CURRENT ROW AND {MIN_LINES - 1} FOLLOWING)),
 placed AS (SELECT doc_id, pos, row_number() OVER (PARTITION BY run ORDER BY doc_id, pos) AS copy FROM ahead WHERE len(run) = {MIN_LINES}),
-gone AS (SELECT DISTINCT doc_id, pos + i AS pos FROM placed, range({MIN_LINES}) AS r(i) WHERE copy > 1),
+single AS (SELECT doc_id, pos, row_number() OVER (PARTITION BY x ORDER BY doc_id, pos) AS copy FROM seq WHERE length(x) >= {MIN_CHARS}),
+gone AS (SELECT doc_id, pos + i AS pos FROM placed, range({MIN_LINES}) AS r(i) WHERE copy > 1 UNION SELECT doc_id, pos FROM single WHERE copy > 1),
 lines AS (SELECT t.doc_id, t.line, t.line_no, s.pos, g.pos IS NOT NULL AS dropped
           FROM trimmed t LEFT JOIN seq s ON t.doc_id = s.doc_id AND t.line_no = s.line_no LEFT JOIN gone g ON s.doc_id = g.doc_id AND s.pos = g.pos)
 SELECT doc_id, CAST(count(pos) AS BIGINT) AS n_lines, CAST(count(*) FILTER (WHERE dropped) AS BIGINT) AS n_removed,

@@ -14,7 +14,8 @@ from pyspark.sql import types as T
 from fadestream.llm import exact_dedup as ed
 from fadestream.llm import simhash as sh
 from fadestream.llm.components import components
-from fadestream.llm.line_dedup import line_dedup
+from fadestream.llm.line_dedup import MIN_CHARS, intervals, line_dedup
+from fadestream.llm.line_dedup import repeated_runs as line_runs
 from fadestream.llm.mixing import LEVELS, mix, token_count
 from fadestream.llm.pii import BASE, KINDS, features_of, labelled_candidates, personal_data, trained
 from fadestream.llm.quality import NAMES, held_out, quality_scores, statistics
@@ -376,30 +377,74 @@ def test_boosting_is_calibrated_on_fresh_candidates():
     assert len(features_of("secret", "abc", "")) == x.shape[1] and len(KINDS) == 9
 
 
-def brute_lines(rows, m=2):
+def brute_lines(rows, m=2, chars=None):
+    """Every length of run: a run of at least m lines (or one line of enough characters) that came before goes."""
     order, seen, gone = sorted(rows), set(), {}
     seqs = {i: [(n, x.rstrip(" ")) for n, x in enumerate((t or "").split("\n")) if x.strip(" ")] if t is not None else [] for i, t in order}
     for i, _ in order:
         seq = seqs[i]
-        for p in range(len(seq) - m + 1):
-            run = tuple(x for _, x in seq[p : p + m])
-            if run in seen:
-                gone.setdefault(i, set()).update(n for n, _ in seq[p : p + m])
-            seen.add(run)
+        for p in range(len(seq)):
+            for q in range(p + 1, len(seq) + 1):
+                run = tuple(x for _, x in seq[p:q])
+                if q - p < m and not (q - p == 1 and chars is not None and len(run[0]) >= chars):
+                    continue
+                if run in seen:
+                    gone.setdefault(i, set()).update(n for n, _ in seq[p:q])
+                seen.add(run)
     return {i: (None if t is None else "\n".join(x for n, x in enumerate(t.split("\n")) if n not in gone.get(i, ())), len(seqs[i]), len(gone.get(i, ()))) for i, t in rows}
 
 
+def removed(df):
+    return {r["doc_id"]: (r["text"], r["n_lines"], r["n_removed"]) for r in df.collect()}
+
+
 @pytest.mark.parametrize("m", [1, 2, 3, 5])
 def test_line_dedup_equals_brute_force(spark, m):
     rng = random.Random(m)
     texts = ["\n".join(rng.choice(["a", "b", "c ", "", "dd"]) for _ in range(rng.randint(0, 14))) for _ in range(60)] + [None, "", "\n\n"]
-    got = {r["doc_id"]: (r["text"], r["n_lines"], r["n_removed"]) for r in line_dedup(table(spark, texts), m).collect()}
-    assert got == brute_lines(list(enumerate(texts)), m)
+    assert removed(line_dedup(table(spark, texts), m, 2)) == brute_lines(list(enumerate(texts)), m, 2)
+
+
+def test_long_runs_are_found_whole(spark):
+    rng = random.Random(4)
+    line = lambda: " ".join(rng.choices("abcdefghij", k=3))
+    run = [line() for _ in range(37)]
+    texts = ["\n".join([line(), *run, line()]), "\n".join([line(), line(), *run[:30], line()]), "\n".join([*run[5:], line(), *run[:9]])]
+    df = table(spark, texts)
+    assert removed(line_dedup(df)) == brute_lines(list(enumerate(texts)))
+    found = {r["doc_id"]: [tuple(x) for x in r["runs"]] for r in line_runs(df).collect()}
+    assert (2, 31) in found[1] and (0, 31) in found[2] and (33, 41) in found[2]
+    members, _ = intervals(df)
+    assert max(r[0] for r in members.select("depth").distinct().collect()) == 32
 
 
 def test_line_dedup_on_documents(docs, rows):
-    got = {r["doc_id"]: (r["text"], r["n_lines"], r["n_removed"]) for r in line_dedup(docs).collect()}
-    assert got == brute_lines(rows)
+    got = removed(line_dedup(docs))
+    for i, (text, n, gone) in brute_pairs(rows).items():
+        assert got[i] == (text, n, gone)
+
+
+def brute_pairs(rows, chars=MIN_CHARS):
+    """Pairs of lines and long single lines: what remains of the definition where all runs of all lengths are too many to list."""
+    seen, out = set(), {}
+    for i, t in sorted(rows):
+        seq = [(n, x.rstrip(" ")) for n, x in enumerate((t or "").split("\n")) if x.strip(" ")]
+        gone = set()
+        for p, (n, x) in enumerate(seq):
+            for run in [*([(x,)] if len(x) >= chars else []), *([(x, seq[p + 1][1])] if p + 1 < len(seq) else [])]:
+                if run in seen:
+                    gone.update(k for k, _ in seq[p : p + len(run)])
+                seen.add(run)
+        out[i] = (None if t is None else "\n".join(x for n, x in enumerate(t.split("\n")) if n not in gone), len(seq), len(gone))
+    return out
+
+
+def test_line_dedup_odd_rows(spark):
+    long = "x" * 130
+    df = spark.createDataFrame([(None, f"a\nb\n{long}", 1, 7), (None, f"a\nb\n{long}", 2, 7), (3, f"a\nb\n{long}", 3, 7), (3, f"a\nb\n{long}", 4, 7), (4, f"{long}\nq", 5, 7)], "doc_id long, text string, n_lines int, `a.b` int")
+    out = line_dedup(df)
+    assert out.columns == ["doc_id", "text", "a.b", "n_lines", "n_removed"]
+    assert sorted((r[0] or 0, r[1], r[4]) for r in out.collect()) == [(0, "", 3), (0, "", 3), (3, f"a\nb\n{long}", 0), (3, f"a\nb\n{long}", 0), (4, "q", 1)]
 
 
 def brute_substring(rows):
