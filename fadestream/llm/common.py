@@ -48,10 +48,11 @@ atexit.register(_sweep)
 class Stored:
     """A written intermediate: survives lost executors, cuts lineage, is dropped when no longer needed."""
 
-    def __init__(self, df: DataFrame, label: str, **options: str) -> None:
+    def __init__(self, df: DataFrame, label: str, by: str | None = None, **options: str) -> None:
         self.spark = df.sparkSession
         self.path = f"{shared_dir(self.spark)}/{label}-{uuid.uuid4().hex}"
-        df.write.options(**options).parquet(self.path)
+        writer = df.write.options(**options)
+        (writer.partitionBy(by) if by else writer).parquet(self.path)
         self.schema = df.schema
         _WRITTEN.append((self.spark, self.path))
 
@@ -98,31 +99,60 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
-#: Bits of a key filter: sixteen a key, never over 2**28 (32 MB to broadcast); a fuller filter lets more rows pass, none fewer.
-FILTER_BITS_MAX = 1 << 28
+#: Bits of a key filter: sixteen a key by default, never over 2**28 (32 MB to broadcast); a fuller filter lets more rows pass, none fewer.
+FILTER_BITS_MAX, FILTER_BLOCK = 1 << 28, 13
 
 
-def key_filter(keys: DataFrame, count: int) -> Callable[..., Column]:
+def key_filter(keys: DataFrame, count: int, bits_a_key: int = 16) -> Callable[..., Column]:
     """A test that is true for every key in `keys` and for few others: rows it rejects need no join and no exchange.
 
-    The bitmap is or-ed from parts that executors make; its size is bounded whatever the number of keys.
+    Executors deal the set bits by blocks and send each block once, so the driver gets the bitmap and no more; its size is bounded
+    whatever the number of keys.
     """
-    bits = min(FILTER_BITS_MAX, max(1 << 16, 1 << int(16 * count).bit_length()))
-
-    def part(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hit = np.zeros(bits, dtype=bool)
-        for b in batches:
-            hit[b.column(0).to_numpy(zero_copy_only=False) & (bits - 1)] = True
-        yield pa.RecordBatch.from_pydict({"m": [np.packbits(hit).tobytes()]})
-
-    whole = np.zeros(bits // 8, dtype=np.uint8)
-    for row in keys.select(F.xxhash64(*keys.columns)).coalesce(4).mapInArrow(part, "m binary").toLocalIterator():
-        whole |= np.frombuffer(row[0], dtype=np.uint8)
-    probe = keys.sparkSession.sparkContext.broadcast(whole)
+    probe = keys.sparkSession.sparkContext.broadcast(bitmap(keys, count, bits_a_key))
 
     @F.arrow_udf("boolean")
     def passes(key: pa.Array) -> pa.Array:
-        at = key.to_numpy(zero_copy_only=False) & (bits - 1)
-        return pa.array((probe.value[at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1 == 1)
+        return pa.array(marked(probe.value, key.to_numpy(zero_copy_only=False)))
 
     return lambda *cols: passes(F.xxhash64(*cols))
+
+
+def bitmap(keys: DataFrame, count: int, bits_a_key: int = 16) -> np.ndarray:
+    """Packed bits, a power of two of them, set at the hashes of the keys."""
+    bits = min(FILTER_BITS_MAX, max(1 << 16, 1 << int(bits_a_key * count).bit_length()))
+    size = (1 << FILTER_BLOCK) // 8
+
+    def fold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[int, np.ndarray] = {}
+        for b in batches:
+            block, at = (c.to_numpy(zero_copy_only=False) for c in b.columns)
+            order = np.argsort(block, kind="stable")
+            block, at = block[order], at[order]
+            cuts = [0, *(np.flatnonzero(np.diff(block)) + 1).tolist(), len(block)]
+            for lo, hi in zip(cuts, cuts[1:], strict=False):
+                if hi > lo:
+                    held.setdefault(int(block[lo]), np.zeros(size * 8, dtype=bool))[at[lo:hi] & (size * 8 - 1)] = True
+        for block, hit in held.items():
+            yield pa.RecordBatch.from_pydict({"block": pa.array([block], pa.int64()), "m": [np.packbits(hit).tobytes()]})
+
+    at = keys.select(F.xxhash64(*keys.columns).bitwiseAND(F.lit(bits - 1)).alias("at"))
+    dealt = at.select(F.shiftright("at", FILTER_BLOCK).alias("block"), "at").repartition("block")
+    whole = np.zeros(bits // 8, dtype=np.uint8)
+    for block, m in dealt.mapInArrow(fold, "block long, m binary").toLocalIterator():
+        whole[block * size : (block + 1) * size] = np.frombuffer(m, dtype=np.uint8)
+    return whole
+
+
+def marked(bits: np.ndarray, hashes: np.ndarray) -> np.ndarray:
+    at = hashes & np.int64(len(bits) * 8 - 1)
+    return (bits[at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1 == 1
+
+
+def without(docs: DataFrame, gone: DataFrame) -> DataFrame:
+    """The rows of docs whose (doc_id, hash of the text) isn't in gone (doc_id, th; stored): only rows that may be in it are exchanged."""
+    keyed = docs.withColumn("__th", F.xxhash64("text"))
+    hit = key_filter(gone.select("doc_id", "th"), gone.count())(F.col("doc_id"), F.col("__th"))
+    g = gone.select(F.col("doc_id").alias("__id"), F.col("th").alias("__gone"))
+    left = keyed.where(hit).join(g, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("__th") == F.col("__gone")), "left_anti")
+    return keyed.where(~hit).unionByName(left).drop("__th")

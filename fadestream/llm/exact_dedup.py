@@ -1,10 +1,11 @@
 r"""Exact deduplication by a log-structured merge index of text digests.
 
-A scan task is a memtable: it digests its rows, sorts the digests and flushes one sorted run, a parquet file with
-footers and Bloom filters on the digest column, without any exchange. Compaction merges all runs of a level into one
-entry per digest (the keeper, its length, the number of rows). Hits are then verified byte by byte: a bounded bit
-filter built from the digests that several rows share picks the rows whose texts must travel, and each is compared with
-the text of its keeper. Texts that share a digest and differ are told apart exactly.
+One scan digests all rows; its tasks are dealt to MEMTABLES memtables. A memtable flushes a run: one entry a digest (keeper, its
+length, number of rows), sorted by digest, with a filter over its digests. Runs are tiered: FANOUT runs of a tier are merged into
+one of the next. A merge reads the filters first: an entry that no other run of the merge may hold passes as it is, only the rest
+is exchanged and merged, keeping the smallest identifier. Lookups go through a filter as well: a row whose digest no other row
+shares is answered from itself. Hits are then verified byte by byte: the texts that share a digest travel, each is compared with
+the text of its keeper, and texts that share a digest and differ are told apart exactly.
 
 Results for odd input: null text counts as empty; texts of white space only equal the empty text; a null doc_id is a
 row like any other (it loses ties against any id); repeated rows are copies of each other; an empty table gives no rows;
@@ -34,34 +35,87 @@ def sha256(text: Column) -> Column:
     return F.sha2(text, 256)
 
 
+#: Memtables of a scan; runs of a tier that are merged into one.
+MEMTABLES, FANOUT = 4, 2
+
+
+class Run:
+    """A sorted run: digest, best (least struct of -length, id is null, id), group_size; with the filter over its digests."""
+
+    def __init__(self, entries: DataFrame) -> None:
+        options = {"parquet.bloom.filter.enabled#digest": "true", "parquet.bloom.filter.adaptive.enabled#digest": "true"}
+        self.stored = Stored(entries.select("digest", "best", "group_size").sortWithinPartitions("digest"), "run", **options)
+        self.count = self.stored.df.count()
+        self.may_hold = key_filter(self.stored.df.select("digest"), self.count)
+
+
 class DigestIndex:
-    """The index: flush() adds a sorted run, compact() merges all runs into the next level, entries() reads the runs."""
+    """The index: flush() digests a table and adds a run a memtable, compact() merges tier by tier, lookup() answers digests."""
 
-    def __init__(self, spark: SparkSession, digest: Callable[[Column], Column] = sha256) -> None:
-        self.spark, self.digest = spark, digest
-        self.runs: list[Stored] = []
-        self.level: Stored | None = None
+    def __init__(self, spark: SparkSession, digest: Callable[[Column], Column] = sha256, memtables: int = MEMTABLES, fanout: int = FANOUT) -> None:
+        self.spark, self.digest, self.memtables, self.fanout = spark, digest, memtables, fanout
+        self.tiers: list[list[Run]] = [[]]
+        self.tables: list[Stored] = []
+        self.passed = self.merged = 0
 
     def flush(self, docs: DataFrame) -> None:
         raw = text_of()
-        rows = docs.select("doc_id", F.length(raw).cast("long").alias("n"), self.digest(bare(raw)).alias("digest"))
-        options = {"parquet.bloom.filter.enabled#digest": "true", "parquet.bloom.filter.adaptive.enabled#digest": "true"}
-        self.runs.append(Stored(rows.sortWithinPartitions("digest", F.desc("n"), F.asc_nulls_last("doc_id")), "run", **options))
+        rows = docs.select("doc_id", F.length(raw).cast("long").alias("n"), self.digest(bare(raw)).alias("digest"), F.pmod(F.spark_partition_id(), F.lit(self.memtables)).alias("memtable"))
+        table = Stored(rows, "rows", by="memtable")
+        self.tables.append(table)
+        best = F.min(F.struct((-F.col("n")).alias("n"), F.col("doc_id").isNull().alias("z"), F.col("doc_id").alias("i")))
+        for m in range(self.memtables):
+            own = table.df.where(F.col("memtable") == m)
+            self._add(0, Run(own.groupBy("digest").agg(best.alias("best"), F.count(F.lit(1)).alias("group_size"))))
+
+    def _add(self, tier: int, run: Run) -> None:
+        if len(self.tiers) == tier:
+            self.tiers.append([])
+        self.tiers[tier].append(run)
+        if len(self.tiers[tier]) == self.fanout:
+            runs, self.tiers[tier] = self.tiers[tier], []
+            self._add(tier + 1, self._merge(runs))
+
+    def _merge(self, runs: list[Run]) -> Run:
+        """One run of several; entries that the filters of all others reject aren't exchanged."""
+        alone, met = None, None
+        for run in runs:
+            elsewhere = F.lit(False)
+            for other in runs:
+                if other is not run:
+                    elsewhere = elsewhere | other.may_hold("digest")
+            flagged = run.stored.df.withColumn("met", elsewhere)
+            a, b = flagged.where(~F.col("met")).drop("met"), flagged.where("met").drop("met")
+            alone, met = (a, b) if alone is None else (alone.unionByName(a), met.unionByName(b))
+        joined = met.groupBy("digest").agg(F.min("best").alias("best"), F.sum("group_size").alias("group_size"))
+        out = Run(alone.unionByName(joined))
+        self.merged += sum(r.count for r in runs)
+        self.passed += alone.count()
+        for run in runs:
+            run.stored.drop()
+        return out
 
-    def entries(self) -> DataFrame:
-        out = self.runs[0].df
-        for run in self.runs[1:]:
-            out = out.unionByName(run.df)
+    def rows(self) -> DataFrame:
+        """doc_id, n, digest of everything flushed."""
+        out = None
+        for t in self.tables:
+            out = t.df.drop("memtable") if out is None else out.unionByName(t.df.drop("memtable"))
         return out
 
     def compact(self) -> DataFrame:
-        """digest, keep_id, group_size: the longest original stays, then the smallest id (null last)."""
-        best = F.min(F.struct((-F.col("n")).alias("n"), F.col("doc_id").isNull().alias("z"), F.col("doc_id").alias("i")))
-        merged = self.entries().groupBy("digest").agg(best.alias("best"), F.count(F.lit(1)).alias("group_size"))
-        if self.level is not None:
-            self.level.drop()
-        self.level = Stored(merged.select("digest", F.col("best.i").alias("keep_id"), (-F.col("best.n")).alias("keep_n"), "group_size"), "level")
-        return self.level.df
+        """Merges what is left into one run: digest, keep_id, keep_n, group_size. The longest original stays, then the smallest id (null last)."""
+        left = [run for tier in self.tiers for run in tier]
+        run = left[0] if len(left) == 1 else self._merge(left)
+        self.tiers = [[] for _ in self.tiers[:-1]] + [[run]]
+        return run.stored.df.select("digest", F.col("best.i").alias("keep_id"), (-F.col("best.n")).alias("keep_n"), "group_size")
+
+    def lookup(self, rows: DataFrame, level: DataFrame) -> DataFrame:
+        """rows (doc_id, n, digest) with keep_id, keep_n, group_size; rows that share their digest with none aren't exchanged."""
+        shared = level.where("group_size > 1")
+        hit = key_filter(shared.select("digest"), shared.count())("digest")
+        flagged = rows.withColumn("hit", hit)
+        alone = flagged.where(~F.col("hit")).select("digest", "doc_id", "n", F.col("doc_id").alias("keep_id"), F.col("n").alias("keep_n"), F.lit(1).cast("long").alias("group_size"))
+        return alone.unionByName(flagged.where("hit").drop("hit").join(level, "digest").select(alone.columns))
 
 
 def _verify(docs: DataFrame, index: DigestIndex, level: DataFrame) -> DataFrame:
@@ -88,9 +142,9 @@ def exact_dedup(docs: DataFrame, digest: Callable[[Column], Column] = sha256) ->
     index.flush(docs)
     level = index.compact()
     clash = Stored(_verify(docs, index, level).select("digest").distinct(), "clash")
-    rows = index.entries()
+    rows = index.rows()
     if clash.df.isEmpty():
-        joined = rows.join(level, "digest")
+        joined = index.lookup(rows, level)
     else:  # digests that different texts share: settle those by the bytes themselves
         joined = _settled(docs, rows, level, clash.df, digest)
     # of repeated rows that are the keeper's equal in id and length, exactly one is kept
