@@ -2,9 +2,12 @@ r"""Sharding by sampled splitters: size-weighted key samples, quantile boundarie
 
 The key of a record is (hash of its text, hash of its id), so equal texts are neighbours. A Poisson sample in which a
 record's chance grows with its bytes gives the key quantiles; records are counted exactly by range, and a range that is
-overfull is subdivided by the id hash. Whole ranges are dealt to the shards, largest first to the least filled. Copies of
-one text go to one shard, unless they are more than a share by themselves. Counts by range are the only
-thing the driver sees: their number is a parameter.
+overfull is subdivided by the id hash. Shards are stretches of ranges in the order of the key, cut where the bytes counted so far
+reach each shard's quantile. Only a text that fills ranges of its own is placed before that, whole, on the least filled shard, and
+the quantiles then follow the room that is left; a text larger than a share is placed piece by piece. So copies of one text go to
+one shard, unless they are more than a share by themselves. Rows equal in id and text that together overfill a piece can't be told
+apart by keys: they are written once with a piece drawn for each row. Counts by range are the only thing the driver sees: their
+number is a parameter.
 
 Results for odd input: null text has size 1 and checksum 0; an empty table gives no rows; repeated rows get slots of their
 own; a null id is a key like any other; columns named like the new ones are replaced by them.
@@ -83,32 +86,68 @@ def shard(docs: DataFrame, n_shards: int = 16) -> DataFrame:
         cut = df.withColumn("__r", place("__h", "__g")).join(subs, F.col("__r") == F.col("r"))
         return cut.withColumn("__s", F.pmod(F.xxhash64("__g", F.lit(3)), F.col("subs")).cast("int")).drop("r", "subs")
 
-    exact = pieces(keys).groupBy("__r", "__s").agg(F.sum("__size").alias("b"), F.count(F.lit(1)).alias("n")).toPandas().sort_values(["__r", "__s"])
-    table = _deal(exact, cuts, heavy, n_shards, total)
-    dealt = spark.createDataFrame(table, "pr int, ps int, shard int, start long")
+    same = keys.groupBy("__h", "__g").agg(F.sum("__size").alias("b"), F.count(F.lit(1)).alias("n")).where((F.col("n") > 1) & (F.col("b") > full))
+    same = same.select("__h", "__g", F.ceil(F.col("b") / full).cast("int").alias("__of")).toPandas()  # fewer than total / full
     new = {"size", "text_crc32", "shard", "slot"}
-    own = [F.col(f"`{c}`") for c in docs.columns if c not in new]
-    rows = pieces(docs.select(*own, *_keys(), F.crc32(text_of().cast("binary")).alias("text_crc32")))
-    order = Window.partitionBy("__r", "__s").orderBy("__h", "__g")
-    rows = rows.join(dealt, (F.col("__r") == F.col("pr")) & (F.col("__s") == F.col("ps"))).withColumn("slot", F.col("start") + F.row_number().over(order) - 1)
-    return rows.select(*own, F.col("__size").alias("size"), "text_crc32", "shard", "slot")
+    own = [c for c in docs.columns if c not in new]
+    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in own)).alias("__row"), *_keys(), F.crc32(text_of().cast("binary")).alias("text_crc32"))
+    tally = [F.sum("__size").alias("b"), F.count(F.lit(1)).alias("n")]
+    units = ["__r", "__s", "__p"]
+    if same.empty:
+        rows = pieces(rows).withColumn("__p", F.lit(0))
+        exact = pieces(keys).withColumn("__p", F.lit(0)).groupBy(*units).agg(*tally)
+    else:
+        many = F.broadcast(spark.createDataFrame(same).select(F.col("__h").alias("mh"), F.col("__g").alias("mg"), "__of"))
+        at = (F.col("__h") == F.col("mh")) & (F.col("__g") == F.col("mg"))
+        drawn = pieces(rows.join(many, at)).withColumn("__p", 1 + F.pmod(F.xxhash64(F.monotonically_increasing_id(), F.lit(5)), F.col("__of")).cast("int")).drop("mh", "mg", "__of")
+        drawn = Stored(drawn, "drawn").df
+        rows = pieces(rows.join(many, at, "left_anti")).withColumn("__p", F.lit(0)).unionByName(drawn)
+        exact = pieces(keys.join(many, at, "left_anti")).withColumn("__p", F.lit(0)).groupBy(*units).agg(*tally)
+        exact = exact.unionByName(drawn.groupBy(*units).agg(*tally))
+    table = _deal(exact.toPandas().sort_values(units), cuts, heavy, n_shards, total)
+    dealt = spark.createDataFrame(table, "pr int, ps int, pp int, shard int, start long")
+    order = Window.partitionBy(*units).orderBy("__h", "__g")
+    unit = (F.col("__r") == F.col("pr")) & (F.col("__s") == F.col("ps")) & (F.col("__p") == F.col("pp"))
+    rows = rows.join(dealt, unit).withColumn("slot", F.col("start") + F.row_number().over(order) - 1)
+    return rows.select(*(F.col("__row").getField(c).alias(c) for c in own), F.col("__size").alias("size"), "text_crc32", "shard", "slot")
 
 
 def _deal(exact: pd.DataFrame, cuts: list[tuple[int, int]], heavy: set[int], n_shards: int, total: int) -> pd.DataFrame:
-    """Ranges to shards, largest first to the least filled; the ranges of one text go together. What is larger than a share goes piece by piece."""
+    """Pieces of ranges to shards: texts that fill ranges first, largest to least filled, whole where they fit a share; the rest in the order of the key, cut at the quantiles of the room left."""
     share = total / n_shards
-    groups: dict[tuple, list] = {}
-    for row in exact[["__r", "__s", "b", "n"]].itertuples(index=False, name=None):
+    texts: dict[int, list] = {}
+    plain: list[tuple] = []
+    for row in exact[["__r", "__s", "__p", "b", "n"]].itertuples(index=False, name=None):
         low = cuts[int(row[0]) - 1][0] if row[0] > 0 else None
-        groups.setdefault(("text", low) if low in heavy else ("range", int(row[0])), []).append(row)
-    units = []
-    for rows in groups.values():
-        units += [rows] if sum(x[2] for x in rows) <= share else [[x] for x in rows]
-    load, used, out = np.zeros(n_shards), np.zeros(n_shards, dtype=np.int64), []
-    for rows in sorted(units, key=lambda u: (-sum(x[2] for x in u), u[0][:2])):
+        if low in heavy:
+            texts.setdefault(low, []).append(row)
+        else:
+            plain.append(row)
+    load, shards = np.zeros(n_shards), {}
+    units = [u for rows in texts.values() for u in ([rows] if sum(x[3] for x in rows) <= share else [[x] for x in rows])]
+    for rows in sorted(units, key=lambda u: (-sum(x[3] for x in u), u[0][:3])):
         s = int(np.argmin(load))
-        for r, sub, b, n in rows:
-            out.append((int(r), int(sub), s, int(used[s])))
-            load[s] += b
-            used[s] += n
-    return pd.DataFrame(out, columns=["pr", "ps", "shard", "start"])
+        for row in rows:
+            shards[row[:3]] = s
+            load[s] += row[3]
+    sizes = np.array([x[3] for x in plain], dtype=float)
+    room = np.maximum(_water(load, sizes.sum()) - load, 0)
+    middle = np.cumsum(sizes) - sizes / 2
+    at = np.minimum(np.searchsorted(np.cumsum(room), middle, side="left"), n_shards - 1)
+    shards.update((row[:3], int(s)) for row, s in zip(plain, at, strict=True))
+    used, out = np.zeros(n_shards, dtype=np.int64), []
+    for r, sub, p, _, n in exact[["__r", "__s", "__p", "b", "n"]].itertuples(index=False, name=None):
+        s = shards[(r, sub, p)]
+        out.append((int(r), int(sub), int(p), s, int(used[s])))
+        used[s] += n
+    return pd.DataFrame(out, columns=["pr", "ps", "pp", "shard", "start"])
+
+
+def _water(load: np.ndarray, rest: float) -> float:
+    """The level to which the shards are filled when `rest` more bytes are poured on them."""
+    least = np.sort(load)
+    for k in range(1, len(least) + 1):
+        level = (rest + least[:k].sum()) / k
+        if k == len(least) or level <= least[k]:
+            return float(level)
+    return 0.0

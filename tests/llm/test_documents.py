@@ -21,7 +21,7 @@ from fadestream.llm.pii import BASE, KINDS, features_of, labelled_candidates, pe
 from fadestream.llm.quality import NAMES, held_out, quality_scores, statistics
 from fadestream.llm.sharding import shard
 from fadestream.llm.substring_dedup import runs, sentences, substring_dedup
-from fadestream.llm.winnowing import TestBlock, contamination, drop_contaminated, words_of
+from fadestream.llm.winnowing import contamination, drop_contaminated, words_of
 
 BLANK = re.compile(r"[\x20\x09-\x0D]")
 DOC = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("text", T.StringType()), T.StructField("lang", T.StringType()), T.StructField("source", T.StringType())])
@@ -295,9 +295,9 @@ def brute_hits(words, items):
 def test_contamination_equals_brute_force(spark, docs, rows, sf_dir):
     bench = spark.read.parquet(f"{sf_dir}/benchmark.parquet").select("item_id", "text")
     extra = spark.createDataFrame([(9001, "the of"), (9002, ""), (9003, None), (9004, "Naïve CAFÉ"), (9005, "the")], "item_id long, text string")
-    for items_df, block in ((bench.union(extra), 10**6), (bench.union(extra), 300), (bench, 10**6)):
+    for items_df in (bench.union(extra), bench):
         items = [(r["item_id"], words_of(r["text"])) for r in items_df.collect()]
-        got = {r["doc_id"]: r for r in contamination(docs.limit(10**9), items_df, block).collect()}
+        got = {r["doc_id"]: r for r in contamination(docs, items_df).collect()}
         for i, t in rows[:80]:
             hit, found = brute_hits(words_of(t), items)
             names = sorted(map(str, found))
@@ -307,15 +307,18 @@ def test_contamination_equals_brute_force(spark, docs, rows, sf_dir):
     assert kept == {i for i, r in got.items() if not r["contaminated"]}
 
 
-def test_winnowing_finds_every_shared_run():
+def test_winnowing_finds_every_shared_run(spark):
     rng = random.Random(4)
-    item = [f"w{rng.randint(0, 30)}".encode() for _ in range(60)]
-    block = TestBlock([(1, item)])
+    item = [f"w{rng.randint(0, 30)}" for _ in range(60)]
+    texts = []
     for _ in range(200):
         n, at = rng.randint(8, 14), rng.randint(0, 46)
-        text = [f"z{rng.randint(0, 50)}".encode() for _ in range(rng.randint(0, 20))] + item[at : at + n] + [f"z{rng.randint(0, 50)}".encode() for _ in range(rng.randint(0, 20))]
-        marks, found = block.scan(text)
-        assert (marks.sum(), found) == brute_hits(text, [(1, item)])
+        noise = lambda: [f"z{rng.randint(0, 50)}" for _ in range(rng.randint(0, 20))]
+        texts.append(" ".join(noise() + item[at : at + n] + noise()))
+    got = contamination(table(spark, texts), spark.createDataFrame([(1, " ".join(item))], "item_id int, text string")).collect()
+    for r in got:
+        marks, found = brute_hits(words_of(texts[r["doc_id"]]), [(1, words_of(" ".join(item)))])
+        assert (r["n_hit"], r["items"]) == (marks, [str(i) for i in sorted(found)])
 
 
 def test_words_are_those_of_the_pattern():
