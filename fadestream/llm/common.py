@@ -118,8 +118,8 @@ def key_filter(keys: DataFrame, count: int, bits_a_key: int = 16) -> Callable[..
     return lambda *cols: passes(F.xxhash64(*cols))
 
 
-def bitmap(keys: DataFrame, count: int, bits_a_key: int = 16) -> np.ndarray:
-    """Packed bits, a power of two of them, set at the hashes of the keys."""
+def bitmap(keys: DataFrame, count: int, bits_a_key: int = 16, hashed: bool = False) -> np.ndarray:
+    """Packed bits, a power of two of them, set at the hashes of the keys (or at the keys, where they are hashes)."""
     bits = min(FILTER_BITS_MAX, max(1 << 16, 1 << int(bits_a_key * count).bit_length()))
     size = (1 << FILTER_BLOCK) // 8
 
@@ -136,7 +136,8 @@ def bitmap(keys: DataFrame, count: int, bits_a_key: int = 16) -> np.ndarray:
         for block, hit in held.items():
             yield pa.RecordBatch.from_pydict({"block": pa.array([block], pa.int64()), "m": [np.packbits(hit).tobytes()]})
 
-    at = keys.select(F.xxhash64(*keys.columns).bitwiseAND(F.lit(bits - 1)).alias("at"))
+    key = F.col(keys.columns[0]) if hashed else F.xxhash64(*keys.columns)
+    at = keys.select(key.bitwiseAND(F.lit(bits - 1)).alias("at"))
     dealt = at.select(F.shiftright("at", FILTER_BLOCK).alias("block"), "at").repartition("block")
     whole = np.zeros(bits // 8, dtype=np.uint8)
     for block, m in dealt.mapInArrow(fold, "block long, m binary").toLocalIterator():

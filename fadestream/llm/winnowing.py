@@ -1,10 +1,11 @@
 r"""Benchmark decontamination by winnowing.
 
-Of both corpora, each run of `window` consecutive words is represented by the least of the hashes of its k-word grams, so
-any shared run of `window` words shares a fingerprint. Test fingerprints are few; they travel to the documents in blocks
-of bounded size (a documented number of benchmark words), each block in one scan without exchange. A document position
-whose fingerprint is also a test fingerprint is extended: the runs of `window` words around it are compared word for word
-with the benchmark's. Items shorter than a window are one window each, found with k equal to their own length.
+Of both corpora, each run of `WINDOW` consecutive words is represented by the least of the hashes of its k-word grams, so any
+shared run of `WINDOW` words shares a fingerprint. Items shorter than a window are one window each, with k equal to their own
+length. The test fingerprints fill a bitmap of bounded size; the scan of the documents keeps the windows whose fingerprint is
+marked there, few of them by chance. These are joined with the test windows by fingerprint, and the join compares the windows word
+for word, which extends the fingerprint's words to the whole run. Overlapping runs are then added up by document. Neither the
+documents nor the benchmark pass through the driver.
 
 Results for odd input: null or wordless texts have no words, no hits and the digest of the empty list; items without
 words are ignored; repeated rows are answered row by row; equal item ids count once; an item with a null id hits words but
@@ -13,6 +14,7 @@ is not listed; an empty benchmark leaves every document clean; other columns are
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -20,15 +22,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Stored, each, slices, tidy
+from .common import Stored, bitmap, each, marked, slices, without
 
 WINDOW, GRAM = 10, 5
-#: Benchmark words in one block: the bound of what is broadcast at once (about 100 bytes a word at most).
-BLOCK_WORDS = 1_000_000
+#: Bits of the bitmap for each test window: the share of other fingerprints that pass it is one by that many.
+BITS_A_PRINT = 512
 
 _KEEP = bytes(c if chr(c).isdigit() or chr(c).islower() or c >= 128 else c + 32 if 65 <= c <= 90 else 32 for c in range(256))
 _MULT = np.uint64(0x9E3779B97F4A7C15)
-_NONE = np.iinfo(np.uint64).max
 
 
 def words_of(text: str | None) -> list[bytes]:
@@ -43,185 +44,143 @@ def _mix(x: np.ndarray) -> np.ndarray:
 
 
 def gram_hashes(ids: np.ndarray, k: int) -> np.ndarray:
-    """Hash of each run of k word numbers; runs with an unknown word (0) get the largest value."""
+    """Hash of each run of k word numbers."""
     n = len(ids) - k + 1
     if n <= 0:
         return np.empty(0, dtype=np.uint64)
-    h, known = np.zeros(n, dtype=np.uint64), np.ones(n, dtype=bool)
+    h = np.zeros(n, dtype=np.uint64)
     for i in range(k):
-        part = ids[i : i + n]
-        h = _mix(h * _MULT + part.astype(np.uint64))
-        known &= part > 0
-    h[~known] = _NONE
+        h = _mix(h * _MULT + ids[i : i + n].astype(np.uint64))
     return h
 
 
-def winnow(hashes: np.ndarray, window: int) -> np.ndarray:
-    """Positions of the least hash of each run of `window` hashes (every position that attains it; unknown ones never)."""
+def least_grams(hashes: np.ndarray, window: int) -> np.ndarray:
+    """The fingerprint of each run of `window` hashes: the least of them."""
     n = len(hashes) - window + 1
     if n <= 0:
-        return np.empty(0, dtype=np.int64)
+        return np.empty(0, dtype=np.uint64)
     least = hashes[:n].copy()
     for i in range(1, window):
         np.minimum(least, hashes[i : i + n], out=least)
-    chosen = np.zeros(len(hashes), dtype=bool)
-    for i in range(window):
-        chosen[i : i + n] |= hashes[i : i + n] == least
-    return np.flatnonzero(chosen & (hashes != _NONE))
-
-
-class TestBlock:
-    """Windows of some items, ready to be looked up: vocabulary, fingerprints and the windows' own words by length."""
-
-    __test__ = False
-
-    def __init__(self, items: list[tuple[int | None, list[bytes]]]) -> None:
-        self.vocab: dict[bytes, int] = {}
-        self.classes: list[tuple[int, int, np.ndarray, np.ndarray, np.ndarray, list[tuple[int, ...]]]] = []
-        by_length: dict[int, dict[tuple[int, ...], set]] = {}
-        for item, words in items:
-            ids = [self.vocab.setdefault(w, len(self.vocab) + 1) for w in words]
-            length = min(WINDOW, len(ids))
-            for i in range(len(ids) - length + 1):
-                by_length.setdefault(length, {}).setdefault(tuple(ids[i : i + length]), set()).add(item)
-        for length, windows in sorted(by_length.items()):
-            gram = GRAM if length == WINDOW else length
-            rows = np.array(sorted(windows), dtype=np.int64)
-            whole = np.array([gram_hashes(r, length)[0] for r in rows], dtype=np.uint64)
-            order = np.argsort(whole, kind="stable")
-            prints = np.unique(np.concatenate([(g := gram_hashes(r, gram))[winnow(g, length - gram + 1)] for r in rows]))
-            owners = [tuple(windows[tuple(r)]) for r in rows[order].tolist()]
-            self.classes.append((length, gram, prints, whole[order], rows[order], owners))
-
-    def scan(self, words: list[bytes]) -> tuple[np.ndarray, set]:
-        """Marks of the words that lie in an occurring window; the items those windows come from."""
-        get = self.vocab.get
-        ids = np.fromiter((get(w, 0) for w in words), dtype=np.int64, count=len(words))
-        marks, items = np.zeros(len(words) + 1, dtype=np.int64), set()
-        for length, gram, prints, whole, rows, owners in self.classes:
-            grams = gram_hashes(ids, gram)
-            at = winnow(grams, length - gram + 1)
-            at = at[_member(prints, grams[at])]
-            if not len(at):
-                continue
-            starts = np.unique((at[:, None] - np.arange(length - gram + 1)[None, :]).ravel())
-            starts = starts[(starts >= 0) & (starts <= len(ids) - length)]
-            runs = ids[starts[:, None] + np.arange(length)[None, :]]
-            place = np.searchsorted(whole, key := np.array([gram_hashes(r, length)[0] for r in runs], dtype=np.uint64))
-            for s, run, p, k in zip(starts.tolist(), runs, place.tolist(), key.tolist(), strict=True):
-                while p < len(whole) and whole[p] == k:
-                    if (rows[p] == run).all():
-                        marks[s] += 1
-                        marks[s + length] -= 1
-                        items.update(owners[p])
-                        break
-                    p += 1
-        return np.cumsum(marks)[:-1] > 0, items
-
-
-def _member(sorted_values: np.ndarray, x: np.ndarray) -> np.ndarray:
-    p = np.searchsorted(sorted_values, x)
-    p[p == len(sorted_values)] = 0
-    return sorted_values[p] == x
-
-
-def _blocks(benchmark: DataFrame, block_words: int) -> Iterator[list[tuple[int | None, list[bytes]]]]:
-    block, n = [], 0
-    for row in benchmark.select("item_id", "text").toLocalIterator():
-        if words := words_of(row["text"]):
-            block.append((row["item_id"], words))
-            n += len(words)
-        if n >= block_words:
-            yield block
-            block, n = [], 0
-    if block:
-        yield block
-
-
-def drop_contaminated(docs: DataFrame, benchmark: DataFrame, block_words: int = BLOCK_WORDS) -> DataFrame:
-    """The rows of docs without a benchmark window, all columns: a filter in the scan for each block."""
-    sc = docs.sparkSession.sparkContext
-    for b in _blocks(benchmark, block_words):
-        docs = docs.where(_clean(sc.broadcast(TestBlock(b)))("text"))
-    return docs
-
-
-def _clean(block):  # noqa: ANN001, ANN202
-    @F.arrow_udf("boolean")
-    def clean(text: pa.Array) -> pa.Array:
-        out = pa.array([not block.value.scan(words_of(t))[0].any() for t in each(text)], pa.bool_())
-        tidy()
-        return out
-
-    return clean
-
-
-def _pack(marks: np.ndarray) -> bytes:
-    return np.packbits(marks).tobytes() if marks.any() else b""
-
-
-def contamination(docs: DataFrame, benchmark: DataFrame, block_words: int = BLOCK_WORDS) -> DataFrame:
-    """doc_id, n_words, n_hit, items (list of item ids, sorted as strings), items_sha256, contaminated: a row per input row."""
-    sc = docs.sparkSession.sparkContext
-    blocks = [sc.broadcast(TestBlock(b)) for b in _blocks(benchmark, block_words)]
-    kind = docs.schema["doc_id"].dataType.simpleString()
-    if len(blocks) <= 1:
-        return _finish(docs.select("doc_id", "text").mapInArrow(_scanner(blocks), f"doc_id {kind}, n_words long, n_hit long, items array<string>"))
-    rows = docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text")
-    rows = Stored(rows, "rows").df
-    parts = None
-    for block in blocks:
-        one = rows.mapInArrow(_marker(block), f"row long, doc_id {kind}, n_words long, marks binary, items array<string>")
-        parts = one if parts is None else parts.union(one)
+    return least
 
-    @F.arrow_udf("long")
-    def union_size(marks: pa.Array) -> pa.Array:
-        sizes = []
-        for ms in each(marks):
-            some = [np.frombuffer(m, np.uint8) for m in ms if m]
-            sizes.append(int(np.unpackbits(np.bitwise_or.reduce(some)).sum()) if some else 0)
-        return pa.array(sizes, pa.int64())
 
-    by_row = parts.groupBy("row").agg(
-        F.first("doc_id").alias("doc_id"), F.first("n_words").alias("n_words"), F.collect_list("marks").alias("marks"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items")
-    )
-    return _finish(by_row.select("doc_id", "n_words", union_size("marks").alias("n_hit"), "items"))
+def numbers(words: list[bytes]) -> np.ndarray:
+    """A number from 1 up for each word; equal words have equal numbers, and few others share one (windows are compared word for word)."""
+    return np.fromiter(map(zlib.crc32, words), dtype=np.int64, count=len(words)) + 1
+
+
+def fingerprints_of(words: list[bytes], length: int) -> np.ndarray:
+    """The winnowed fingerprint of each window of `length` words: the least hash of its grams of GRAM words, of the window itself if it's shorter than WINDOW."""
+    gram = GRAM if length == WINDOW else length
+    return least_grams(gram_hashes(numbers(words), gram), length - gram + 1).view(np.int64)
 
 
-def _scanner(blocks: list):  # noqa: ANN202
+def test_windows(benchmark: DataFrame) -> DataFrame:
+    """h (fingerprint), w (the window's words), n (how many), items: distinct windows of the items."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches):
-            n_words, n_hit, found = [], [], []
-            for text in b.column(1).to_pylist():
-                words = words_of(text)
-                marks, items = blocks[0].value.scan(words) if blocks and words else (np.empty(0, dtype=bool), set())
-                n_words.append(len(words))
-                n_hit.append(int(marks.sum()))
-                found.append(sorted(str(i) for i in items if i is not None))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n_words, pa.int64()), pa.array(n_hit, pa.int64()), pa.array(found, pa.list_(pa.string()))], names=["doc_id", "n_words", "n_hit", "items"])
+        for b in slices(batches, 64):
+            hs, ws, ns, rows = [], [], [], []
+            for i, text in enumerate(b.column(1).to_pylist()):
+                if words := words_of(text):
+                    n = min(WINDOW, len(words))
+                    hs.append(fingerprints_of(words, n))
+                    ws += [b" ".join(words[p : p + n]) for p in range(len(words) - n + 1)]
+                    ns += [n] * len(hs[-1])
+                    rows += [i] * len(hs[-1])
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(hs)), pa.array(ws, pa.binary()), pa.array(ns, pa.int32()), b.column(0).take(pa.array(rows, pa.int32()))], names=["h", "w", "n", "item"])
+
+    kind = benchmark.schema["item_id"].dataType.simpleString()
+    found = benchmark.select("item_id", "text").mapInArrow(run, f"h long, w binary, n int, item {kind}")
+    return found.groupBy("h", "w", "n").agg(F.collect_set(F.col("item").cast("string")).alias("items"))
 
-    return run
 
+test_windows.__test__ = False
+
+
+def _candidates(docs: DataFrame, lengths: list[int], tests: np.ndarray) -> DataFrame:
+    """doc_id, th, n_words, at: the windows (h, w, n, starts) of a document whose fingerprint may be a test's."""
+    probe = docs.sparkSession.sparkContext.broadcast(tests)
 
-def _marker(block):  # noqa: ANN001, ANN202
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches):
-            n_words, bits, found = [], [], []
+            n_words, found = [], []
             for text in b.column(2).to_pylist():
                 words = words_of(text)
-                marks, items = block.value.scan(words)
+                at: dict[tuple[int, bytes, int], list[int]] = {}
+                for n in lengths:
+                    prints = fingerprints_of(words, n) if len(words) >= n else np.empty(0, dtype=np.int64)
+                    for p in np.flatnonzero(marked(probe.value, _spread(prints))).tolist():
+                        at.setdefault((int(prints[p]), b" ".join(words[p : p + n]), n), []).append(p)
                 n_words.append(len(words))
-                bits.append(_pack(marks))
-                found.append(sorted(str(i) for i in items if i is not None))
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(n_words, pa.int64()), pa.array(bits, pa.binary()), pa.array(found, pa.list_(pa.string()))], names=["row", "doc_id", "n_words", "marks", "items"])
+                found.append([{"h": h, "w": w, "n": n, "starts": starts} for (h, w, n), starts in at.items()])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(n_words, pa.int64()), pa.array(found, _AT)], names=["doc_id", "th", "n_words", "at"])
+
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    return docs.select("doc_id", F.xxhash64("text").alias("th"), "text").mapInArrow(run, f"doc_id {kind}, th long, n_words long, at array<struct<h: long, w: binary, n: int, starts: array<int>>>")
 
-    return run
 
+_AT = pa.list_(pa.struct([("h", pa.int64()), ("w", pa.binary()), ("n", pa.int32()), ("starts", pa.list_(pa.int32()))]))
 
-def _finish(rows: DataFrame) -> DataFrame:
+
+def _spread(prints: np.ndarray) -> np.ndarray:
+    """Fingerprints are minima, so their leading bits aren't even: mixed once more before they address a bitmap."""
+    return _mix(prints.view(np.uint64) * _MULT).view(np.int64)
+
+
+def _bits(tests: DataFrame, count: int) -> np.ndarray:
+    """The bitmap of the test fingerprints: bounded, built by executors (see common.bitmap)."""
+
+    @F.arrow_udf("long")
+    def spread(h: pa.Array) -> pa.Array:
+        return pa.array(_spread(h.to_numpy(zero_copy_only=False)))
+
+    return bitmap(tests.select(spread("h").alias("h")), count, BITS_A_PRINT, hashed=True)
+
+
+def _hits(docs: DataFrame, benchmark: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """The scan (doc_id, th, n_words, at) and the hits of its documents (doc_id, th, n_hit, items): a row for each document that has any."""
+    tests = Stored(test_windows(benchmark), "tests").df
+    lengths = [r[0] for r in tests.select("n").distinct().collect()]  # at most WINDOW
+    scan = Stored(_candidates(docs, sorted(lengths), _bits(tests, tests.count())), "scan").df
+    found = scan.where(F.size("at") > 0).dropDuplicates(["doc_id", "th"]).select("doc_id", "th", F.explode("at").alias("x")).select("doc_id", "th", "x.*")
+    joined = Stored(found.join(tests, ["h", "w", "n"]).select("doc_id", "th", "n", "starts", "items"), "hits").df
+
+    @F.arrow_udf("long")
+    def covered(n: pa.Array, starts: pa.Array) -> pa.Array:
+        sizes = []
+        for ns, ss in zip(each(n), each(starts), strict=True):
+            ends = np.concatenate([np.array(s) + k for k, s in zip(ns, ss, strict=True)])
+            begin = np.concatenate([np.array(s) for s in ss])
+            order = np.argsort(begin, kind="stable")
+            begin, reach = begin[order], np.maximum.accumulate(ends[order])
+            sizes.append(int((reach - np.maximum(begin, np.concatenate([[0], reach[:-1]]))).clip(0).sum()))
+        return pa.array(sizes, pa.int64())
+
+    spans = joined.groupBy("doc_id", "th").agg(F.collect_list(F.struct("n", "starts")).alias("x"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
+    return scan, spans.select("doc_id", "th", covered(F.col("x.n"), F.col("x.starts")).alias("n_hit"), "items")
+
+
+def drop_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
+    """The rows of docs without a benchmark window, all columns; only texts that may hold one are exchanged."""
+    _, hits = _hits(docs, benchmark)
+    return without(docs, Stored(hits.select("doc_id", "th"), "hit").df)
+
+
+def contamination(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
+    """doc_id, n_words, n_hit, items (list of item ids, sorted as strings), items_sha256, contaminated: a row per input row."""
+    scan, hits = _hits(docs, benchmark)
+    hits = hits.select(F.col("doc_id").alias("id"), F.col("th").alias("t"), "n_hit", "items")
+    none = F.array().cast("array<string>")
+    clean = scan.where(F.size("at") == 0).select("doc_id", "n_words", F.lit(0).cast("long").alias("n_hit"), none.alias("items"))
+    rest = scan.where(F.size("at") > 0).join(hits, F.col("doc_id").eqNullSafe(F.col("id")) & (F.col("th") == F.col("t")), "left")
+    rest = rest.select("doc_id", "n_words", F.coalesce("n_hit", F.lit(0)).cast("long").alias("n_hit"), F.coalesce("items", none).alias("items"))
+    rows = clean.unionByName(rest)
     return rows.select(
         "doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"), "items"
     )
 
 
-__all__ = ["GRAM", "WINDOW", "TestBlock", "contamination", "gram_hashes", "winnow", "words_of"]
+__all__ = ["GRAM", "WINDOW", "contamination", "drop_contaminated", "gram_hashes", "least_grams", "test_windows", "words_of"]
