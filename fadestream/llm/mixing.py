@@ -7,8 +7,12 @@ siblings then take. Shares are found by windows over the children ordered by cap
 epochs and, of one more epoch in a seeded order, the longest prefix that fits. Running sums go by hash bucket, then
 within one, so a leaf with a third of all rows is no single task's work.
 
+The order of a leaf's rows is the hash of seed, epoch and doc_id, then of the text; so rows that share an id, or have none (their
+text stands in for it), come in the same order however the table is partitioned.
+
 Results for odd input: null texts have no tokens and cost nothing where they stand in the order; null
-language or source is the node "none"; repeated rows are taken row by row; an empty table gives no rows.
+language or source is the node "none"; repeated rows are taken row by row, and which of rows equal in id and text comes first makes
+no difference; a null doc_id is ordered by its text; an empty table gives no rows; other columns are neither read nor renamed.
 """
 
 from __future__ import annotations
@@ -65,14 +69,19 @@ def budgets(leaves: DataFrame, target: Column, weights: dict[str, dict[str, floa
     return capped.join(nodes, list(LEVELS)).select(*LEVELS, "tokens", F.floor(F.col("amount") + 1e-6).alias("budget"))
 
 
-def mix(docs: DataFrame, weights: dict[str, dict[str, float]] | None = None, share: float = SHARE, max_epochs: int = MAX_EPOCHS, seed: int = SEED) -> DataFrame:
-    """doc_id, domain, language, origin, tokens, budget (of the leaf), copies (how often the row is taken): a row per input row."""
+def leaf_of() -> list[Column]:
+    """The leaf of a document: domain, language, origin."""
     origin = F.coalesce(F.col("source").cast("string"), F.lit("none"))
+    domain = F.pmod(F.crc32(origin.cast("binary")), F.lit(DOMAINS)).cast("string")
+    return [domain.alias("domain"), F.coalesce(F.col("lang").cast("string"), F.lit("none")).alias("language"), origin.alias("origin")]
+
+
+def mix(docs: DataFrame, weights: dict[str, dict[str, float]] | None = None, share: float = SHARE, max_epochs: int = MAX_EPOCHS, seed: int = SEED) -> DataFrame:
+    """doc_id, th (hash of the text), domain, language, origin, tokens, budget (of the leaf), copies (how often the row is taken): a row per input row."""
     rows = docs.select(
         "doc_id",
-        F.pmod(F.crc32(origin.cast("binary")), F.lit(DOMAINS)).cast("string").alias("domain"),
-        F.coalesce(F.col("lang").cast("string"), F.lit("none")).alias("language"),
-        origin.alias("origin"),
+        F.xxhash64("text").alias("th"),
+        *leaf_of(),
         token_count(text_of()).alias("tokens"),
     )
     rows = Stored(rows, "tokens").df
@@ -80,11 +89,30 @@ def mix(docs: DataFrame, weights: dict[str, dict[str, float]] | None = None, sha
     total = leaves.agg(F.floor(F.sum("tokens") * F.lit(share))).first()[0] or 0
     plan = Stored(budgets(leaves, F.lit(float(total)), weights or WEIGHTS, max_epochs), "budgets").df
     plan = plan.select(*LEVELS, "budget", F.when(F.col("tokens") > 0, F.floor(F.col("budget") / F.col("tokens"))).otherwise(0).cast("long").alias("whole"), (F.col("budget") - F.when(F.col("tokens") > 0, F.floor(F.col("budget") / F.col("tokens")) * F.col("tokens")).otherwise(0)).alias("left"))
-    keyed = rows.join(plan, list(LEVELS)).withColumn("key", F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("whole").cast("string"), F.coalesce(F.col("doc_id").cast("string"), F.lit("none"))).cast("binary")))
+    keyed = rows.join(plan, list(LEVELS)).withColumn("key", F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("whole").cast("string"), F.coalesce(F.col("doc_id").cast("string"), F.concat(F.lit("none "), F.col("th").cast("string")))).cast("binary")))
     keyed = keyed.withColumn("bucket", F.substring("key", 1, 3))
     sums = keyed.groupBy(*LEVELS, "bucket").agg(F.sum("tokens").alias("t"))
     earlier = Window.partitionBy(*LEVELS).orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
     starts = sums.select(*LEVELS, "bucket", F.coalesce(F.sum("t").over(earlier), F.lit(0)).alias("start"))
-    upto = Window.partitionBy(*LEVELS, "bucket").orderBy("key").rowsBetween(Window.unboundedPreceding, 0)
+    upto = Window.partitionBy(*LEVELS, "bucket").orderBy("key", "th").rowsBetween(Window.unboundedPreceding, 0)
     out = keyed.join(starts, [*LEVELS, "bucket"]).withColumn("run", F.col("start") + F.sum("tokens").over(upto))
-    return out.select("doc_id", *LEVELS, "tokens", "budget", F.least(F.col("whole") + (F.col("run") <= F.col("left")).cast("long"), F.lit(max_epochs)).cast("long").alias("copies"))
+    return out.select("doc_id", "th", *LEVELS, "tokens", "budget", F.least(F.col("whole") + (F.col("run") <= F.col("left")).cast("long"), F.lit(max_epochs)).cast("long").alias("copies"))
+
+
+def mixed(docs: DataFrame, weights: dict[str, dict[str, float]] | None = None, share: float = SHARE, seed: int = SEED) -> DataFrame:
+    """The rows of docs that an epoch at most of each leaf takes, all columns. Of rows equal in id, text and leaf as many stay as are taken."""
+    plan = Stored(mix(docs, weights, share, 1, seed).select("doc_id", "th", *LEVELS, "copies"), "mixture").df
+    names = ["doc_id", "th", *LEVELS]
+    taken = plan.groupBy(*names).agg(F.sum("copies").alias("take"), F.count(F.lit(1)).alias("rows")).where("take > 0")
+    taken = Stored(taken, "taken").df.select(*(F.col(c).alias(f"__t_{c}") for c in names), "take", "rows")
+    keyed = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("__row"), F.col("doc_id"), F.xxhash64("text").alias("th"), *leaf_of())
+    same = F.lit(True)
+    for c in names:
+        same = same & keyed[c].eqNullSafe(F.col(f"__t_{c}"))
+    whole = keyed.join(taken.where("take = rows"), same, "left_semi").select("__row")
+    cut = taken.where("take < rows")
+    if not cut.isEmpty():
+        place = F.row_number().over(Window.partitionBy(*names).orderBy(F.lit(0)))
+        part = keyed.join(cut, same).withColumn("__place", place).where(F.col("__place") <= F.col("take"))
+        whole = whole.unionByName(part.select("__row"))
+    return whole.select(*(F.col("__row").getField(c).alias(c) for c in docs.columns))

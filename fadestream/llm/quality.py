@@ -8,7 +8,8 @@ training rows.
 
 The fit uses at most `max_fit` labelled rows, those with the least id hash (a documented bound; every row is scored). Results for odd input: null text counts as empty and gets
 the score of the empty text; rows without labels are scored like any other; repeated rows are scored row by row; labels
-that are null are not used; an empty document table gives no rows; without labels of both classes every score is 0.5.
+that are null are not used; an empty document table gives no rows; without labels of both
+classes every score is 0.5 and no row is predicted good, but reject_low_quality, which has nothing to go by then, keeps all rows.
 """
 
 from __future__ import annotations
@@ -20,11 +21,11 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import Stored, each, slices, tidy
+from .common import Stored, slices, without
 
 #: Largest number of labelled rows that the fit sees.
 MAX_FIT = 200_000
@@ -75,15 +76,16 @@ def statistics(text: bytes) -> list[float]:
     ]
 
 
-def features(docs: DataFrame) -> DataFrame:
-    """doc_id, x (array of len(NAMES) doubles)."""
+def features(docs: DataFrame, *keys: str) -> DataFrame:
+    """doc_id, the key columns asked for, x (array of len(NAMES) doubles)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches):
             rows = [statistics(t or b"") for t in b.column(1).cast(pa.binary()).to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(rows, pa.list_(pa.float64()))], names=["doc_id", "x"])
+            own = [b.column(0), *b.columns[2:]]
+            yield pa.RecordBatch.from_arrays([*own, pa.array(rows, pa.list_(pa.float64()))], names=["doc_id", *keys, "x"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, T.StructType([docs.schema["doc_id"], T.StructField("x", T.ArrayType(T.DoubleType()))]))
+    return docs.select("doc_id", "text", *keys).mapInArrow(run, T.StructType([docs.schema["doc_id"], *(docs.schema[k] for k in keys), T.StructField("x", T.ArrayType(T.DoubleType()))]))
 
 
 def standard(x: np.ndarray, centre: np.ndarray, scale: np.ndarray) -> np.ndarray:
@@ -165,32 +167,33 @@ def train(stats: DataFrame, labels: DataFrame, max_fit: int = MAX_FIT) -> Discri
     return fit(np.array(rows["x"].tolist()), rows["y"].to_numpy())
 
 
-def quality_scores(docs: DataFrame, labels: DataFrame, max_fit: int = MAX_FIT) -> DataFrame:
-    """doc_id, held_out, score, predicted: a row per input row."""
-    stats = Stored(features(docs), "stats").df
-    model = docs.sparkSession.sparkContext.broadcast(train(stats, labels, max_fit))
+def _scorer(spark: SparkSession, model: Discriminant | None):  # noqa: ANN202
+    held = spark.sparkContext.broadcast(model)
 
     @F.arrow_udf("double")
     def score(x: pa.Array) -> pa.Array:
-        if model.value is None or not len(x):
+        if held.value is None or not len(x):
             return pa.array(np.full(len(x), 0.5))
-        return pa.array(model.value.score(np.asarray(x.flatten()).reshape(len(x), -1)))
+        return pa.array(held.value.score(np.asarray(x.flatten()).reshape(len(x), -1)))
 
+    return score
+
+
+def quality_scores(docs: DataFrame, labels: DataFrame, max_fit: int = MAX_FIT) -> DataFrame:
+    """doc_id, held_out, score, predicted: a row per input row."""
+    stats = Stored(features(docs), "stats").df
+    score = _scorer(docs.sparkSession, train(stats, labels, max_fit))
     out = stats.select("doc_id", held_out().alias("held_out"), score("x").alias("score"))
     return out.withColumn("predicted", (F.col("score") >= CUT).cast("int"))
 
 
 def reject_low_quality(docs: DataFrame, labels: DataFrame, max_fit: int = MAX_FIT) -> DataFrame:
-    """The rows of docs with predicted = 1, all columns; one more scan of the texts, no exchange of them."""
-    stats = Stored(features(docs), "stats").df
-    model = docs.sparkSession.sparkContext.broadcast(train(stats, labels, max_fit))
-
-    @F.arrow_udf("double")
-    def score(text: pa.Array) -> pa.Array:
-        if model.value is None or not len(text):
-            return pa.array(np.ones(len(text)))
-        out = pa.array(model.value.score(np.array([statistics(t or b"") for t in each(text.cast(pa.binary()))])))
-        tidy()
-        return out
-
-    return docs.where(score("text") >= CUT)
+    """The rows of docs whose score reaches CUT, all columns: only texts that may be rejected are exchanged. Without labels of both
+    classes there is no model, and nothing is rejected."""
+    keyed = docs.select("doc_id", "text", F.xxhash64("text").alias("th"))
+    stats = Stored(features(keyed, "th"), "stats").df
+    model = train(stats, labels, max_fit)
+    if model is None:
+        return docs
+    score = _scorer(docs.sparkSession, model)
+    return without(docs, Stored(stats.where(score("x") < CUT).select("doc_id", "th").distinct(), "rejected").df)

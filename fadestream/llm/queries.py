@@ -41,7 +41,7 @@ def op5_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mix(documents(spark, sf_dir))
+    return mix(documents(spark, sf_dir)).drop("th")
 
 
 def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

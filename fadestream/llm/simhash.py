@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Stored, key_filter, slices
+from .common import Stored, key_filter, slices, without
 from .components import components
 
 #: Shingles whose bits are unpacked at once (64 bytes each).
@@ -239,15 +239,15 @@ CELLS_MAX = 1 << 24
 
 
 def _texts(docs: DataFrame) -> DataFrame:
-    """doc_id, key (128-bit hash of the lower-cased words), id (its first half)."""
+    """doc_id, th (hash of the text), key (128-bit hash of the lower-cased words), id (its first half)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches):
-            keys = [_key(t) for t in b.column(1).cast(pa.binary()).to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(keys, pa.binary()), pa.array([_half(k) for k in keys], pa.int64())], names=["doc_id", "key", "id"])
+            keys = [_key(t) for t in b.column(2).cast(pa.binary()).to_pylist()]
+            yield pa.RecordBatch.from_arrays([*b.columns[:2], pa.array(keys, pa.binary()), pa.array([_half(k) for k in keys], pa.int64())], names=["doc_id", "th", "key", "id"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, key binary, id long")
+    return docs.select("doc_id", F.xxhash64("text").alias("th"), "text").mapInArrow(run, f"doc_id {kind}, th long, key binary, id long")
 
 
 def _key(text: bytes | None) -> bytes:
@@ -402,7 +402,7 @@ def _unsettled(many: DataFrame, joined: DataFrame, sets: DataFrame) -> DataFrame
 
 
 def near_duplicates(docs: DataFrame) -> DataFrame:
-    """doc_id, component_id: documents linked by a similarity of at least SIMILAR over sets of SHINGLE-word shingles.
+    """doc_id, th (hash of the text), component_id, root: documents linked by a similarity of at least SIMILAR over sets of SHINGLE-word shingles.
 
     Exact: texts of that similarity share one of the rarest shingles of each (a prefix filter), so they meet in the group of that
     shingle. Small groups are joined pair by pair, without pairs whose sizes and places rule them out. All of a large group are
@@ -443,16 +443,20 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     roots = texts.select("key", "least").join(joined.select(F.col("node").alias("key"), "root"), "key", "left").withColumn("root", F.coalesce("root", "key"))
     roots = Stored(roots, "roots").df
     names = roots.groupBy("root").agg(F.min("least").alias("component_id"))
-    return rows.select("doc_id", "key").join(roots.join(names, "root").select("key", "component_id"), "key").select("doc_id", "component_id")
+    return rows.select("doc_id", "th", "key").join(roots.join(names, "root").select("key", "component_id", "root"), "key").select("doc_id", "th", "component_id", "root")
 
 
 def drop_near_duplicates(docs: DataFrame) -> DataFrame:
-    """docs with one document of each group of near copies, the one of the least doc_id; rows without an id stay."""
-    classes = Stored(near_duplicates(docs), "classes").df
-    gone = Stored(classes.where("doc_id <> component_id").select("doc_id").distinct(), "gone").df
-    may_hit = key_filter(gone, gone.count())
-    hit = F.coalesce(may_hit("doc_id"), F.lit(False)) & F.col("doc_id").isNotNull()
-    kept = docs.where(~hit).unionByName(docs.where(hit).join(gone, "doc_id", "left_anti").select(*docs.columns))
-    if classes.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").isEmpty():
+    """docs with one row of each group of near copies: the one of the least doc_id (null last), then least text hash."""
+    classes = Stored(near_duplicates(docs).select("doc_id", "th", "root"), "classes").df
+    order = F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "th")
+    stays = Stored(classes.groupBy("root").agg(F.min(order).alias("stays"), F.count(F.lit(1)).alias("rows")), "stays").df
+    # a group of one has nothing to lose: only the others meet what stays of them
+    gone = classes.join(stays.where("rows > 1"), "root").where(order != F.col("stays")).select("doc_id", "th").distinct()
+    kept = without(docs, Stored(gone, "gone").df)
+    again = classes.groupBy("doc_id", "th").count().where("count > 1").limit(1)
+    if again.isEmpty():
         return kept
-    return kept.where("doc_id IS NULL").unionByName(kept.where("doc_id IS NOT NULL").dropDuplicates(["doc_id"]))
+    columns = kept.columns
+    keyed = kept.select(F.struct(*(F.col(f"`{c}`") for c in columns)).alias("__row"), F.col("doc_id").alias("__id"), F.xxhash64("text").alias("__th"))
+    return keyed.dropDuplicates(["__id", "__th"]).select(*(F.col("__row").getField(c).alias(c) for c in columns))
