@@ -43,8 +43,7 @@ class Run:
     """A sorted run: digest, best (least struct of -length, id is null, id), group_size; with the filter over its digests."""
 
     def __init__(self, entries: DataFrame) -> None:
-        options = {"parquet.bloom.filter.enabled#digest": "true", "parquet.bloom.filter.adaptive.enabled#digest": "true"}
-        self.stored = Stored(entries.select("digest", "best", "group_size").sortWithinPartitions("digest"), "run", **options)
+        self.stored = Stored(entries.select("digest", "best", "group_size").sortWithinPartitions("digest"), "run")
         self.count = self.stored.df.count()
         self.may_hold = key_filter(self.stored.df.select("digest"), self.count)
 
@@ -128,6 +127,7 @@ def _verify(docs: DataFrame, index: DigestIndex, level: DataFrame) -> DataFrame:
     texts = docs.select("doc_id", F.length(raw).cast("long").alias("n"), raw.alias("text")).withColumn("bare", bare(F.col("text")))
     texts = texts.withColumn("digest", index.digest(F.col("bare"))).where(may_hit("digest")).drop("text")
     salts = F.ceil(F.col("group_size") / ROWS_PER_SALT).cast("int")
+    texts = Stored(texts, "texts").df  # digested once, read as keepers and as the others
     hits = texts.join(shared.select("digest", "keep_id", "keep_n", salts.alias("salts")), "digest")
     is_keeper = F.col("doc_id").eqNullSafe(F.col("keep_id")) & (F.col("n") == F.col("keep_n"))
     hits = hits.withColumn("salt", F.pmod(F.xxhash64("doc_id", "n"), F.col("salts")).cast("int"))
