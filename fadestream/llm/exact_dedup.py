@@ -14,6 +14,7 @@ columns other than doc_id and text are neither read nor renamed.
 
 from __future__ import annotations
 
+import functools
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -36,36 +37,41 @@ def sha256(text: Column) -> Column:
 
 
 #: Memtables of a scan; runs of a tier that are merged into one.
-MEMTABLES, FANOUT = 4, 2
+MEMTABLES, FANOUT = 4, 4
 
 
 class Run:
-    """A sorted run: digest, best (least struct of -length, id is null, id), group_size; with the filter over its digests."""
+    """A sorted run: digest, best (least struct of -length, id is null, id), group_size; most: no fewer than its entries."""
 
-    def __init__(self, entries: DataFrame) -> None:
+    def __init__(self, entries: DataFrame, most: int) -> None:
         self.stored = Stored(entries.select("digest", "best", "group_size").sortWithinPartitions("digest"), "run")
-        self.count = self.stored.df.count()
-        self.may_hold = key_filter(self.stored.df.select("digest"), self.count)
+        self.most = most
+
+    @functools.cached_property
+    def may_hold(self) -> Callable[..., Column]:
+        """The filter over its digests, built when a merge first asks for it."""
+        return key_filter(self.stored.df.select("digest"), self.most)
 
 
 class DigestIndex:
     """The index: flush() digests a table and adds a run a memtable, compact() merges tier by tier, lookup() answers digests."""
 
-    def __init__(self, spark: SparkSession, digest: Callable[[Column], Column] = sha256, memtables: int = MEMTABLES, fanout: int = FANOUT) -> None:
-        self.spark, self.digest, self.memtables, self.fanout = spark, digest, memtables, fanout
+    def __init__(self, spark: SparkSession, digest: Callable[[Column], Column] = sha256, memtables: int = MEMTABLES, fanout: int = FANOUT, measure: bool = False) -> None:
+        self.spark, self.digest, self.memtables, self.fanout, self.measure = spark, digest, memtables, fanout, measure
         self.tiers: list[list[Run]] = [[]]
         self.tables: list[Stored] = []
-        self.passed = self.merged = 0
+        self.passed = self.merged = 0  # entries that merges passed on unexchanged, of all that they read, if measured
 
     def flush(self, docs: DataFrame) -> None:
         raw = text_of()
         rows = docs.select("doc_id", F.length(raw).cast("long").alias("n"), self.digest(bare(raw)).alias("digest"), F.pmod(F.spark_partition_id(), F.lit(self.memtables)).alias("memtable"))
         table = Stored(rows, "rows", by="memtable")
         self.tables.append(table)
+        most = table.df.count()
         best = F.min(F.struct((-F.col("n")).alias("n"), F.col("doc_id").isNull().alias("z"), F.col("doc_id").alias("i")))
         for m in range(self.memtables):
             own = table.df.where(F.col("memtable") == m)
-            self._add(0, Run(own.groupBy("digest").agg(best.alias("best"), F.count(F.lit(1)).alias("group_size"))))
+            self._add(0, Run(own.groupBy("digest").agg(best.alias("best"), F.count(F.lit(1)).alias("group_size")), most))
 
     def _add(self, tier: int, run: Run) -> None:
         if len(self.tiers) == tier:
@@ -87,9 +93,10 @@ class DigestIndex:
             a, b = flagged.where(~F.col("met")).drop("met"), flagged.where("met").drop("met")
             alone, met = (a, b) if alone is None else (alone.unionByName(a), met.unionByName(b))
         joined = met.groupBy("digest").agg(F.min("best").alias("best"), F.sum("group_size").alias("group_size"))
-        out = Run(alone.unionByName(joined))
-        self.merged += sum(r.count for r in runs)
-        self.passed += alone.count()
+        out = Run(alone.unionByName(joined), sum(run.most for run in runs))
+        if self.measure:
+            self.merged += sum(run.stored.df.count() for run in runs)
+            self.passed += alone.count()
         for run in runs:
             run.stored.drop()
         return out
@@ -108,24 +115,18 @@ class DigestIndex:
         self.tiers = [[] for _ in self.tiers[:-1]] + [[run]]
         return run.stored.df.select("digest", F.col("best.i").alias("keep_id"), (-F.col("best.n")).alias("keep_n"), "group_size")
 
-    def lookup(self, rows: DataFrame, level: DataFrame) -> DataFrame:
-        """rows (doc_id, n, digest) with keep_id, keep_n, group_size; rows that share their digest with none aren't exchanged."""
-        shared = level.where("group_size > 1")
-        hit = key_filter(shared.select("digest"), shared.count())("digest")
+    def lookup(self, rows: DataFrame, level: DataFrame, hit: Column) -> DataFrame:
+        """rows (doc_id, n, digest) with keep_id, keep_n, group_size; rows that share their digest with none (hit is false) aren't exchanged."""
         flagged = rows.withColumn("hit", hit)
         alone = flagged.where(~F.col("hit")).select("digest", "doc_id", "n", F.col("doc_id").alias("keep_id"), F.col("n").alias("keep_n"), F.lit(1).cast("long").alias("group_size"))
         return alone.unionByName(flagged.where("hit").drop("hit").join(level, "digest").select(alone.columns))
 
 
-def _verify(docs: DataFrame, index: DigestIndex, level: DataFrame) -> DataFrame:
-    """digest, doc_id, text of the rows whose bare text differs from the keeper's although the digests are equal."""
-    spark = docs.sparkSession
-    shared = level.where("group_size > 1")
-    may_hit = key_filter(shared.select("digest"), shared.count())
-
+def _verify(docs: DataFrame, index: DigestIndex, shared: DataFrame, hit: Column) -> DataFrame:
+    """digest, doc_id of the rows whose bare text differs from the keeper's although the digests are equal."""
     raw = text_of()
     texts = docs.select("doc_id", F.length(raw).cast("long").alias("n"), raw.alias("text")).withColumn("bare", bare(F.col("text")))
-    texts = texts.withColumn("digest", index.digest(F.col("bare"))).where(may_hit("digest")).drop("text")
+    texts = texts.withColumn("digest", index.digest(F.col("bare"))).where(hit).drop("text")
     salts = F.ceil(F.col("group_size") / ROWS_PER_SALT).cast("int")
     texts = Stored(texts, "texts").df  # digested once, read as keepers and as the others
     hits = texts.join(shared.select("digest", "keep_id", "keep_n", salts.alias("salts")), "digest")
@@ -141,10 +142,12 @@ def exact_dedup(docs: DataFrame, digest: Callable[[Column], Column] = sha256) ->
     index = DigestIndex(docs.sparkSession, digest)
     index.flush(docs)
     level = index.compact()
-    clash = Stored(_verify(docs, index, level).select("digest").distinct(), "clash")
+    shared = level.where("group_size > 1")
+    hit = key_filter(shared.select("digest"), shared.count())("digest")
+    clash = Stored(_verify(docs, index, shared, hit).select("digest").distinct(), "clash")
     rows = index.rows()
     if clash.df.isEmpty():
-        joined = index.lookup(rows, level)
+        joined = index.lookup(rows, level, hit)
     else:  # digests that different texts share: settle those by the bytes themselves
         joined = _settled(docs, rows, level, clash.df, digest)
     # of repeated rows that are the keeper's equal in id and length, exactly one is kept

@@ -102,7 +102,7 @@ def test_shards_are_stretches_of_the_key(spark):
 def test_runs_are_merged_behind_their_filters(spark):
     first = spark.range(400).select(F.col("id").alias("doc_id"), F.concat(F.lit("t"), "id").alias("text")).repartition(8)
     again = first.where("doc_id % 10 = 0").select((F.col("doc_id") + 1000).alias("doc_id"), "text")
-    index = DigestIndex(spark, memtables=4, fanout=2)
+    index = DigestIndex(spark, memtables=4, fanout=2, measure=True)
     index.flush(first)
     index.flush(again)
     level = {r["digest"]: (r["keep_id"], r["group_size"]) for r in index.compact().collect()}
