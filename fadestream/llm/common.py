@@ -140,7 +140,7 @@ def bitmap(keys: DataFrame, count: int, bits_a_key: int = 16, hashed: bool = Fal
     at = keys.select(key.bitwiseAND(F.lit(bits - 1)).alias("at"))
     dealt = at.select(F.shiftright("at", FILTER_BLOCK).alias("block"), "at").repartition("block")
     whole = np.zeros(bits // 8, dtype=np.uint8)
-    for block, m in dealt.mapInArrow(fold, "block long, m binary").toLocalIterator():
+    for block, m in dealt.mapInArrow(fold, "block long, m binary").collect():
         whole[block * size : (block + 1) * size] = np.frombuffer(m, dtype=np.uint8)
     return whole
 
