@@ -84,28 +84,30 @@ def hash_of(text: str) -> int:
 
 def run_grid(
     spark: SparkSession, sf_dir: str, datasets: Sequence[str], eps: Sequence[float] = (0.5, 1.0, 2.0), ks: Sequence[int] = (5, 10, 25), ms: Sequence[int] = (2,), reps: int = 1, *, n: int = 500, concepts: int = 10, period: int = 10,
-    tol: float = 0.01, shared_from: str = "best", limit: int = 20_000, run_id: str = "grid", **start_options,  # noqa: ANN003
+    tol: float = 0.01, shared_from: str = "best", limit: int = 20_000, run_id: str = "grid", t_maxes: Sequence[int | None] = (None,), **start_options,  # noqa: ANN003
 ) -> DataFrame:
-    """The fact table of a grid. Every cell is one group; its block is bounded by `limit` points."""
+    """The fact table of a grid. Every cell is one group; its block is bounded by `limit` points. t_maxes: windows instead of the one that rho implies (a column t_max then)."""
     blocks = None
     for d in datasets:
         b = block_of(spark, sf_dir, d, limit)
         blocks = b if blocks is None else blocks.unionByName(b)
-    cells = [(d, float(e), int(k), int(m), r) for d in datasets for e in eps for k in ks for m in ms for r in range(reps)]
-    grid = spark.createDataFrame(cells, "dataset string, eps double, k int, m int, rep int")
+    cells = [(d, float(e), int(k), int(m), r, t) for d in datasets for e in eps for k in ks for m in ms for r in range(reps) for t in t_maxes]
+    grid = spark.createDataFrame(cells, "dataset string, eps double, k int, m int, rep int, t_max int")
     packed = blocks.groupBy("dataset").agg(F.collect_list("x").alias("xs"))  # at most `limit` points each
-    names = [c.split()[0] for c in MEASUREMENTS.split(", ")]
+    schema = MEASUREMENTS + ("" if tuple(t_maxes) == (None,) else ", t_max int")
+    names = [c.split()[0] for c in schema.split(", ")]
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             for r in f.to_dict("records"):
                 x = np.stack(r.pop("xs"))
+                r["t_max"] = None if pd.isna(r["t_max"]) else int(r["t_max"])
                 x = x[np.lexsort(x.T[::-1])]
                 rows = run_cell(x, r, n=n, concepts=concepts, period=period, tol=tol, shared_from=shared_from, start_options=start_options)
                 yield pd.DataFrame(rows).assign(run_id=run_id)[names]
 
     joined = grid.join(F.broadcast(packed), "dataset") if len(datasets) * limit <= 200_000 else grid.join(packed, "dataset")
-    return joined.repartition(max(1, len(cells)), "dataset", "eps", "k", "m", "rep").mapInPandas(run, MEASUREMENTS)
+    return joined.repartition(max(1, len(cells)), "dataset", "eps", "k", "m", "rep", "t_max").mapInPandas(run, schema)
 
 
 def gap_experiment(spark: SparkSession, sf_dir: str, dataset: str = "lineitem4", *, rho: float = 0.676, n: int = 1000, eps: float = 0.5, stored: int = 40, after: int = 20, reps: int = 20, deltas: Sequence[float] = (0.05, 0.32), limit: int = 1_000_000, seed: int = 1) -> DataFrame:

@@ -5,15 +5,16 @@ from __future__ import annotations
 import uuid
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from fadestream.functions.kernels import Sums
 from fadestream.operators import measures
-from fadestream.operators.distance import cluster_stats
-from fadestream.operators.engine import FadingClusterer
+from fadestream.operators.engine import DriftOracleClusterer, FadingClusterer
 from fadestream.operators.features import EIGHT, table
+from fadestream.operators.starts import BlendSeed
 from fadestream.plans import duck as Q
-from fadestream.plans.experiments import gap_experiment, run_grid
+from fadestream.plans.experiments import gap_experiment, rho_tradeoff, run_grid
 from fadestream.plans.methods import EV5, D, K, ev, fifths, first_rows, r6
 from fadestream.plans.operations import scratch
 from fadestream.plans.registry import query, rounded
@@ -165,54 +166,117 @@ def source_rate_demo(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.table(name).groupBy("k").count()
 
 
-# ---------------------------------------------------------------- reports over fixed starts, checkable
-
-
-def facts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Four fixed sets of centroids as 'methods', scored on windows of two batches: start and after one update; 10-batch concepts."""
-    p = ev(spark, sf_dir).persist()
-    sets = [first_rows(p, K, b) for b in range(4)]
-    stats = cluster_stats(p, sets).groupBy("batch_seq", "model").agg(F.sum("sse").alias("sse"), F.sum("n").alias("n"))
-    w = Window.partitionBy("model").orderBy("batch_seq")
-    both = stats.withColumn("ps", F.coalesce(F.lag("sse").over(w), F.lit(0.0))).withColumn("pn", F.coalesce(F.lag("n").over(w), F.lit(0.0)))
-    faded = (F.col("sse") + 0.5 * F.col("ps")) / (F.col("n") + 0.5 * F.col("pn"))
-    rows = both.select(
-        F.col("batch_seq"), (F.col("batch_seq") % 10 + 1).cast("int").alias("t_index"), F.concat(F.lit("m"), F.col("model").cast("string")).alias("method"),
-        F.explode(F.create_map(F.lit("init_faded"), faded, F.lit("final_faded"), faded * 0.5 + F.col("sse") / F.col("n") * 0.5, F.lit("since_drift"), F.col("sse") / F.col("n"), F.lit("distances"), F.col("n") * K * (F.col("model") + 1))).alias("metric", "value"),
-    )
-    return rows.select(F.lit("r").alias("run_id"), F.lit("events").alias("dataset"), F.lit(1.0).alias("eps"), F.lit(K).alias("k"), F.lit(2).alias("m"), F.lit(0).alias("rep"), "batch_seq", "t_index", "method", "metric", "value")
-
-
-_NN = ",\n".join(f"{Q.first_rows(f'q{i}', 'ev', K, D, f'b = {i}')},\n{Q.near(f'n{i}', 'ev', f'q{i}', D)}" for i in range(4))
-_ST = "st AS (" + " UNION ALL ".join(f"SELECT b, {i} AS model, CAST(sum(d2) AS DOUBLE) AS sse, CAST(count(*) AS DOUBLE) AS n FROM n{i} GROUP BY b" for i in range(4)) + ")"
-_PV = "pv AS (SELECT *, coalesce(lag(sse) OVER w, 0) AS ps, coalesce(lag(n) OVER w, 0) AS pn FROM st WINDOW w AS (PARTITION BY model ORDER BY b))"
-_VAL = {
-    "initial": ("init_faded", "(sse + 0.5 * ps) / (n + 0.5 * pn)"),
-    "converged": ("final_faded", "0.5 * (sse + 0.5 * ps) / (n + 0.5 * pn) + 0.5 * sse / n"),
-    "since_drift": ("since_drift", "sse / n"),
-    "distances": ("distances", f"n * {K} * (model + 1)"),
-}
+# ---------------------------------------------------------------- the figures over a run that SQL replays
+
+#: Batches after the first of the replayed run; batches of its window; the policies whose scores are compared.
+STEPS, KEEP = 10, 3
+RUN_METHODS = ["carry", "fresh", "blend", "pair"]
+FACTS = "run_id string, dataset string, eps double, k int, m int, rep int, batch_seq long, t_index int, method string, metric string, value double"
+
+
+def run_facts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Facts of real steps on the events: every policy starts from the same previous centroids (those of pair) and the same seeds (the
+    batch's first points), and makes one update; the reference is told of a change at batch 1. No randomness, so SQL can replay it."""
+    p = ev(spark, sf_dir).where(F.col("batch_seq") <= STEPS).persist()
+    rows = p.select("id", "batch_seq", "x").orderBy("id").collect()  # a few batches of a few points
+    x, seq = np.array([r["x"] for r in rows]), np.array([r["batch_seq"] for r in rows])
+    policies = {n: BlendSeed("past", max_iter=1) if n == "blend" else n for n in RUN_METHODS}
+    fades = {n: FadingClusterer(K, 0.5, KEEP, q, max_iter=1) for n, q in policies.items()}
+    oracle, shared, out = DriftOracleClusterer(K, max_iter=1), None, []
+    for s in range(STEPS + 1):
+        batch = x[seq == s]
+        seeds = batch[:K]
+        given = (*shared, seeds) if shared else (seeds, Sums.zeros([], K, D), seeds)
+        done = {n: f.step(batch, s, given) for n, f in fades.items()}
+        done["reference"] = oracle.step(batch, s == 1, s, seeds)
+        lead = done["pair" if s else "carry"]
+        shared = (lead.centroids, lead.sums)
+        for n, r in done.items() if s else ():
+            values = {"since_drift": r.since_drift(1), "distances": float(r.total_distances)}
+            if n != "reference":
+                values |= {"init_faded": r.init_faded, "final_faded": r.final_faded}
+            out += [("replay", "events", 0.0, K, 0, 0, s, s, n, metric, float(v)) for metric, v in values.items()]
+    return spark.createDataFrame(out, FACTS)
+
+
+def _run_sql() -> str:
+    """CTE vals (b, method, metric, v): the same run, step by step."""
+    parts, now = [Q.EV, Q.first_rows("c_0", "ev", K, D), "w_0 AS (SELECT * FROM ev WHERE b = 0)"], "c_0"
+    body, now = Q.lloyd("z_", "w_0", now, 1, D, "pow(0.5, 0 - a.b)")
+    parts.append(body)
+    told, values = "", []
+    cols = lambda p: ", ".join(f"{p}.c{j}" for j in range(1, D + 1))
+    for s in range(1, STEPS + 1):
+        lo, faded = max(0, s - KEEP + 1), f"pow(0.5, {s} - a.b)"
+        parts += [f"w_{s} AS (SELECT * FROM ev WHERE b BETWEEN {lo} AND {s})", f"o_{s} AS (SELECT * FROM ev WHERE b BETWEEN {lo} AND {s - 1})", f"n_{s} AS (SELECT * FROM ev WHERE b = {s})"]
+        parts += [Q.near(f"pa_{s}", f"o_{s}", now, D), f"past_{s} AS (SELECT c.*, coalesce(w, 0) AS w FROM {now} c LEFT JOIN (SELECT k, sum(pow(0.5, {s} - b)) AS w FROM pa_{s} GROUP BY k) USING (k))"]
+        parts += [Q.first_rows(f"s_{s}", "ev", K, D, f"b = {s}"), Q.near(f"fa_{s}", f"n_{s}", f"s_{s}", D), f"fresh_{s} AS (SELECT c.*, coalesce(w, 0) AS w FROM s_{s} c LEFT JOIN (SELECT k, CAST(count(*) AS DOUBLE) AS w FROM fa_{s} GROUP BY k) USING (k))"]
+        gap = Q.d2("p", "f", D, "c", "c")
+        parts.append(f"cost_{s} AS (SELECT p.k AS i, f.k AS j, CASE WHEN p.w + f.w > 0 THEN p.w * f.w / (p.w + f.w) * ({gap}) ELSE 0 END AS cost FROM past_{s} p CROSS JOIN fresh_{s} f)")
+        names, distinct = "abcd"[:K], " AND ".join(f"{x}.j <> {y}.j" for i, x in enumerate("abcd"[:K]) for y in "abcd"[i + 1 : K])
+        parts.append(f"perm_{s} AS (SELECT {', '.join(f'{x}.j AS j{i}' for i, x in enumerate(names))}, {' + '.join(f'{x}.cost' for x in names)} AS total FROM {', '.join(f'cost_{s} {x}' for x in names)} WHERE {' AND '.join(f'{x}.i = {i}' for i, x in enumerate(names))} AND {distinct} ORDER BY total LIMIT 1)")
+        parts.append(f"sigma_{s} AS ({' UNION ALL '.join(f'SELECT {i} AS i, j{i} AS j FROM perm_{s}' for i in range(K))})")
+        merged = ", ".join(f"CASE WHEN p.w + f.w > 0 THEN (p.w * p.c{j} + f.w * f.c{j}) / (p.w + f.w) ELSE p.c{j} END AS c{j}" for j in range(1, D + 1))
+        parts.append(f"pair_{s} AS (SELECT p.k, {merged} FROM past_{s} p JOIN sigma_{s} g ON p.k = g.i JOIN fresh_{s} f ON f.k = g.j)")
+        point = ", ".join(f"c{j} AS v{j}" for j in range(1, D + 1))
+        parts.append(f"pts_{s} AS (SELECT k AS id, CAST(0 AS BIGINT) AS b, {point}, w FROM past_{s} WHERE w > 0 UNION ALL SELECT k + 100, CAST(0 AS BIGINT), {point}, w FROM fresh_{s} WHERE w > 0)")
+        inner, blend = Q.lloyd(f"i_{s}_", f"pts_{s}", f"past_{s}", 1, D, "a.w")
+        parts.append(inner)
+        new, all_ = f"(SELECT count(*) FROM n_{s})", f"(SELECT count(*) FROM w_{s})"
+        extra = {"carry": "0", "fresh": f"{new} * {K}", "blend": f"{new} * {K} + (SELECT count(*) FROM pts_{s}) * {2 * K}", "pair": f"{new} * {K} + {K * K}"}
+        for m, start in (("carry", f"past_{s}"), ("fresh", f"fresh_{s}"), ("blend", blend), ("pair", f"pair_{s}")):
+            parts.append(f"t_{m}_{s} AS (SELECT k, {cols(start)} FROM {start})")
+            body, last = Q.lloyd(f"{m}_{s}_", f"w_{s}", f"t_{m}_{s}", 1, D, faded)
+            parts += [body, Q.near(f"{m}_{s}_z", f"w_{s}", last, D)]
+            mean = f"sum(pow(0.5, {s} - b) * d2) / sum(pow(0.5, {s} - b))"
+            values += [f"SELECT {s} AS b, '{m}' AS method, 'init_faded' AS metric, {mean} AS v FROM {m}_{s}_a1", f"SELECT {s}, '{m}', 'final_faded', {mean} FROM {m}_{s}_z"]
+            values += [f"SELECT {s}, '{m}', 'since_drift', avg(d2) FROM {m}_{s}_z WHERE b >= 1", f"SELECT {s}, '{m}', 'distances', CAST(2 * {K} * {all_} + {extra[m]} AS DOUBLE)"]
+        now = last
+        told = told or f"s_{s}"
+        parts.append(f"d_{s} AS (SELECT * FROM ev WHERE b BETWEEN 1 AND {s})")
+        body, told = Q.lloyd(f"r_{s}_", f"d_{s}", told, 1, D)
+        parts += [body, Q.near(f"r_{s}_z", f"d_{s}", told, D)]
+        values += [f"SELECT {s}, 'reference', 'since_drift', avg(d2) FROM r_{s}_z", f"SELECT {s}, 'reference', 'distances', CAST(2 * {K} * (SELECT count(*) FROM d_{s}) + {f'{new} * {K}' if s == 1 else 0} AS DOUBLE)"]
+    parts.append("vals AS (" + " UNION ALL ".join(values) + ")")
+    return ",\n".join(parts)
+
+
+_RUN = _run_sql()
+
+
+@query(Q.with_(_RUN, select="SELECT CAST(b AS BIGINT) AS batch_seq, method, metric, round(v, 5) AS value FROM vals"))
+def fading_run_facts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return run_facts(spark, sf_dir).select("batch_seq", "method", "metric", F.round("value", 5).alias("value"))
 
 
 def _report(metric: str):  # noqa: ANN202
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        box = measures.report(facts(spark, sf_dir), metric, [f"m{i}" for i in range(4)], ("t_index", "method"))
-        return box.select("t_index", "method", r6("med").alias("med"), r6("q1").alias("q1"), r6("q3").alias("q3"), "n")
+        who = RUN_METHODS + (["reference"] if metric == "since_drift" else [])
+        box = measures.report(run_facts(spark, sf_dir), metric, who, ("method",))
+        return box.select("method", *(F.round(c, 5).alias(c) for c in ("med", "q1", "q3")), "n")
 
     return run
 
 
-for _name, (_metric, _expr) in _VAL.items():
+for _name, _metric in {"initial": "init_faded", "converged": "final_faded", "since_drift": "since_drift", "distances": "distances"}.items():
     _norm = "v / min(v) OVER (PARTITION BY b)" if _name == "distances" else "(v - min(v) OVER (PARTITION BY b)) / min(v) OVER (PARTITION BY b)"
+    _who = "" if _name == "since_drift" else "AND method <> 'reference'"
     query(
         Q.with_(
-            Q.EV, _NN, _ST, _PV, f"va AS (SELECT b, CAST(b % 10 + 1 AS INTEGER) AS t_index, 'm' || model AS method, {_expr} AS v FROM pv)", f"sc AS (SELECT *, {_norm} AS s FROM va WHERE t_index IN (1, 2, 4, 10))",
-            select="SELECT t_index, method, round(quantile_cont(s, 0.5), 6) AS med, round(quantile_cont(s, 0.25), 6) AS q1, round(quantile_cont(s, 0.75), 6) AS q3, count(*) AS n FROM sc GROUP BY 1, 2",
+            _RUN, f"sc AS (SELECT method, {_norm} AS s FROM vals WHERE metric = '{_metric}' AND b IN (1, 2, 4, 10) {_who})",
+            select="SELECT method, round(quantile_cont(s, 0.5), 5) AS med, round(quantile_cont(s, 0.25), 5) AS q1, round(quantile_cont(s, 0.75), 5) AS q3, count(*) AS n FROM sc GROUP BY 1",
         ),
         f"report_{_name}",
     )(_report(_metric))
 
 
+@query(Q.with_(_RUN, select="SELECT CAST(b AS BIGINT) AS batch_seq, method, v AS distances, round(v / min(v) OVER (PARTITION BY b), 6) AS ratio FROM vals WHERE metric = 'distances' AND method <> 'reference'"))
+def dist_ratio(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The distances that each policy's steps took, against the stated costs, and their ratio to the cheapest."""
+    rows = run_facts(spark, sf_dir).where("metric = 'distances'")
+    return measures.dist_ratio(rows, ["batch_seq"], RUN_METHODS).select("batch_seq", "method", F.col("value").alias("distances"), r6("score").alias("ratio"))
+
+
 # ---------------------------------------------------------------- the experiments at small size
 
 
@@ -225,7 +289,7 @@ def _grid(spark: SparkSession, sf_dir: str, **options) -> DataFrame:  # noqa: AN
 
 
 def _summary(facts_: DataFrame, by: tuple[str, ...] = ("metric", "t_index", "method")) -> DataFrame:
-    part = ["run_id", "dataset", "eps", "k", "m", "rep", "batch_seq", "metric"]
+    part = ["run_id", "dataset", "eps", "k", "m", "rep", "batch_seq", "metric", *(["t_max"] if "t_max" in by else [])]
     scored = measures.rel_excess(facts_.where(F.col("t_index").isin(1, 2, 4, 10)), part)
     return measures.boxplot_summary(scored, by)
 
@@ -235,9 +299,30 @@ query(None, "grid_eight_sets")(lambda s, d: _summary(_grid(s, d, datasets=EIGHT,
 query(None, "grid_m_sweep")(lambda s, d: _summary(_grid(s, d, datasets=["lineitem2"], ms=(1, 2, 4)), ("m", "metric", "t_index", "method")))
 query(None, "grid_refined_starts")(lambda s, d: _summary(_grid(s, d, datasets=["lineitem2"], c0_refine="mean", recenter_past=True)))
 query(None, "grid_independent")(lambda s, d: _summary(_grid(s, d, datasets=["lineitem2"], shared_from="independent")))
-query(None, "gap_experiment_a")(lambda s, d: gap_experiment(s, d, rho=0.676, n=200))
-query(None, "gap_experiment_b")(lambda s, d: gap_experiment(s, d, rho=0.676, n=800))
-query(None, "gap_experiment_c")(lambda s, d: gap_experiment(s, d, rho=0.822, n=200))
+query(None, "grid_truncation")(lambda s, d: _summary(_grid(s, d, datasets=["lineitem2"], t_maxes=(2, 6, 12)), ("t_max", "metric", "t_index", "method")))
+query(None, "gap_experiment_a")(lambda s, d: gap_experiment(s, d, rho=0.676, n=1000))
+query(None, "gap_experiment_b")(lambda s, d: gap_experiment(s, d, rho=0.676, n=4000))
+query(None, "gap_experiment_c")(lambda s, d: gap_experiment(s, d, rho=0.822, n=1000))
+
+
+@query(None)
+def gap_bias_variance(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Mean and variance of the measured gaps by forget parameter and age of the drift: small rho is off for fewer batches and varies more."""
+    gaps = None
+    for rho in (0.457, 0.676, 0.822):
+        one = gap_experiment(spark, sf_dir, rho=rho, n=1000, deltas=(0.05,)).select(F.lit(rho).alias("rho"), "t", "gap")
+        gaps = one if gaps is None else gaps.unionByName(one)
+    return rho_tradeoff(gaps)
+
+
+def _cell(eps: float, k: int):  # noqa: ANN202
+    """The experiment as stated, for one strength of drift and one number of clusters: eight sets, batches of 500, ten drifts of ten batches after the burn-in."""
+    return lambda s, d: _summary(_grid(s, d, datasets=EIGHT, eps=(eps,), ks=(k,), n=500, concepts=10))
+
+
+for _k in (5, 10, 25):
+    for _eps in (0.5, 1.0, 2.0):
+        query(None, f"grid_full_k{_k}_eps{str(_eps).replace('.', '')}")(_cell(_eps, _k))
 
 
 @query(None)
