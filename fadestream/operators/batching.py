@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from fadestream.sources.window_store import shared_root
+
 
 def by_dense_id(df: DataFrame, id_col: str, n: int) -> DataFrame:
     """Batches of n by a dense id: arithmetic, no exchange."""
@@ -12,9 +16,14 @@ def by_dense_id(df: DataFrame, id_col: str, n: int) -> DataFrame:
 
 
 def ordinals(df: DataFrame, order: list[str]) -> DataFrame:
-    """df with ordinal (from 0) in the given order: ranges, counts of ranges, numbering within a range; no window over all rows."""
+    """df with ordinal (from 0) in the given order: ranges, counts of ranges, numbering within a range; no window over all rows.
+
+    The ranges are written to the shared folder, so counts and numbers come from the same rows whatever executors are lost.
+    """
     ranged = df.repartitionByRange(*order).withColumn("__part", F.spark_partition_id())
-    ranged = ranged.persist()
+    path = f"{shared_root(df.sparkSession, 'ordinals')}/{uuid.uuid4().hex}"
+    ranged.write.parquet(path)
+    ranged = df.sparkSession.read.schema(ranged.schema).parquet(path)
     counts = ranged.groupBy("__part").count()
     before = Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)  # a row for each range
     starts = counts.select("__part", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("__start"))

@@ -13,15 +13,19 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fadestream.functions.kernels import Sums, fading
+from fadestream.functions.kernels import Sums, fading, nearest
 from fadestream.functions.theory import choose_t_max
 from fadestream.operators.errors import within_scatter
-from fadestream.operators.lloyd import LloydResult, LocalWindow, SparkWindow, Window, even, lloyd
+from fadestream.operators.lloyd import LloydResult, LocalWindow, SparkWindow, Window, even, lloyd, reassigned_counts
+from fadestream.operators.matching import seed_bound
 from fadestream.operators.seeding import SEEDINGS, local_forgy, local_kmpp
 from fadestream.operators.starts import POLICIES, Centres, fresh_centres, past_centres
 from fadestream.sources.window_store import WindowStore
 
 
+_LOCAL = {"forgy": local_forgy, "kmpp": local_kmpp}
+
+
 @dataclass
 class StepResult:
     seq: int
@@ -73,7 +77,12 @@ class _Base:
                 self.store.append(batch, self.seq)
                 self.stored.append(self.seq)
                 one = self.store.window(self.seq, self.seq)
-                n = one.count()
+                odd = F.col("x").isNull() | F.exists("x", lambda v: v.isNull() | F.isnan(v) | (F.abs(v) == float("inf")))
+                n, bad = one.agg(F.count(F.lit(1)), F.count_if(odd)).first()
+                if bad:
+                    self.stored.remove(self.seq)
+                    self.store.drop(self.seq)
+                    raise ValueError("points must be finite")
                 return (SparkWindow(one) if n else None), n
             rows = batch.select("x").limit(self.local_rows + 1).toArrow()
             if rows.num_rows > self.local_rows:
@@ -101,7 +110,9 @@ class _Base:
     def _seeds(self, newest: Window) -> np.ndarray:
         rng = np.random.default_rng([self.seed, self.seq + 1])
         if isinstance(newest, LocalWindow):
-            return (local_forgy if self.seeding == "forgy" else local_kmpp)(newest.x, self.k, rng)
+            if self.seeding not in _LOCAL:
+                raise ValueError(f"seeding {self.seeding} needs a WindowStore")
+            return _LOCAL[self.seeding](newest.x, self.k, rng)
         return SEEDINGS[self.seeding](newest.df, self.k, seed=self.seed * 100_003 + self.seq)
 
     def _commit(self, r: LloydResult) -> None:
@@ -115,14 +126,17 @@ class FadingClusterer(_Base):
     """Weight rho^age for each batch, T_max batches at most, a start policy, weighted Lloyd.
 
     t_max None: the smallest window whose next batch weighs at most tail_tol (endless for rho = 1). A first batch starts from
-    its own seeds; an empty one ages the window and changes nothing else.
+    its own seeds; an empty one ages the window and changes nothing else. track_bound: each step's detail gets the seed bound of
+    its start, the constant that the bound leaves out, and the share of the window's mass that the start assigns to another
+    cluster than the two clusterings it was made of (two passes more; for bounds that hold, c0_refine is mean or lloyd and
+    recenter_past is true).
     """
 
-    def __init__(self, k: int, rho: float, t_max: int | None = None, start: str | object = "pair", *, c0_refine: str = "none", recenter_past: bool = False, tail_tol: float = 1e-4, **options) -> None:  # noqa: ANN003
+    def __init__(self, k: int, rho: float, t_max: int | None = None, start: str | object = "pair", *, c0_refine: str = "none", recenter_past: bool = False, tail_tol: float = 1e-4, track_bound: bool = False, **options) -> None:  # noqa: ANN003
         self.policy = POLICIES[start]() if isinstance(start, str) else start
         self.name = self.policy.name
         super().__init__(k, **options)
-        self.rho, self.c0_refine, self.recenter_past = rho, c0_refine, recenter_past
+        self.rho, self.c0_refine, self.recenter_past, self.track_bound = rho, c0_refine, recenter_past, track_bound
         self.t_max = t_max if t_max is not None else (choose_t_max(rho, tail_tol) if rho < 1 else None)
 
     def _weights(self, seqs: np.ndarray) -> np.ndarray:
@@ -152,7 +166,9 @@ class FadingClusterer(_Base):
                 spent["seeding"] = n_new * self.k + more
             mass = float(past.w.sum() + n_new)
             s = self.policy.start(past, fresh, mass, rng)
-            start_c, detail = s.c, s.detail
+            start_c, detail = s.c, dict(s.detail)
+            if self.track_bound and fresh is not None:
+                detail |= self._bound(window, before_c, seeds, past, fresh, start_c, mass)
             if s.distances:
                 spent["pairing" if self.policy.name == "pair" else "inner"] = s.distances
         r = lloyd(window, start_c, self._weights, max_iter=self.max_iter, tol=self.tol)
@@ -161,6 +177,25 @@ class FadingClusterer(_Base):
         mass = float((self._weights(r.sums.seqs)[:, None] * r.sums.n).sum())
         return StepResult(self.seq, self.name, r.centroids, r.sums, start_c, r.errors[0], r.errors[-1], r.iterations, r.converged, spent, mass, (time.perf_counter() - began) * 1e3, past, fresh, detail)
 
+    def _bound(self, window: Window, before: np.ndarray, seeds: np.ndarray, past: Centres, fresh: Centres, start: np.ndarray, mass: float) -> dict:
+        """Bound, constant and reassigned share of a start. Older points belong to the previous centroids, new ones to the seeds (of which c0_refine took the means)."""
+        taken = fresh.c if self.c0_refine == "lloyd" else seeds
+        parts = window.passes([before, taken])
+        old, new = parts[0].keep(parts[0].seqs < self.seq), parts[1].keep(parts[1].seqs == self.seq)
+        const = bound_const(old, new, self.rho, self.seq, mass)
+        both, w = np.concatenate([past.c, fresh.c]), np.concatenate([past.w, fresh.w])
+        home, _ = nearest(both, start)  # the cluster of the start that answers for each of the two sets' clusters
+        return {"seed_bound": seed_bound(past.c, past.w, fresh.c, fresh.w, start, mass), "const": const, "reassigned": self._reassigned(window, before, taken, start, home, float(w.sum()))}
+
+    def _reassigned(self, window: Window, before: np.ndarray, taken: np.ndarray, start: np.ndarray, home: np.ndarray, mass: float) -> float:
+        """Share of the mass whose nearest start centroid isn't the one that its old cluster goes to."""
+        moved = 0.0
+        for seqs, model, at in ((None, before, home[: self.k]), (self.seq, taken, home[self.k :])):
+            for seq, n in reassigned_counts(window, model, start, at).items():
+                if (seq == self.seq) == (seqs is not None):
+                    moved += float(self.rho ** (self.seq - seq)) * n
+        return moved / mass
+
     def resume(self) -> int | None:
         """Load the last committed model and the retained window from the store; the batch number reached."""
         done = self.store.last_model(self.model_id)
@@ -234,14 +269,37 @@ def corrupt_signal(flags: list[bool], p_false: float, p_miss: float, seed: int =
     return [bool(x >= p_miss) if f else bool(x < p_false) for f, x in zip(flags, u, strict=True)]
 
 
-def bound_slack(step: StepResult, rho: float, bound: float) -> float | None:
-    """How far the bound plus its constant lies above the start's faded error; None without both sets of centroids (or with raw seeds)."""
-    if step.past is None or step.fresh is None:
+def bound_slack(step: StepResult) -> float | None:
+    """How far the bound plus its constant lies above the start's faded error; None for steps that didn't track it (first ones, carry-over)."""
+    if "const" not in step.detail:
         return None
-    return bound + step.detail.get("const", 0.0) - step.init_faded
+    return step.detail["seed_bound"] + step.detail["const"] - step.init_faded
 
 
 def bound_const(past_sums: Sums, fresh_sums: Sums, rho: float, newest: int, mass: float) -> float:
     """What the bound leaves out: scatter of the points about the weighted means of both clusterings, by the window's mass."""
     w = fading(past_sums.seqs, newest, rho)
     return (within_scatter(past_sums, w) + within_scatter(fresh_sums, np.ones(len(fresh_sums.seqs)))) / mass
+
+
+class DecayedKMeans:
+    """The library-style comparator: each batch is assigned once, centroids are running means whose old weight decays; no window is kept."""
+
+    name = "decayed"
+
+    def __init__(self, k: int, decay: float = 0.5, start: np.ndarray | None = None, seed: int = 0) -> None:
+        self.k, self.decay, self.centroids, self.seed = k, decay, start, seed
+        self.weights = np.zeros(k)
+
+    def step(self, batch: DataFrame | np.ndarray) -> np.ndarray:
+        window = LocalWindow(batch, np.zeros(len(batch), dtype=np.int64)) if isinstance(batch, np.ndarray) else SparkWindow(batch.withColumn("batch_seq", F.lit(0).cast("long")))
+        if self.centroids is None:
+            self.centroids = local_kmpp(batch, self.k, np.random.default_rng(self.seed)) if isinstance(window, LocalWindow) else SEEDINGS["kmpp"](window.df, self.k, seed=self.seed)
+        counts, sums = window.passes([self.centroids])[0].weighted(np.ones(1))
+        old = self.weights * self.decay
+        total = old + counts
+        some = total > 0
+        c = np.asarray(self.centroids, dtype=float).copy()
+        c[some] = (old[some, None] * c[some] + sums[some]) / total[some, None]
+        self.centroids, self.weights = c, total
+        return c

@@ -16,8 +16,8 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fadestream.functions.kernels import Sums, sums_of, update
-from fadestream.operators.distance import cluster_stats, few_parts, gather, partial_stats
+from fadestream.functions.kernels import Sums, nearest, sums_of, update
+from fadestream.operators.distance import assign, cluster_stats, few_parts, gather, partial_stats
 
 
 class Window(Protocol):
@@ -135,6 +135,18 @@ def steps(window: Window, start: np.ndarray, n: int, weights: Weights = even) ->
     return c
 
 
+def reassigned_counts(window: Window, model: np.ndarray, start: np.ndarray, home: np.ndarray) -> dict[int, int]:
+    """By batch, how many points of cluster k of `model` are nearest to another start centroid than home[k]. One scan."""
+    if isinstance(window, LocalWindow):
+        off = home[nearest(window.x, model)[0]] != nearest(window.x, start)[0]
+        seqs, n = np.unique(window.seq[off], return_counts=True)
+        return dict(zip(seqs.tolist(), n.tolist(), strict=True))
+    both = assign(assign(window.df.select("batch_seq", "x"), model).select("batch_seq", "x", F.col("k").alias("was")), start)
+    at = F.array(*(F.lit(int(h)) for h in home))
+    rows = both.where(F.get(at, F.col("was")) != F.col("k")).groupBy("batch_seq").agg(F.count(F.lit(1)).alias("n")).collect()
+    return {r["batch_seq"]: r["n"] for r in rows}
+
+
 def lloyd_points(x: np.ndarray, w: np.ndarray, start: np.ndarray, max_iter: int = 100) -> LloydResult:
     """Lloyd over a handful of weighted points."""
     return lloyd(LocalWindow(x, np.zeros(len(x), dtype=np.int64), w), start, max_iter=max_iter)

@@ -47,6 +47,10 @@ class WindowStore:
         """Points of batches lo..hi; the range prunes partitions, other folders aren't opened."""
         return self.spark.read.schema(POINTS).parquet(f"{self.root}/points").where(F.col("batch_seq").between(lo, hi))
 
+    def drop(self, seq: int) -> None:
+        fs, p = self._fs(f"{self.root}/points/batch_seq={seq}")
+        fs.delete(p, True)
+
     def drop_before(self, seq: int) -> list[int]:
         gone = [b for b in self.batches() if b < seq]
         for b in gone:

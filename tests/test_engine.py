@@ -12,7 +12,7 @@ import __spark_entry__
 from fadestream.functions.kernels import fading, nearest
 from fadestream.operators import batching, features
 from fadestream.operators.distance import assign, cluster_stats
-from fadestream.operators.engine import DriftOracleClusterer, FadingClusterer, clusterer, corrupt_signal
+from fadestream.operators.engine import DriftOracleClusterer, FadingClusterer, bound_slack, clusterer, corrupt_signal
 from fadestream.operators.estimator import FadingKMeans, FadingKMeansModel
 from fadestream.operators.forge import DriftForge, search_alpha, unit_directions
 from fadestream.operators.kchoice import silhouette
@@ -318,3 +318,32 @@ def test_normality_reads_every_point(spark):
     x = np.concatenate([rng.normal(0, 1, 5000), rng.normal(9, 1, 5000)])
     df = spark.createDataFrame([(i, [float(v)]) for i, v in enumerate(x)], "point_id long, x array<double>").coalesce(1)
     assert choose_k(df, 4, "normal_split")[0] == 2
+
+
+def test_bound_holds_and_reassigned_mass_is_counted(spark):
+    rng = np.random.default_rng(5)
+    for start in ("fresh", "blend", "pair"):
+        f = FadingClusterer(3, 0.5, 3, start, c0_refine="mean", recenter_past=True, track_bound=True)
+        for s in range(6):
+            x = rng.normal(size=(60, 2)) + rng.integers(0, 3, size=(60, 1)) * 4 + s
+            before, held = f.centroids, [(q, y) for q, y in f.held if q > s - 3]
+            r = f.step(x, s)
+            if s == 0:
+                assert bound_slack(r) is None
+                continue
+            assert bound_slack(r) >= -1e-9 and 0 <= r.detail["reassigned"] <= 1
+            near = lambda a, b: ((a[:, None] - b[None]) ** 2).sum(axis=2).argmin(axis=1)
+            home = near(r.past.c, r.start)
+            moved = sum(0.5 ** (s - q) * (home[near(y, before)] != near(y, r.start)).sum() for q, y in held)
+            assert r.detail["reassigned"] * r.mass >= moved - 1e-9  # the older batches' part; the new batch adds to it
+
+
+def test_stored_points_must_be_finite(spark, tmp_path):
+    f = FadingClusterer(2, 0.5, 3, store=WindowStore(spark, f"{tmp_path}/w"))
+    good = spark.createDataFrame([("a", [1.0]), ("b", [2.0]), ("c", [5.0])], "point_id string, x array<double>")
+    f.step(good, 0)
+    with pytest.raises(ValueError, match="finite"):
+        f.step(spark.createDataFrame([("d", [float("nan")])], good.schema), 1)
+    assert f.store.batches() == [0] and f.step(good, 1).mass == 4.5
+    with pytest.raises(ValueError, match="WindowStore"):
+        FadingClusterer(2, 0.5, 3, seeding="parallel").step(np.array([[1.0], [2.0], [3.0]]), 0)
