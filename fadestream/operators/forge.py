@@ -3,6 +3,7 @@ distance to the old centroids has grown by the factor wanted."""
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -16,6 +17,7 @@ from fadestream.functions.kernels import nearest
 from fadestream.operators.distance import assign, block
 from fadestream.operators.lloyd import LocalWindow, lloyd
 from fadestream.operators.seeding import kmeans, local_kmpp
+from fadestream.sources.window_store import shared_root
 
 
 def unit_directions(k: int, d: int, seed: int) -> np.ndarray:
@@ -77,6 +79,12 @@ class Forged:
     magnitude: Magnitude
 
 
+def _written(df: DataFrame, label: str) -> DataFrame:
+    path = f"{shared_root(df.sparkSession, 'forge')}/{label}-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 class DriftForge:
     """next(block): the block after a drift of size eps, as array or relation (the same kind as given), with what was done."""
 
@@ -95,8 +103,10 @@ class DriftForge:
             trial = lambda alphas: [nearest(block + a * xi[k], c)[1].mean() for a in alphas]
             m = search_alpha(trial, float(d2.mean()), self.eps, self.k, len(block), tol=self.tol, scale=self.scale, mode=self.mode, max_steps=self.max_steps)
             return Forged(block + m.alpha * xi[k], c, xi, m)
+        # written once each: every pass reads plain points, and a concept's plan doesn't hold those of all before it
+        block = _written(block, "block")
         c = kmeans(block, self.k, seed=rng_seed).centroids
-        tagged = assign(block, c).persist()
+        tagged = _written(assign(block, c), "tagged")
         stats = tagged.agg(F.avg("d2").alias("e"), F.count(F.lit(1)).alias("n")).first()
         xi = unit_directions(self.k, c.shape[1], rng_seed)
         trial = lambda alphas: trial_errors(tagged, c, xi, alphas)
