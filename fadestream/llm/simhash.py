@@ -5,8 +5,10 @@ repetition codes: perfect, so every word has one nearest anchor). If two fingerp
 lies within ceil(T/2) bits of one and floor(T/2) bits of the other, so both are within that many bits plus the covering
 radius of that word's anchor. Each fingerprint is therefore replicated to every anchor that a word within ceil(T/2) bits
 of it decodes to, fingerprints that share an anchor are compared, and no pair is missed. The blocks shrink as the number
-of distinct fingerprints grows, which keeps the load of an anchor constant. What leaves an anchor is a forest (at most one
-link a fingerprint), never all pairs.
+of distinct fingerprints grows, which keeps the mean load of an anchor constant. Where fingerprints crowd, an anchor may still
+attract many: those of anchors over HOT are dealt anew by the finest code, whose anchors are all words. There no anchor holds more
+fingerprints than there are words within ceil(T/2) bits (65 for T = 2), however the fingerprints lie. What leaves an anchor is a
+forest (at most one link a fingerprint), never all pairs.
 
 Results for odd input: null text counts as empty; a text without words has fingerprint zero and links like any other;
 fewer words than the shingle length make one shingle of all words; repeated rows share a component; a row whose doc_id is
@@ -32,6 +34,8 @@ from .components import components
 CHUNK = 1 << 18
 #: Fingerprints an anchor should hold on average; decides the length of the blocks.
 LOAD = 64
+#: Fingerprints from which an anchor's are dealt anew by the finest code.
+HOT = 4096
 
 
 def shingle_hashes(text: bytes, k: int, seed: int = 42) -> list[int]:
@@ -102,13 +106,13 @@ def block_lengths(n: int, bits: int = 64, reach: int = 1) -> list[int]:
 
 def anchors_of(fps: np.ndarray, blocks: list[int], reach: int) -> tuple[np.ndarray, np.ndarray]:
     """(index into fps, anchor) for every anchor that a word within reach bits of the fingerprint decodes to."""
-    anchor = np.zeros(len(fps), dtype=np.int64)
+    anchor = np.zeros(len(fps), dtype=np.uint64)
     need = np.empty((len(blocks), len(fps)), dtype=np.int64)  # flips that turn a block's majority
     shift = 0
     for i, length in enumerate(blocks):
         ones = np.bitwise_count((fps >> np.uint64(shift)) & np.uint64((1 << length) - 1)).astype(np.int64)
         up = ones > length // 2
-        anchor |= up.astype(np.int64) << i
+        anchor |= up.astype(np.uint64) << np.uint64(i)
         need[i] = np.where(up, ones - length // 2, length // 2 + 1 - ones)
         shift += length
     rows, out = [np.arange(len(fps))], [anchor]
@@ -117,8 +121,8 @@ def anchors_of(fps: np.ndarray, blocks: list[int], reach: int) -> tuple[np.ndarr
             hit = np.flatnonzero(sum(need[i] for i in group) <= reach)
             if len(hit):
                 rows.append(hit)
-                out.append(anchor[hit] ^ np.int64(sum(1 << i for i in group)))
-    return np.concatenate(rows), np.concatenate(out)
+                out.append(anchor[hit] ^ np.uint64(sum(1 << i for i in group)))
+    return np.concatenate(rows), np.concatenate(out).view(np.int64)
 
 
 def forest(fps: np.ndarray, threshold: int, rows: int = 1 << 22) -> tuple[np.ndarray, np.ndarray]:
@@ -172,15 +176,17 @@ def leaders(fps: np.ndarray, threshold: int, rows: int = 1 << 22) -> tuple[np.nd
 def anchor_links(fps: DataFrame, threshold: int, count: int, bits: int = 64, link: Callable = forest) -> DataFrame:
     """fps: distinct (family, fp) -> (family, a, b), the links that `link` makes of the fingerprints at each anchor."""
     reach = (threshold + 1) // 2
-    blocks = block_lengths(count, bits, reach)
 
-    def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            family = b.column(0).to_numpy(zero_copy_only=False)
-            values = b.column(1).to_numpy(zero_copy_only=False).view(np.uint64)
-            for lo in range(0, len(values), 10_000):
-                rows, anchor = anchors_of(values[lo : lo + 10_000], blocks, reach)
-                yield pa.RecordBatch.from_arrays([pa.array(family[lo + rows]), pa.array(anchor), pa.array(values[lo + rows].view(np.int64))], names=["family", "anchor", "fp"])
+    def spread(df: DataFrame, blocks: list[int]) -> DataFrame:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                family = b.column(0).to_numpy(zero_copy_only=False)
+                values = b.column(1).to_numpy(zero_copy_only=False).view(np.uint64)
+                for lo in range(0, len(values), 10_000):
+                    rows, anchor = anchors_of(values[lo : lo + 10_000], blocks, reach)
+                    yield pa.RecordBatch.from_arrays([pa.array(family[lo + rows]), pa.array(anchor), pa.array(values[lo + rows].view(np.int64))], names=["family", "anchor", "fp"])
+
+        return df.select("family", "fp").mapInArrow(run, "family int, anchor long, fp long")
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = (np.empty(0, dtype=np.int32), np.empty(0, dtype=np.int64), np.empty(0, dtype=np.uint64))
@@ -215,8 +221,15 @@ def anchor_links(fps: DataFrame, threshold: int, count: int, bits: int = 64, lin
         if len(held[0]):
             yield from linked(*held)
 
-    dealt = fps.select("family", "fp").mapInArrow(spread, "family int, anchor long, fp long").repartition("family", "anchor")
-    return dealt.sortWithinPartitions("family", "anchor").mapInArrow(compare, "family int, a long, b long")
+    def met(dealt: DataFrame) -> DataFrame:
+        return dealt.repartition("family", "anchor").sortWithinPartitions("family", "anchor").mapInArrow(compare, "family int, a long, b long")
+
+    dealt = Stored(spread(fps, block_lengths(count, bits, reach)), "anchors").df
+    hot = Stored(dealt.groupBy("family", "anchor").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > HOT).select("family", "anchor"), "hot").df
+    if hot.isEmpty():
+        return met(dealt)
+    crowded = dealt.join(hot, ["family", "anchor"], "left_semi").select("family", "fp").distinct()
+    return met(dealt.join(hot, ["family", "anchor"], "left_anti")).unionByName(met(spread(crowded, [1] * bits)))
 
 
 def simhash_classes(docs: DataFrame, k: int = 3, threshold: int = 2, seed: int = 42) -> DataFrame:

@@ -15,7 +15,8 @@ from fadestream.llm.page_model import main_texts, trained
 from fadestream.llm.pii import personal_data
 from fadestream.llm.quality import quality_scores
 from fadestream.llm.sharding import shard
-from fadestream.llm.simhash import drop_near_duplicates, simhash_classes
+from fadestream.llm import simhash as sh
+from fadestream.llm.simhash import simhash_classes
 from fadestream.llm.substring_dedup import substring_dedup
 from fadestream.llm.winnowing import contamination
 
@@ -132,3 +133,80 @@ def test_long_texts_take_linear_time(spark):
     got = {r["doc_id"]: r for r in personal_data(df).collect()}
     assert time.time() - began < 60
     assert got[1]["n_email"] == 100_000 and got[3]["n_card"] == 50_000 and got[4]["spans"].count("secret") == 30_000
+
+
+def test_crowded_anchors_are_dealt_anew(spark, monkeypatch):
+    rng = random.Random(6)
+    fps = {0}
+    for _ in range(400):  # a crowd about zero, all at one coarse anchor
+        fps.add(sum(1 << b for b in rng.sample(range(64), rng.randint(1, 3))))
+    fps |= {rng.getrandbits(64) for _ in range(200)} | {(1 << 64) - 1, (1 << 63), (1 << 63) | 1}
+    signed = lambda x: x - (1 << 64) if x >> 63 else x
+    df = spark.createDataFrame([(0, signed(x)) for x in fps], "family int, fp long")
+    want = {(min(signed(x), signed(y)), max(signed(x), signed(y))) for x in fps for y in fps if x < y and (x ^ y).bit_count() <= 2}
+
+    def roots(links):
+        root = {signed(x): signed(x) for x in fps}
+
+        def find(x):
+            while root[x] != x:
+                x = root[x]
+            return x
+
+        for a, b in links:
+            x, y = find(a), find(b)
+            root[max(x, y)] = min(x, y)
+        return {x: find(x) for x in root}
+
+    for hot in (sh.HOT, 20):
+        monkeypatch.setattr(sh, "HOT", hot)
+        links = [(r["a"], r["b"]) for r in sh.anchor_links(df, 2, len(fps)).collect()]
+        assert {(min(x), max(x)) for x in links} <= want
+        assert roots(links) == roots(want)
+
+
+def independent_sentences(text):
+    """Cuts after closing marks and white space, or at line ends, character by character."""
+    out, now, i = [], "", 0
+    while i < len(text):
+        now += text[i]
+        stop = text[i] in ".!?\u2026"
+        i += 1
+        if stop:
+            while i < len(text) and text[i] in ".!?\u2026":
+                now += text[i]
+                i += 1
+            while i < len(text) and text[i] in "\"'\u201d\u2019)]":
+                now += text[i]
+                i += 1
+            if not (i < len(text) and text[i].isspace()):
+                continue
+        elif now[-1] != "\n":
+            continue
+        while i < len(text) and text[i].isspace():
+            now += text[i]
+            i += 1
+        out.append(now)
+        now = ""
+    return out + [now] if now else out
+
+
+def test_repeated_spans_equal_every_span_by_brute_force(spark):
+    """Every run of at least two sentences and twenty words is looked at, not only the shortest ones: the same sentences go."""
+    rng = random.Random(9)
+    pool = [words(rng, rng.randint(3, 14)).capitalize() + rng.choice([".", "!", "?\"", "\n"]) for _ in range(14)]
+    texts = [" ".join(rng.choice(pool) for _ in range(rng.randint(1, 9))) for _ in range(40)]
+    seen, want = {}, {}
+    for d, t in enumerate(texts):
+        parts = independent_sentences(t)
+        real = [k for k, p in enumerate(parts) if p.strip()]
+        gone = set()
+        for a in range(len(real)):
+            for b in range(a + 2, len(real) + 1):
+                run = tuple(" ".join(parts[k].split()) for k in real[a:b])
+                if sum(len(x.split()) for x in run) >= 20 and seen.setdefault(run, (d, a)) != (d, a):
+                    gone.update(real[a:b])
+        want[d] = "".join(p for k, p in enumerate(parts) if k not in gone) if gone else t
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: r["text"] for r in substring_dedup(df).collect()}
+    assert got == want and sum(want[d] != t for d, t in enumerate(texts)) > 5
