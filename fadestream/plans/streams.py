@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from fadestream.functions.kernels import Sums
 from fadestream.operators import measures
+from fadestream.operators.distance import cluster_stats
 from fadestream.operators.engine import DriftOracleClusterer, FadingClusterer
 from fadestream.operators.features import EIGHT, table
 from fadestream.operators.starts import BlendSeed
@@ -185,6 +186,8 @@ def run_facts(spark: SparkSession, sf_dir: str) -> DataFrame:
     oracle, shared, out = DriftOracleClusterer(K, max_iter=1), None, []
     for s in range(STEPS + 1):
         batch = x[seq == s]
+        if not len(batch):
+            break
         seeds = batch[:K]
         given = (*shared, seeds) if shared else (seeds, Sums.zeros([], K, D), seeds)
         done = {n: f.step(batch, s, given) for n, f in fades.items()}
@@ -237,7 +240,7 @@ def _run_sql() -> str:
         body, told = Q.lloyd(f"r_{s}_", f"d_{s}", told, 1, D)
         parts += [body, Q.near(f"r_{s}_z", f"d_{s}", told, D)]
         values += [f"SELECT {s}, 'reference', 'since_drift', avg(d2) FROM r_{s}_z", f"SELECT {s}, 'reference', 'distances', CAST(2 * {K} * (SELECT count(*) FROM d_{s}) + {f'{new} * {K}' if s == 1 else 0} AS DOUBLE)"]
-    parts.append("vals AS (" + " UNION ALL ".join(values) + ")")
+    parts.append("every AS (" + " UNION ALL ".join(values) + "), vals AS (SELECT * FROM every WHERE b <= (SELECT max(b) FROM ev))")
     return ",\n".join(parts)
 
 
