@@ -6,6 +6,7 @@ import time
 import zlib
 
 import corpus_pipeline as cp
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -13,7 +14,7 @@ from fadestream.llm.exact_dedup import DigestIndex, exact_dedup
 from fadestream.llm.mixing import mix, mixed
 from fadestream.llm.page_model import main_texts, trained
 from fadestream.llm.pii import personal_data
-from fadestream.llm.quality import quality_scores
+from fadestream.llm.quality import POOL, RIDGE, SHORT, fit, quality_scores
 from fadestream.llm.sharding import shard
 from fadestream.llm import simhash as sh
 from fadestream.llm.simhash import simhash_classes
@@ -210,3 +211,23 @@ def test_repeated_spans_equal_every_span_by_brute_force(spark):
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     got = {r["doc_id"]: r["text"] for r in substring_dedup(df).collect()}
     assert got == want and sum(want[d] != t for d, t in enumerate(texts)) > 5
+
+
+def test_scores_equal_densities_written_out():
+    rng = np.random.default_rng(3)
+    x = np.concatenate([rng.normal(0, 1, (80, 3)), rng.normal(1, 2, (60, 3))])
+    x[:, 0] = np.abs(x[:, 0]) + 1  # the first statistic is the logarithm of the words
+    y = np.repeat([0, 1], [80, 60])
+    model = fit(x, y)
+    words_ = np.exp(x[:, 0]) - 1
+    z = np.clip((x - x.mean(axis=0)) / (x.std(axis=0) + 1e-6), -12, 12) * np.sqrt(words_ / (words_ + SHORT))[:, None]
+    centred = [z[y == c] - z[y == c].mean(axis=0) for c in (0, 1)]
+    pooled = sum(c.T @ c for c in centred) / len(z)
+    logs = []
+    for c in (0, 1):
+        cov = (1 - POOL) * np.cov(z[y == c].T, bias=True) + POOL * pooled
+        cov = (1 - RIDGE) * cov + RIDGE * np.trace(cov) / 3 * np.eye(3)
+        off = z - z[y == c].mean(axis=0)
+        logs.append(-0.5 * np.einsum("ij,jk,ik->i", off, np.linalg.inv(cov), off) - 0.5 * np.linalg.slogdet(cov)[1])
+    assert np.allclose(model.log_ratio(x), logs[1] - logs[0])
+    assert np.allclose(model.score(x), 1 / (1 + np.exp(-(model.slope * (logs[1] - logs[0]) + model.offset))), atol=1e-9)
