@@ -2,7 +2,7 @@ r"""Personal data by candidate gradient boosting, scored in DataFrame expression
 
 Base kinds (email, ip, card, phone) are patterns with checks; their spans always stay. High-recall generators propose more
 spans, which may overlap: keys and tokens, identity numbers, account numbers, spelt-out addresses of mail, national phone
-numbers. Boosted trees judge each from its format and the words before it, and a calibrated probability decides. The trees
+numbers, card-length numbers (the base pattern drops a card that stands beside another number). Boosted trees judge each from its format and the words before it, and a calibrated probability decides. The trees
 are trained once in a process on generated candidates (seeded; numpy on the driver) and become CASE expressions; texts
 never leave the JVM. Positions count code points.
 
@@ -42,6 +42,7 @@ MORE = {
     "national_id": r"(?<![0-9-])[0-9]{3}[ -][0-9]{2}[ -][0-9]{4}(?![0-9-])",
     "account": r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){3,7}(?: ?[A-Z0-9]{1,3})?(?![A-Za-z0-9])",
     "spelt_email": r"(?<![A-Za-z0-9._-])[A-Za-z0-9._-]++ ?(?:\(at\)|\[at\]|\{at\}| at ) ?[A-Za-z0-9-]++ ?(?:\(dot\)|\[dot\]|\{dot\}| dot ) ?[A-Za-z]{2,}",
+    "number": r"(?<![0-9])(?:[0-9]{13,19}|[0-9]{4}(?:[ -][0-9]{4}){3})(?![0-9])",
     "local_phone": r"(?<![0-9+.-])\(?[0-9]{3}\)?[ .-][0-9]{3}[ .-][0-9]{4}(?![0-9.-])",
 }
 KINDS = [*BASE, *MORE]
@@ -49,7 +50,9 @@ KINDS = [*BASE, *MORE]
 BEFORE, BLOCK = 32, 128
 FOR = r"(?i)(?:token|secret|key|passw|pwd|auth|bearer|credential|ssn|social|security|iban|account|acct|phone|tel|call|mobile|fax|mail|contact|write)"
 AGAINST = r"(?i)(?:order|invoice|version|commit|sha|hash|checksum|ref|part|model|isbn|build|page|room|sku|id)"
-FEATURES = ("kind", "length", "digits", "upper", "lower", "marks", "hex", "for", "against", "assigned", "lead_zero", "runs")
+#: How keys of widely used services begin.
+ISSUED = r"^(?:AKIA|ASIA|AIza|gh[oprsu]_|glpat-|sk[-_]|xox[abp]-|eyJ)"
+FEATURES = ("kind", "length", "digits", "upper", "lower", "marks", "hex", "for", "against", "assigned", "lead_zero", "runs", "issued", "luhn")
 #: Calibrated probability from which a proposed span is redacted.
 CUT = 0.9
 
@@ -141,9 +144,16 @@ def _features(kind: str, t: Column, before: Column) -> list[Column]:
         before.rlike(r"[=:]\s*[\"']?$").cast("double"),
         t.startswith("0").cast("double"),
         F.size(F.regexp_extract_all(t, F.lit("[0-9]+"), F.lit(0))).cast("double"),
+        t.rlike(ISSUED).cast("double"),
+        _luhn(t).cast("double") if kind == "number" else F.lit(0.0),
     ]
 
 
+def luhn_sum(digits: str) -> int:
+    """The check sum of a number, last digit included; valid ones end in 0."""
+    return sum(int(c) if i % 2 == 0 else sum(divmod(2 * int(c), 10)) for i, c in enumerate(reversed(digits)))
+
+
 def features_of(kind: str, t: str, before: str) -> list[float]:
     """The same features in Python, for training."""
     return [
@@ -159,6 +169,8 @@ def features_of(kind: str, t: str, before: str) -> list[float]:
         float(bool(re.search(r"[=:]\s*[\"']?$", before))),
         float(t.startswith("0")),
         float(len(re.findall("[0-9]+", t))),
+        float(bool(re.search(ISSUED, t))),
+        float(kind == "number" and luhn_sum(re.sub("[^0-9]", "", t)) % 10 == 0),
     ]
 
 
@@ -184,11 +196,18 @@ def labelled_candidates(n: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
         if kind == "secret":
             naming = pick(["token", "secret", "api_key", "password", "access key", "auth", "key"])
             if good:
-                t = pick([lambda: some(hexa, 32, 64), lambda: some(mix, 20, 48), lambda: "AK" + some("ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", 16, 18), lambda: "sk_" + some(mix, 24, 40)])()
+                issued = lambda: pick([
+                    lambda: pick(["AKIA", "ASIA"]) + some("ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", 16, 16), lambda: pick(["ghp_", "gho_"]) + some(mix, 36, 36),
+                    lambda: pick(["sk-", "sk_live_"]) + some(mix, 24, 48), lambda: "xoxb-" + some("0123456789", 10, 12) + "-" + some(mix, 24, 24), lambda: "AIza" + some(mix + "_-", 35, 35),
+                ])()
+                if rng.random() < 0.3:
+                    put(kind, issued(), plain(), True)
+                    continue
+                t = pick([issued, lambda: some(hexa, 32, 64), lambda: some(mix, 20, 48), lambda: "AK" + some("ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", 16, 18), lambda: "sk_" + some(mix, 24, 40)])()
                 put(kind, t, plain() + naming + pick([" = ", "=", ": ", ' = "', '="', " "]) + "", True)
             else:
-                t = pick([lambda: some(low, 16, 40), lambda: some("0123456789", 16, 24), lambda: "-".join(word() for _ in range(4)), lambda: "/".join(word() for _ in range(4)), lambda: some(hexa, 32, 40), lambda: some(low, 16, 24).upper()])()
-                put(kind, t, plain() + (pick(["commit ", "sha ", "hash: ", "checksum = "]) if set(t) <= set(hexa) and any(c.isdigit() for c in t) else pick(["", "", naming + " "])), False)
+                t = pick([lambda: some(low, 16, 40), lambda: some("0123456789", 16, 24), lambda: "-".join(word() for _ in range(4)), lambda: "/".join(word() for _ in range(4)), lambda: some(hexa, 32, 40), lambda: some(low, 16, 24).upper(), lambda: some("ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", 16, 24)])()
+                put(kind, t, plain() + (pick(["commit ", "sha ", "hash: ", "checksum = "]) if set(t) <= set(hexa) and any(c.isdigit() for c in t) else pick(["", "", "sku "]) if t.isupper() and not t.isalpha() else pick(["", "", naming + " "])), False)
         elif kind == "national_id":
             t = pick(["-", "-", " "]).join([some("0123456789", 3, 3), some("0123456789", 2, 2), some("0123456789", 4, 4)])
             put(kind, t, plain() + (pick(["ssn ", "SSN: ", "social security number ", "security no. "]) if good else pick(["part ", "order ", "ref ", "", "model "])), good)
@@ -196,6 +215,13 @@ def labelled_candidates(n: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
             body = some("0123456789", 14, 22) if good else some("ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", 14, 22)
             t = some("ABCDEFGHIJ", 2, 2) + some("0123456789", 2, 2) + (body if rng.random() < 0.5 else " ".join(body[i : i + 4] for i in range(0, len(body), 4)))
             put(kind, t, plain() + (pick(["IBAN ", "iban: ", "account ", "acct "]) if good else pick(["sku ", "part ", "", "build "])), good)
+        elif kind == "number":
+            t = pick("23456" if good else "0123456789") + some("0123456789", 11, 17)
+            right = -luhn_sum(t + "0") % 10
+            t += str(right if good else (right + rng.randint(1, 9)) % 10)
+            if len(t) == 16 and rng.random() < 0.5:
+                t = pick([" ", "-"]).join(t[i : i + 4] for i in range(0, 16, 4))
+            put(kind, t, plain() + pick(["", "card ", some("0123456789", 12, 16) + " "]), good)
         elif kind == "spelt_email":
             wrap = good or rng.random() < 0.1
             a, d = pick([(" (at) ", " (dot) "), (" [at] ", " [dot] "), ("(at)", "(dot)"), ("[at]", "[dot]")]) if wrap else (" at ", " dot ")
@@ -234,7 +260,7 @@ def _listed(spans: Column) -> Column:
 
 
 def personal_data(docs: DataFrame, model: Boosted | None = None) -> DataFrame:
-    """doc_id, n_email, n_ip, n_card, n_phone, base_sha256, spans: a row per input row."""
+    """doc_id, n_email, n_ip, n_card, n_phone, base_sha256, spans, n_spans (long, base and added ones): a row per input row."""
     model = model or trained()
     text = F.col("text")
     guards = {"email": F.contains(text, F.lit("@")), "ip": text.rlike(r"[0-9]\.[0-9]"), "phone": F.contains(text, F.lit("+")), "spelt_email": text.rlike(r"(?:\(|\[|\{| )dot(?:\)|\]|\}| )"), "account": text.rlike("[A-Z]{2}[0-9]{2}")}
@@ -251,4 +277,4 @@ def personal_data(docs: DataFrame, model: Boosted | None = None) -> DataFrame:
     out = out.select("doc_id", *(spans(k).alias(f"n_{k}") for k in BASE), base.alias("near"), F.concat(*(spans(k) for k in MORE)).alias("more"))
     touches = lambda z: F.exists("near", lambda b: (b["lo"] < z["e"]) & (z["s"] < b["hi"]) & F.exists(b["z"], lambda y: (y["s"] < z["e"]) & (z["s"] < y["e"])))
     out = out.select("doc_id", *(F.size(f"n_{k}").cast("long").alias(f"n_{k}") for k in BASE), F.concat(*(F.col(f"n_{k}") for k in BASE)).alias("base"), F.filter("more", lambda z: ~touches(z)).alias("more"))
-    return out.select("doc_id", *(f"n_{k}" for k in BASE), F.sha2(_listed(F.col("base")), 256).alias("base_sha256"), _listed(F.concat("base", "more")).alias("spans"))
+    return out.select("doc_id", *(f"n_{k}" for k in BASE), F.sha2(_listed(F.col("base")), 256).alias("base_sha256"), _listed(F.concat("base", "more")).alias("spans"), F.size(F.concat("base", "more")).cast("long").alias("n_spans"))
