@@ -18,14 +18,11 @@ from fadestream.functions.theory import choose_t_max
 from fadestream.operators.errors import within_scatter
 from fadestream.operators.lloyd import LloydResult, LocalWindow, SparkWindow, Window, even, lloyd, reassigned_counts
 from fadestream.operators.matching import seed_bound
-from fadestream.operators.seeding import SEEDINGS, local_forgy, local_kmpp
+from fadestream.operators.seeding import HELD_SEEDINGS, SEEDINGS, HeldPoints, local_kmpp
 from fadestream.operators.starts import POLICIES, Centres, fresh_centres, past_centres
 from fadestream.sources.window_store import WindowStore
 
 
-_LOCAL = {"forgy": local_forgy, "kmpp": local_kmpp}
-
-
 @dataclass
 class StepResult:
     seq: int
@@ -62,6 +59,7 @@ class _Base:
         self.k, self.seed, self.max_iter, self.tol, self.local_rows, self.store, self.seeding = k, seed, max_iter, tol, local_rows, store, seeding
         self.model_id = model_id or self.name
         self.held: list[tuple[int, np.ndarray]] = []
+        self.ids: list | None = None
         self.stored: list[int] = []
         self.seq = -1
         self.centroids: np.ndarray | None = None
@@ -70,6 +68,7 @@ class _Base:
     def _take(self, batch: DataFrame | np.ndarray, seq: int | None) -> tuple[Window | None, int]:
         """Append a batch; the window over it alone (None if it is empty), and its size."""
         self.seq = self.seq + 1 if seq is None else seq
+        self.ids = None
         if isinstance(batch, np.ndarray):
             x = batch
         else:
@@ -84,7 +83,8 @@ class _Base:
                     self.store.drop(self.seq)
                     raise ValueError("points must be finite")
                 return (SparkWindow(one) if n else None), n
-            rows = batch.select("x").limit(self.local_rows + 1).toArrow()
+            rows = batch.select("x", *(["point_id"] if "point_id" in batch.columns else [])).limit(self.local_rows + 1).toArrow()
+            self.ids = rows.column(1).to_pylist() if rows.num_columns > 1 else None
             if rows.num_rows > self.local_rows:
                 raise ValueError(f"a batch of over {self.local_rows} rows needs a WindowStore")
             x = np.asarray(rows.column(0).combine_chunks().flatten(), dtype=float).reshape(rows.num_rows, -1)
@@ -108,12 +108,12 @@ class _Base:
             self.store.drop_before(keep_from)
 
     def _seeds(self, newest: Window) -> np.ndarray:
-        rng = np.random.default_rng([self.seed, self.seq + 1])
+        """Seeds of a batch, the same whether it is in memory or stored. Points without ids are numbered as they come."""
+        seed = self.seed * 100_003 + self.seq
         if isinstance(newest, LocalWindow):
-            if self.seeding not in _LOCAL:
-                raise ValueError(f"seeding {self.seeding} needs a WindowStore")
-            return _LOCAL[self.seeding](newest.x, self.k, rng)
-        return SEEDINGS[self.seeding](newest.df, self.k, seed=self.seed * 100_003 + self.seq)
+            ids = list(range(len(newest.x))) if self.ids is None or None in self.ids else self.ids
+            return HELD_SEEDINGS[self.seeding](HeldPoints(newest.x, ids, seed), self.k)
+        return SEEDINGS[self.seeding](newest.df, self.k, seed=seed)
 
     def _commit(self, r: LloydResult) -> None:
         self.centroids, self.sums = r.centroids, r.sums

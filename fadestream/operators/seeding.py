@@ -109,6 +109,11 @@ def parallel_round(df: DataFrame, chosen: np.ndarray, ell: float, seed: int, ste
     return picked.drop("__d"), phi
 
 
+def _thinned(chosen: np.ndarray, counts: np.ndarray, k: int, seed: int) -> np.ndarray:
+    """k seeds from the candidates and how many points are nearest to each."""
+    return lloyd_points(chosen, counts, local_kmpp(chosen, k, np.random.default_rng(seed), weight=counts)).centroids
+
+
 def seed_parallel(df: DataFrame, k: int, ell: float | None = None, rounds: int = 5, seed: int = 0) -> np.ndarray:
     """Oversampling in a few rounds, then weighted sequential sampling among the candidates: a handful of scans instead of k."""
     ell = ell or 2.0 * k
@@ -122,8 +127,7 @@ def seed_parallel(df: DataFrame, k: int, ell: float | None = None, rounds: int =
             chosen = np.unique(np.vstack([chosen, _array(rows)]), axis=0)
     counts = {r["k"]: r["count"] for r in assign(df.select("x"), chosen).groupBy("k").count().collect()}
     w = np.array([counts.get(i, 0) for i in range(len(chosen))], dtype=float)
-    rng = np.random.default_rng(seed)
-    return lloyd_points(chosen, w, local_kmpp(chosen, k, rng, weight=w)).centroids
+    return _thinned(chosen, w, k, seed)
 
 
 def seed_mcmc(df: DataFrame, k: int, chain: int = 200, seed: int = 0, proposal: str = "uniform") -> np.ndarray:
@@ -131,7 +135,6 @@ def seed_mcmc(df: DataFrame, k: int, chain: int = 200, seed: int = 0, proposal:
 
     All proposals are drawn in one scan (k * chain points); the chains run on the driver.
     """
-    rng = np.random.default_rng(seed)
     first = seed_kmpp(df, 1, seed)
     want = max(1, (k - 1) * chain)
     u = _u(seed, "mc")
@@ -141,7 +144,12 @@ def seed_mcmc(df: DataFrame, k: int, chain: int = 200, seed: int = 0, proposal:
         stats = df.agg(F.sum(V.sq_dist_unrolled(F.col("x"), first[0])).alias("phi"), F.count(F.lit(1)).alias("n")).first()
         q = F.lit(0.5) * V.sq_dist_unrolled(F.col("x"), first[0]) / F.lit(max(stats["phi"] or 0.0, 1e-300)) + F.lit(0.5 / max(stats["n"], 1))
         rows = df.select("x", "point_id", q.alias("q"), (-F.log(u) / q).alias("key")).orderBy("key", "point_id").limit(want).collect()
-    x, q = _array(rows), np.array([r["q"] for r in rows])
+    return _chains(first, _array(rows), np.array([r["q"] for r in rows]), k, chain, seed)
+
+
+def _chains(first: np.ndarray, x: np.ndarray, q: np.ndarray, k: int, chain: int, seed: int) -> np.ndarray:
+    """One chain a seed over the proposals x, which were drawn in proportion to q."""
+    rng = np.random.default_rng(seed)
     order = rng.permutation(len(x))
     chosen, at = first.copy(), 0
     for _ in range(1, k):
@@ -156,6 +164,55 @@ def seed_mcmc(df: DataFrame, k: int, chain: int = 200, seed: int = 0, proposal:
     return fill(chosen, k)
 
 
+class HeldPoints:
+    """Points in memory with the numbers that a scan would draw for them: of the same ids, the seedings below pick what theirs pick."""
+
+    def __init__(self, x: np.ndarray, ids: list, seed: int = 0) -> None:
+        order = sorted(range(len(ids)), key=ids.__getitem__)  # so that the first of equal keys has the least id
+        self.x, self.ids, self.seed = x[order], [ids[i] for i in order], seed
+
+    def u(self, step: int | str) -> np.ndarray:
+        return np.array([local_uniform(i, self.seed, step) for i in self.ids])
+
+    def d2(self, c: np.ndarray) -> np.ndarray:
+        return ((self.x - c) ** 2).sum(axis=1)
+
+
+def held_forgy(p: HeldPoints, k: int) -> np.ndarray:
+    return fill(p.x[np.argsort(p.u("forgy"), kind="stable")[:k]], k)
+
+
+def held_kmpp(p: HeldPoints, k: int) -> np.ndarray:
+    chosen, load = [], np.ones(len(p.x))
+    for r in range(k):
+        some = np.flatnonzero(load > 0)
+        if not len(some):
+            break
+        pick = p.x[some[(-np.log(p.u(r)[some]) / load[some]).argmin()]]
+        load = np.minimum(load, p.d2(pick)) if chosen else p.d2(pick)
+        chosen.append(pick)
+    return fill(np.array(chosen), k)
+
+
+def held_parallel(p: HeldPoints, k: int, ell: float | None = None, rounds: int = 5) -> np.ndarray:
+    ell, chosen = ell or 2.0 * k, held_kmpp(p, 1)
+    d = p.d2(chosen[0])
+    for r in range(rounds):
+        if not d.sum() > 0:
+            break
+        picked = p.x[(d > 0) & (p.u(f"par{r}") < np.minimum(1.0, ell * d / d.sum()))]
+        for c in picked:
+            d = np.minimum(d, p.d2(c))
+        chosen = np.unique(np.vstack([chosen, picked]), axis=0)
+    return _thinned(chosen, counts_near(p.x, chosen), k, p.seed)
+
+
+def held_mcmc(p: HeldPoints, k: int, chain: int = 200) -> np.ndarray:
+    order = np.argsort(-np.log(p.u("mc")), kind="stable")[: max(1, (k - 1) * chain)]
+    return _chains(held_kmpp(p, 1), p.x[order], np.ones(len(order)), k, chain, p.seed)
+
+
+HELD_SEEDINGS = {"kmpp": held_kmpp, "forgy": held_forgy, "parallel": held_parallel, "mcmc": held_mcmc}
 SEEDINGS = {"kmpp": seed_kmpp, "forgy": seed_forgy, "parallel": seed_parallel, "mcmc": seed_mcmc}
 
 

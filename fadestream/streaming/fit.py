@@ -11,7 +11,8 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.errors import AnalysisException
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery, StreamingQueryListener
 
@@ -46,18 +47,33 @@ def fit_stream(points: DataFrame, clusterer: FadingClusterer, checkpoint: str, o
 
 def fit_event_time(events: DataFrame, ts: str, width_seconds: int, t_max: int, sink: Callable[[DataFrame, int], None], late: Callable[[DataFrame, int], None], checkpoint: str, **trigger) -> StreamingQuery:  # noqa: ANN003
     """Event-time batches: batch_seq is the number of the row's own window. Rows of windows that are still retained go to sink with
-    that number, whenever they come; rows of windows that have left (t_max behind the newest seen) go to late."""
-    newest = {"seq": None}
+    that number, whenever they come; rows of windows that have left (t_max behind the newest seen) go to late. The newest window
+    seen is written beside the checkpoint after each micro-batch, in two folders taken in turn, so late rows stay late after a
+    restart and a micro-batch that runs again is routed as it was."""
+    newest = {"epoch": None, "seq": None}
+    folder = f"{checkpoint.rstrip('/')}/newest_window"
+
+    def restored(spark: SparkSession, epoch: int) -> int | None:
+        try:
+            marks = spark.read.schema("epoch long, seq long").parquet(folder)
+        except AnalysisException as e:
+            if e.getCondition() != "PATH_NOT_FOUND":
+                raise
+            return None
+        return marks.where(F.col("epoch") < epoch).agg(F.max("seq")).first()[0]
 
     def route(batch: DataFrame, epoch: int) -> None:
         tagged = batch.withColumn("batch_seq", F.floor(F.unix_timestamp(F.col(ts).cast("timestamp")) / width_seconds).cast("long")).persist()
         top = tagged.agg(F.max("batch_seq")).first()[0]
+        before = newest["seq"] if newest["epoch"] == epoch - 1 else restored(batch.sparkSession, epoch)
         if top is not None:
-            before = newest["seq"]
             left = F.lit(False) if before is None else F.col("batch_seq") <= before - t_max
             sink(tagged.where(~left), epoch)
             late(tagged.where(left), epoch)
-            newest["seq"] = top if before is None else max(top, before)
+            before = top if before is None else max(top, before)
+        mark = batch.sparkSession.range(1).select(F.lit(epoch).cast("long").alias("epoch"), F.lit(before).cast("long").alias("seq"))
+        mark.write.mode("overwrite").parquet(f"{folder}/turn={epoch % 2}")
+        newest.update(epoch=epoch, seq=before)
         tagged.unpersist()
 
     return events.writeStream.foreachBatch(route).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True})).start()

@@ -1,5 +1,6 @@
 """The clusterers on DataFrames against the array reference, stores and recovery, drifts, experiments, streams, plans, oracle."""
 
+import datetime
 import math
 import os
 
@@ -345,5 +346,31 @@ def test_stored_points_must_be_finite(spark, tmp_path):
     with pytest.raises(ValueError, match="finite"):
         f.step(spark.createDataFrame([("d", [float("nan")])], good.schema), 1)
     assert f.store.batches() == [0] and f.step(good, 1).mass == 4.5
-    with pytest.raises(ValueError, match="WindowStore"):
-        FadingClusterer(2, 0.5, 3, seeding="parallel").step(np.array([[1.0], [2.0], [3.0]]), 0)
+
+
+@pytest.mark.parametrize("seeding", ["kmpp", "forgy", "parallel", "mcmc"])
+def test_seeds_are_the_same_in_memory_and_stored(spark, tmp_path, seeding):
+    df = frame(spark, batches(1, size=150, k=4)[0]).persist()
+    here = FadingClusterer(4, 0.5, 3, seed=5, seeding=seeding)
+    far = FadingClusterer(4, 0.5, 3, seed=5, seeding=seeding, store=WindowStore(spark, f"{tmp_path}/w"))
+    a, b = here.step(df, 0), far.step(df, 0)
+    assert np.allclose(a.start, b.start) and np.allclose(a.centroids, b.centroids)
+    assert len(np.unique(a.start, axis=0)) == 4
+    assert FadingClusterer(2, 0.5, 3, seeding=seeding).step(np.ones((5, 1)), 0).centroids.tolist() == [[1.0], [1.0]]
+
+
+def test_late_rows_stay_late_after_a_restart(spark, tmp_path):
+    got = {"kept": [], "late": []}
+    to = lambda name: lambda df, epoch: got[name].extend((r["id"], r["batch_seq"]) for r in df.collect())
+
+    def arrive(rows):
+        spark.createDataFrame(rows, "id long, at timestamp").coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+        stream = fit.file_stream(spark, f"{tmp_path}/in", "id long, at timestamp")
+        fit.fit_event_time(stream, "at", 10, 2, to("kept"), to("late"), f"{tmp_path}/cp").awaitTermination()
+
+    when = lambda s: datetime.datetime.fromtimestamp(s, datetime.UTC)
+    arrive([(1, when(5)), (2, when(95))])
+    arrive([(3, when(85)), (4, when(75)), (5, when(101))])
+    arrive([(6, when(85))])
+    assert got["late"] == [(4, 7), (6, 8)]
+    assert sorted(got["kept"]) == [(1, 0), (2, 9), (3, 8), (5, 10)]
