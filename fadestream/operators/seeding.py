@@ -169,10 +169,12 @@ class HeldPoints:
 
     def __init__(self, x: np.ndarray, ids: list, seed: int = 0) -> None:
         order = sorted(range(len(ids)), key=ids.__getitem__)  # so that the first of equal keys has the least id
-        self.x, self.ids, self.seed = x[order], [ids[i] for i in order], seed
+        self.x, self.ids, self.seed = x[order], [f"{ids[i]}-".encode() for i in order], seed
 
     def u(self, step: int | str) -> np.ndarray:
-        return np.array([local_uniform(i, self.seed, step) for i in self.ids])
+        end = f"{self.seed}.{step}".encode()
+        heads = b"".join([hashlib.md5(i + end).digest()[:4] for i in self.ids])
+        return (np.frombuffer(heads, dtype=">u4") + 0.5) / 4294967296.0
 
     def d2(self, c: np.ndarray) -> np.ndarray:
         return ((self.x - c) ** 2).sum(axis=1)
