@@ -374,3 +374,12 @@ def test_late_rows_stay_late_after_a_restart(spark, tmp_path):
     arrive([(6, when(85))])
     assert got["late"] == [(4, 7), (6, 8)]
     assert sorted(got["kept"]) == [(1, 0), (2, 9), (3, 8), (5, 10)]
+
+
+def test_least_value_of_zero_divides_as_doubles(spark, tmp_path):
+    rows = [(0, "a", 0.0), (1, "a", 2.0), (2, "a", None), (3, "b", 0.5), (4, "b", 2.0), (5, "c", -1.0), (6, "c", 0.0)]
+    spark.createDataFrame(rows, "event_id long, event_type string, value double").write.parquet(str(tmp_path / "events.parquet"))
+    got = {r["id"]: r["ratio"] for r in catalogue.QUERIES["win_min_norm"](spark, str(tmp_path)).collect()}
+    want = dict(duckdb.sql(catalogue.SQL["win_min_norm"].replace("events", f"'{tmp_path}/events.parquet/*.parquet'")).fetchall())
+    assert got.keys() == want.keys() and math.isnan(got[0]) and math.isnan(want[0])
+    assert {i: v for i, v in got.items() if i} == {i: v for i, v in want.items() if i} and got[1] == math.inf
