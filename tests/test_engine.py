@@ -10,17 +10,17 @@ import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__
-from fadestream.functions.kernels import fading, nearest
+from fadestream.functions.kernels import fading, nearest, sums_of
 from fadestream.operators import batching, features
 from fadestream.operators.distance import assign, cluster_stats
 from fadestream.operators.engine import DriftOracleClusterer, FadingClusterer, bound_slack, clusterer, corrupt_signal
 from fadestream.operators.estimator import FadingKMeans, FadingKMeansModel
 from fadestream.operators.forge import DriftForge, search_alpha, unit_directions
 from fadestream.operators.kchoice import silhouette
-from fadestream.operators.lloyd import LocalWindow, SparkWindow, lloyd
+from fadestream.operators.lloyd import GrowingWindow, LocalWindow, SparkWindow, lloyd
 from fadestream.operators.measures import boxplot_summary, rel_excess
-from fadestream.operators.seeding import local_uniform, seed_forgy, seed_kmpp, seed_mcmc, seed_parallel
-from fadestream.plans import catalogue
+from fadestream.operators.seeding import HeldPoints, held_kmpp, local_uniform, seed_forgy, seed_kmpp, seed_mcmc, seed_parallel
+from fadestream.plans import catalogue, methods
 from fadestream.plans.experiments import gap_experiment, run_grid
 from fadestream.sources.window_store import WindowStore
 from fadestream.streaming import fit
@@ -383,3 +383,50 @@ def test_least_value_of_zero_divides_as_doubles(spark, tmp_path):
     want = dict(duckdb.sql(catalogue.SQL["win_min_norm"].replace("events", f"'{tmp_path}/events.parquet/*.parquet'")).fetchall())
     assert got.keys() == want.keys() and math.isnan(got[0]) and math.isnan(want[0])
     assert {i: v for i, v in got.items() if i} == {i: v for i, v in want.items() if i} and got[1] == math.inf
+
+
+def test_a_small_window_sums_as_any(spark):
+    rng = np.random.default_rng(3)
+    for d, k in ((1, 1), (4, 5), (8, 3)):
+        x, seq = np.round(rng.normal(size=(600, d)) * 20), rng.integers(0, 4, 600)
+        for c in (x[:k], np.zeros((k, d)), rng.normal(size=(k, d))):
+            a, b = LocalWindow(x, seq).passes([c])[0], sums_of(x, seq, c)
+            assert all(np.array_equal(u, v) for u, v in ((a.seqs, b.seqs), (a.n, b.n), (a.sx, b.sx), (a.sxx, b.sxx))) and np.allclose(a.sse, b.sse, rtol=1e-12)
+
+
+@pytest.mark.parametrize("scale", [3, 400])
+def test_a_growing_window_steps_as_a_plain_one(scale):
+    rng = np.random.default_rng(scale)
+    plain, grown = (FadingClusterer(4, 1.0, None, "carry", grown=g) for g in (None, GrowingWindow(4, 3)))
+    for s in range(90):
+        x = np.round(rng.normal(size=(0 if s in (7, 8, 9, 10, 40) else 60, 3)) * scale + (s // 30) * scale)
+        a, b = plain.step(x, s), grown.step(x, s)
+        assert (a is None) == (b is None)
+        if a is not None:
+            assert np.array_equal(a.centroids, b.centroids) and a.iterations == b.iterations and a.total_distances == b.total_distances and a.mass == b.mass
+            assert np.allclose([a.init_faded, a.final_faded, a.since_drift(s - s % 3)], [b.init_faded, b.final_faded, b.since_drift(s - s % 3)], rtol=1e-9)
+    assert (grown.grown.mark[: grown.grown.n] > grown.grown.way).mean() > 0.9
+
+
+@pytest.mark.parametrize("name", ["fading_run_carry", "fading_run_fresh", "fading_run_blend", "fading_run_pair", "drift_oracle_run", "static_run", "newest_only_run", "pair_greedy_run", "pair_identity_run", "blend_restarts_run", "pair_lloyd_refined_run"])
+def test_runs_equal_single_steps(spark, tmp_path, monkeypatch, name):
+    """The steps of a run over batches with holes, in whatever order the rows lie, against one clusterer stepped batch by batch."""
+    n = 70 * 20
+    e = spark.range(n).where("id div 20 not in (10, 11, 50, 51)").select(F.col("id").alias("event_id"), F.expr("timestamp_ntz'2024-01-01 00:00:00' + make_dt_interval(0, 0, id * 37)").alias("ts"), F.expr("(id * 7919 % 1009) / 10D").alias("value"), F.expr("concat('{\"k\": ', id * 31 % 97, '}')").alias("props"))
+    e.orderBy(F.xxhash64("event_id")).write.parquet(str(tmp_path / "events.parquet"))
+    monkeypatch.setattr(methods, "N", 20)
+    f, want = methods.RUNS[name](), []
+    points = {s: [] for s in range(70)}
+    for r in methods.ev(spark, str(tmp_path)).collect():
+        points[r["batch_seq"]].append((r["point_id"], r["x"]))
+    for s in range(70):
+        ids, x = zip(*sorted(points[s]), strict=True) if points[s] else ((), ())
+        x = np.array(x, dtype=float).reshape(-1, 4)
+        seeds = held_kmpp(HeldPoints(x, list(ids), s), 5) if len(x) else None
+        r = f.step(x, s % 10 == 0, s, seeds) if isinstance(f, DriftOracleClusterer) else f.step(x, s, seeds=seeds)
+        if r is not None:
+            want.append((s, r.method, r.init_faded, r.final_faded, r.since_drift(s - s % 10), r.iterations, r.total_distances, r.mass))
+    got = sorted(tuple(r) for r in catalogue.QUERIES[name](spark, str(tmp_path)).collect())
+    assert len(got) == len(want) == 66
+    for a, b in zip(got, want, strict=True):
+        assert a[:2] == b[:2] and a[5:7] == b[5:7] and np.allclose(a[2:5] + a[7:], b[2:5] + b[7:], rtol=1e-12)
