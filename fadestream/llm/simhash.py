@@ -245,6 +245,8 @@ def simhash_classes(docs: DataFrame, k: int = 3, threshold: int = 2, seed: int =
 
 #: Words of a shingle and similarity that count for near copies.
 SHINGLE, SIMILAR = 5, 0.8
+#: Bits in which the fingerprints of two texts may differ that are compared first.
+CLOSE = 2
 #: Texts of a block of a large group (two blocks are compared at a time); groups of up to PAIRED texts are joined pair by pair.
 BLOCK, PAIRED = 256, 32
 #: Cells of the frequency sketch, a byte each to broadcast. It only orders shingles: fewer cells cost time, never a pair.
@@ -286,6 +288,35 @@ def _shingled(docs: DataFrame) -> DataFrame:
     return docs.select("text").mapInArrow(run, "key binary, sh array<long>")
 
 
+def _printed(docs: DataFrame) -> DataFrame:
+    """key, fp: the fingerprint of each text."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in slices(batches):
+            keys = [_key(t) for t in b.column(0).cast(pa.binary()).to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), b.column(0)], names=["doc_id", "text"])
+
+    return fingerprints(docs.select("text").mapInArrow(run, "doc_id binary, text string")).dropDuplicates(["doc_id"]).withColumnRenamed("doc_id", "key")
+
+
+def _met(docs: DataFrame) -> DataFrame:
+    """a, b: texts whose fingerprints differ in at most CLOSE bits, found at their anchors: a forest of each group, not all its pairs."""
+    prints = Stored(_printed(docs), "printed").df
+    groups = Stored(prints.groupBy("fp").agg(F.min("key").alias("head"), F.count(F.lit(1)).alias("n")), "heads").df
+    close = anchor_links(groups.select(F.lit(0).alias("family"), "fp"), CLOSE, groups.count())
+    head = lambda x: groups.select(F.col("fp").alias(x), F.col("head").alias(f"h{x}"))
+    near = close.join(head("a"), "a").join(head("b"), "b").select("ha", "hb")
+    same = prints.join(groups.where("n > 1"), "fp").where("key <> head").select(F.col("head").alias("ha"), F.col("key").alias("hb"))
+    return near.union(same).select(F.least("ha", "hb").alias("a"), F.greatest("ha", "hb").alias("b")).distinct()
+
+
+def _sets_of(docs: DataFrame, texts: DataFrame, ends: DataFrame, label: str) -> DataFrame:
+    """key, sh for the texts of ends (key): only documents that may hold one are read whole."""
+    ids = Stored(texts.join(ends, "key").select(F.col("least").alias("doc_id")), f"{label}-ends").df
+    may_hit = key_filter(ids, ids.count())
+    return Stored(_shingled(docs.where(may_hit("doc_id"))).dropDuplicates(["key"]), label).df
+
+
 def _frequencies(docs: DataFrame, cells: int) -> np.ndarray:
     """About how many texts hold a shingle of each cell, on a log scale; counted by task, added up by executors."""
     part = 1 << 16
@@ -417,15 +448,19 @@ def _unsettled(many: DataFrame, joined: DataFrame, sets: DataFrame) -> DataFrame
 def near_duplicates(docs: DataFrame) -> DataFrame:
     """doc_id, th (hash of the text), component_id, root: documents linked by a similarity of at least SIMILAR over sets of SHINGLE-word shingles.
 
-    Exact: texts of that similarity share one of the rarest shingles of each (a prefix filter), so they meet in the group of that
-    shingle. Small groups are joined pair by pair, without pairs whose sizes and places rule them out. All of a large group are
-    compared with its best connected text first; where that leaves a group in more than one component, every pair between its
-    components is compared. Each link is verified on the whole sets.
+    The anchors of the fingerprints find the first candidates, which are verified on the whole sets. What follows makes the result exact, for
+    pairs that aren't in one component yet: texts of that similarity share one of the rarest shingles of each (a prefix filter), so they
+    meet in the group of that shingle. Small groups are joined pair by pair, without pairs whose sizes and places rule them out. All of a
+    large group are compared with its best connected text first; where that leaves a group in more than one component, every pair
+    between its components is compared. Each link is verified on the whole sets.
     """
     rows = Stored(_texts(docs), "texts").df
     texts = Stored(rows.groupBy("key", "id").agg(F.min("doc_id").alias("least")), "keys").df
     count = texts.count()
     one = key_filter(texts.select(F.col("least").alias("doc_id")), count)  # one document a text and few others
+    met = Stored(_met(docs.where(one("doc_id"))), "met").df
+    found = Stored(_verified(met, _sets_of(docs, texts, met.select(F.col("a").alias("key")).union(met.select("b")).distinct(), "met-sets")), "found").df
+    early = Stored(components(found, "a", "b"), "early").df
     cells = 1 << max(16, min(CELLS_MAX.bit_length() - 1, (32 * count).bit_length()))
     prefixes = Stored(_prefixes(docs.where(one("doc_id")), cells), "prefixes").df
     shared = Stored(prefixes.groupBy("h").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo <> hi").select("h"), "shared").df
@@ -443,12 +478,12 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     alike = F.least("size", "lead.size") >= SIMILAR * F.greatest("size", "lead.size") - 1e-9
     led = many.join(lead, "h").where((F.col("key") != F.col("lead.key")) & alike)
     led = led.select(F.least("key", "lead.key").alias("a"), F.greatest("key", "lead.key").alias("b"))
-    pairs = Stored(pairs.union(led).distinct(), "pairs").df
+    of = lambda x: early.select(F.col("node").alias(x), F.col("root").alias(f"r{x}"))
+    open_ = pairs.union(led).distinct().join(of("a"), "a", "left").join(of("b"), "b", "left").where(F.coalesce("ra", "a") != F.coalesce("rb", "b"))
+    pairs = Stored(open_.select("a", "b"), "pairs").df
     ends = pairs.select(F.col("a").alias("key")).union(pairs.select("b")).union(many.select("key")).distinct()
-    ids = Stored(texts.join(ends, "key").select(F.col("least").alias("doc_id")), "ends").df
-    may_hit = key_filter(ids, ids.count())
-    sets = Stored(_shingled(docs.where(may_hit("doc_id"))).dropDuplicates(["key"]), "sets").df
-    links = Stored(_verified(pairs, sets), "verified").df
+    sets = _sets_of(docs, texts, ends, "sets")
+    links = Stored(found.union(_verified(pairs, sets)), "verified").df
     joined = components(links, "a", "b")
     more = None if many.isEmpty() else _unsettled(many, joined, sets)
     if more is not None:

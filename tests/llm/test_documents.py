@@ -242,6 +242,21 @@ def brute_components(sets):
     return {i: find(i) for i in range(len(sets))}
 
 
+def test_near_copies_come_from_fingerprints_first(spark, monkeypatch):
+    """Without the exact step that follows, texts whose fingerprints meet at an anchor are still joined, if their sets are similar."""
+    rng = random.Random(5)
+    base = [[f"t{i}w{rng.randrange(10**6)}" for _ in range(600)] for i in range(6)]
+    texts = [" ".join(b[: len(b) - cut]) for b in base for cut in (0, 1, 2)] + ["one odd text", "another"]
+    real = sh._prefixes
+    monkeypatch.setattr(sh, "_prefixes", lambda docs, cells: real(docs, cells).where("false"))
+    df = table(spark, texts)
+    out = {r["doc_id"]: r["component_id"] for r in sh.near_duplicates(df).collect()}
+    prints = [r["fp"] for r in sorted(sh.fingerprints(df).collect(), key=lambda r: r["doc_id"])]
+    close = [(a, b) for a in range(18) for b in range(a) if a // 3 == b // 3 and bin((prints[a] ^ prints[b]) & (2**64 - 1)).count("1") <= 2]
+    assert len(close) >= 6 and all(out[a] == out[b] for a, b in close)
+    assert all(out[i] // 3 == i // 3 for i in range(18)) and out[18] == 18 and out[19] == 19
+
+
 def test_near_copies_that_no_text_leads(spark, monkeypatch):
     """Windows that slide along a text: everyone shares shingles with many, is similar to few, and all are one group by steps."""
     monkeypatch.setattr(sh, "BLOCK", 8)
