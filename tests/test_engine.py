@@ -430,3 +430,12 @@ def test_runs_equal_single_steps(spark, tmp_path, monkeypatch, name):
     assert len(got) == len(want) == 66
     for a, b in zip(got, want, strict=True):
         assert a[:2] == b[:2] and a[5:7] == b[5:7] and np.allclose(a[2:5] + a[7:], b[2:5] + b[7:], rtol=1e-12)
+
+
+@pytest.mark.parametrize("name", ["calendar", "choose_rho_grid", "gap_interval_grid", "gap_interval_finite", "truncation_mass", "hoeffding_halfwidth", "rho_tradeoff", "distance_ledger", "recursive_powers", "source_rate_demo"])
+def test_theory_and_sources_read_tables(spark, sf_dir, tmp_path, name):
+    """Of half a table the result is another."""
+    for t, by in (("events", "event_id < 400"), ("lineitem", "l_shipdate < timestamp_ntz'1998-01-01' and l_quantity < 25")):
+        spark.read.parquet(f"{sf_dir}/{t}.parquet").where(by).write.parquet(str(tmp_path / f"{t}.parquet"))
+    whole, part = ({tuple(r) for r in catalogue.QUERIES[name](spark, d).collect()} for d in (sf_dir, str(tmp_path)))
+    assert whole and part and whole != part
