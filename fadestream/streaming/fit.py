@@ -87,17 +87,17 @@ def fit_keyed(points: DataFrame, key: str, k: int, rho: float, t_max: int, start
 
     State holds the retained points of the key (t_max batches) and its last model. One exchange by key, no driver step.
     """
-    schema = "seq long, models string, seqs array<long>, xs array<array<double>>"
+    schema = "seq long, models string, seqs binary, xs binary"  # numbers as bytes: a list of lists costs an object a coordinate
 
     def step(group: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:  # noqa: ANN001
         parts = [np.stack(f["x"].to_numpy()) for f in frames if len(f)]
-        seq, model, seqs, xs = state.get if state.exists else (-1, "", [], [])
+        seq, model, seqs, xs = state.get if state.exists else (-1, "", b"", b"")
         if not parts:
             return
         new = np.concatenate(parts)
         new = new[np.lexsort(new.T[::-1])]
         seq += 1
-        seqs, x = np.array(list(seqs), dtype=np.int64), np.array([list(v) for v in xs], dtype=float).reshape(-1, new.shape[1])
+        seqs, x = np.frombuffer(seqs, dtype=np.int64), np.frombuffer(xs).reshape(-1, new.shape[1])
         keep = seqs > seq - t_max
         x, seqs = np.concatenate([x[keep], new]), np.concatenate([seqs[keep], np.full(len(new), seq)])
         rng = np.random.default_rng([seed, seq, _crc(group[0])])
@@ -113,7 +113,7 @@ def fit_keyed(points: DataFrame, key: str, k: int, rho: float, t_max: int, start
         else:
             c0 = local_kmpp(new, k, rng)
         r = lloyd(window, c0, weights)
-        state.update((seq, json.dumps(r.centroids.tolist()), seqs.tolist(), x.tolist()))
+        state.update((seq, json.dumps(r.centroids.tolist()), seqs.tobytes(), np.ascontiguousarray(x).tobytes()))
         n = r.sums.n.sum(axis=0)
         yield pd.DataFrame(
             {"key": [str(group[0])] * k, "batch_seq": [seq] * k, "k": range(k), "n": n.astype(int), "c": r.centroids.tolist(), "faded_error": [r.errors[-1]] * k, "iterations": [r.iterations] * k}
