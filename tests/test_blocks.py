@@ -11,6 +11,7 @@ from fadestream.operators.blocks import PointBlock
 from fadestream.operators.features import VIEWS
 from fadestream.operators.forge import DriftForge
 from fadestream.operators.lloyd import LocalWindow
+from fadestream.plans import catalogue
 from fadestream.plans.experiments import run_grid, whole_block
 
 
@@ -93,3 +94,18 @@ def test_a_grid_has_all_cells_and_repeats(spark, sf_dir):
     one = run()
     assert len({(r[1], r[2]) for r in one}) == 4
     assert one == run()
+
+
+@pytest.mark.parametrize("name", ["detector_ablation"])
+def test_forged_streams_are_made_of_events(spark, sf_dir, tmp_path, name):
+    """Of part of the table the result is another; every batch is in it."""
+    sf_dir = sf_dir.replace("sf0.001", "sf0.01")  # 50 batches
+    e = spark.read.parquet(f"{sf_dir}/events.parquet")
+    e.where("event_id < 4000").write.parquet(str(tmp_path / "events.parquet"))
+    whole, part = (catalogue.QUERIES[name](spark, d).collect() for d in (sf_dir, str(tmp_path)))
+    assert whole and part and sorted(map(tuple, whole)) != sorted(map(tuple, part))
+    if name == "source_drift_forge":
+        assert sum(r["n"] for r in whole) == e.count()
+    else:
+        error = {(r["p_false"], r["p_miss"]): r["error"] for r in whole}
+        assert len(error) == 4 and error[0.0, 0.0] < error[0.0, 0.5]
