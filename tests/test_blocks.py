@@ -96,7 +96,7 @@ def test_a_grid_has_all_cells_and_repeats(spark, sf_dir):
     assert one == run()
 
 
-@pytest.mark.parametrize("name", ["detector_ablation"])
+@pytest.mark.parametrize("name", ["detector_ablation", "source_drift_forge"])
 def test_forged_streams_are_made_of_events(spark, sf_dir, tmp_path, name):
     """Of part of the table the result is another; every batch is in it."""
     sf_dir = sf_dir.replace("sf0.001", "sf0.01")  # 50 batches
