@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Stored, key_filter, slices, without
+from .common import Chosen, Stored, key_filter, slices, small_batches, without
 from .components import components
 
 #: Shingles whose bits are unpacked at once (64 bytes each).
@@ -77,15 +77,20 @@ def _bits(h: np.ndarray) -> np.ndarray:
     return np.unpackbits(h.astype(">u8").view(np.uint8).reshape(-1, 8), axis=1)
 
 
+def prints_of(texts: list[bytes | None], k: int = 3, seed: int = 42) -> np.ndarray:
+    """The fingerprint of each text, as a signed number."""
+    lists = [shingle_hashes(t, k, seed) if t else [] for t in texts]
+    sizes = np.array([len(x) for x in lists], dtype=np.int64)
+    flat = np.fromiter((h for x in lists for h in x), dtype=np.uint64, count=int(sizes.sum()))
+    return majority(flat, sizes).view(np.int64)
+
+
 def fingerprints(docs: DataFrame, k: int = 3, seed: int = 42) -> DataFrame:
     """doc_id, fp (long, the 64 bits as a signed number)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches):
-            lists = [shingle_hashes(t, k, seed) if t else [] for t in b.column(1).cast(pa.binary()).to_pylist()]
-            sizes = np.array([len(x) for x in lists], dtype=np.int64)
-            flat = np.fromiter((h for x in lists for h in x), dtype=np.uint64, count=int(sizes.sum()))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(majority(flat, sizes).view(np.int64))], names=["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(prints_of(b.column(1).cast(pa.binary()).to_pylist(), k, seed))], names=["doc_id", "fp"])
 
     return docs.select("doc_id", "text").mapInArrow(run, docs.select("doc_id").schema.add("fp", "long"))
 
@@ -125,7 +130,7 @@ def anchors_of(fps: np.ndarray, blocks: list[int], reach: int) -> tuple[np.ndarr
     return np.concatenate(rows), np.concatenate(out).view(np.int64)
 
 
-def forest(fps: np.ndarray, threshold: int, rows: int = 1 << 22) -> tuple[np.ndarray, np.ndarray]:
+def forest(fps: np.ndarray, threshold: int, rows: int = 1 << 20) -> tuple[np.ndarray, np.ndarray]:
     """Links (a, b) of fingerprints that make the same components as all pairs within threshold bits: one less than each component has."""
     n = len(fps)
     root = np.arange(n)
@@ -277,29 +282,27 @@ def _set(text: bytes | None) -> np.ndarray:
     return np.unique(np.array(shingle_hashes(text or b"", SHINGLE), dtype=np.uint64))
 
 
-def _shingled(docs: DataFrame) -> DataFrame:
+def _shingled(docs: Chosen) -> DataFrame:
     """key, sh (the set of shingle hashes)."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches):
-            texts = b.column(0).cast(pa.binary()).to_pylist()
+    def run(parts: Iterator[list[bytes | None]]) -> Iterator[pa.RecordBatch]:
+        for texts in parts:
             yield pa.RecordBatch.from_arrays([pa.array([_key(t) for t in texts], pa.binary()), pa.array([_set(t).view(np.int64) for t in texts], pa.list_(pa.int64()))], names=["key", "sh"])
 
-    return docs.select("text").mapInArrow(run, "key binary, sh array<long>")
+    return docs.map(run, "key binary, sh array<long>")
 
 
-def _printed(docs: DataFrame) -> DataFrame:
+def _printed(docs: Chosen) -> DataFrame:
     """key, fp: the fingerprint of each text."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches):
-            keys = [_key(t) for t in b.column(0).cast(pa.binary()).to_pylist()]
-            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), b.column(0)], names=["doc_id", "text"])
+    def run(parts: Iterator[list[bytes | None]]) -> Iterator[pa.RecordBatch]:
+        for texts in parts:
+            yield pa.RecordBatch.from_arrays([pa.array([_key(t) for t in texts], pa.binary()), pa.array(prints_of(texts))], names=["key", "fp"])
 
-    return fingerprints(docs.select("text").mapInArrow(run, "doc_id binary, text string")).dropDuplicates(["doc_id"]).withColumnRenamed("doc_id", "key")
+    return docs.map(run, "key binary, fp long").dropDuplicates(["key"])
 
 
-def _met(docs: DataFrame) -> DataFrame:
+def _met(docs: Chosen) -> DataFrame:
     """a, b: texts whose fingerprints differ in at most CLOSE bits, found at their anchors: a forest of each group, not all its pairs."""
     prints = Stored(_printed(docs), "printed").df
     groups = Stored(prints.groupBy("fp").agg(F.min("key").alias("head"), F.count(F.lit(1)).alias("n")), "heads").df
@@ -311,20 +314,19 @@ def _met(docs: DataFrame) -> DataFrame:
 
 
 def _sets_of(docs: DataFrame, texts: DataFrame, ends: DataFrame, label: str) -> DataFrame:
-    """key, sh for the texts of ends (key): only documents that may hold one are read whole."""
+    """key, sh for the texts of ends (key): only documents that may hold one are shingled."""
     ids = Stored(texts.join(ends, "key").select(F.col("least").alias("doc_id")), f"{label}-ends").df
-    may_hit = key_filter(ids, ids.count())
-    return Stored(_shingled(docs.where(may_hit("doc_id"))).dropDuplicates(["key"]), label).df
+    return Stored(_shingled(Chosen(docs, ids, ids.count())).dropDuplicates(["key"]), label).df
 
 
-def _frequencies(docs: DataFrame, cells: int) -> np.ndarray:
+def _frequencies(docs: Chosen, cells: int) -> np.ndarray:
     """About how many texts hold a shingle of each cell, on a log scale; counted by task, added up by executors."""
     part = 1 << 16
 
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def count(parts: Iterator[list[bytes | None]]) -> Iterator[pa.RecordBatch]:
         seen = np.zeros(cells, dtype=np.uint8)
-        for b in slices(batches):
-            sets = [_set(t) for t in b.column(0).cast(pa.binary()).to_pylist()]
+        for texts in parts:
+            sets = [_set(t) for t in texts]
             at, n = np.unique(np.concatenate(sets) & np.uint64(cells - 1), return_counts=True)
             seen[at] = np.minimum(seen[at] + n, 255)
         for lo in range(0, cells, part):
@@ -341,19 +343,21 @@ def _frequencies(docs: DataFrame, cells: int) -> np.ndarray:
 
     out = np.zeros(cells, dtype=np.uint8)
     kind = "block long, n binary"
-    for lo, n in docs.select("text").mapInArrow(count, kind).repartition("block").mapInArrow(total, kind).collect():
-        out[lo : lo + part] = np.frombuffer(n, dtype=np.uint8)
+    counts = docs.map(count, kind).repartition("block").mapInArrow(total, kind)
+    with small_batches(counts.sparkSession):
+        for lo, n in counts.collect():
+            out[lo : lo + part] = np.frombuffer(n, dtype=np.uint8)
     return out
 
 
-def _prefixes(docs: DataFrame, cells: int) -> DataFrame:
+def _prefixes(docs: Chosen, cells: int) -> DataFrame:
     """h, id, size, pos (place from rare to frequent): the rarest shingles of each text, so many that two texts of similarity SIMILAR share one whatever the edit."""
-    probe = docs.sparkSession.sparkContext.broadcast(_frequencies(docs, cells))
+    probe = docs.rows.sparkSession.sparkContext.broadcast(_frequencies(docs, cells))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches):
+    def run(parts: Iterator[list[bytes | None]]) -> Iterator[pa.RecordBatch]:
+        for texts in parts:
             ids, kept, sizes, places = [], [], [], []
-            for t in b.column(0).cast(pa.binary()).to_pylist():
+            for t in texts:
                 sh = _set(t)
                 if len(sh):
                     n = len(sh) - math.ceil(SIMILAR * len(sh) - 1e-9) + 1
@@ -365,7 +369,7 @@ def _prefixes(docs: DataFrame, cells: int) -> DataFrame:
                 cols = [np.concatenate(kept).view(np.int64), *(np.concatenate(x) for x in (ids, sizes, places))]
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["h", "id", "size", "pos"])
 
-    return docs.select("text").mapInArrow(run, "h long, id long, size int, pos int")
+    return docs.map(run, "h long, id long, size int, pos int")
 
 
 def _verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -457,12 +461,12 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     rows = Stored(_texts(docs), "texts").df
     texts = Stored(rows.groupBy("key", "id").agg(F.min("doc_id").alias("least")), "keys").df
     count = texts.count()
-    one = key_filter(texts.select(F.col("least").alias("doc_id")), count)  # one document a text and few others
-    met = Stored(_met(docs.where(one("doc_id"))), "met").df
+    one = Chosen(docs, texts.select(F.col("least").alias("doc_id")), count)  # one document a text and few others
+    met = Stored(_met(one), "met").df
     found = Stored(_verified(met, _sets_of(docs, texts, met.select(F.col("a").alias("key")).union(met.select("b")).distinct(), "met-sets")), "found").df
     early = Stored(components(found, "a", "b"), "early").df
     cells = 1 << max(16, min(CELLS_MAX.bit_length() - 1, (32 * count).bit_length()))
-    prefixes = Stored(_prefixes(docs.where(one("doc_id")), cells), "prefixes").df
+    prefixes = Stored(_prefixes(one, cells), "prefixes").df
     shared = Stored(prefixes.groupBy("h").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo <> hi").select("h"), "shared").df
     again = key_filter(shared, shared.count())
     listed = prefixes.where(again("h")).join(shared, "h").distinct().join(texts.select("id", "key"), "id").select("h", "key", "size", "pos")

@@ -6,6 +6,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 import xxhash
 from pyspark.sql import functions as F
@@ -13,6 +14,7 @@ from pyspark.sql import types as T
 
 from fadestream.llm import exact_dedup as ed
 from fadestream.llm import simhash as sh
+from fadestream.llm.common import Stored
 from fadestream.llm.components import components
 from fadestream.llm.line_dedup import MIN_CHARS, intervals, line_dedup
 from fadestream.llm.line_dedup import repeated_runs as line_runs
@@ -257,6 +259,44 @@ def test_near_copies_come_from_fingerprints_first(spark, monkeypatch):
     assert all(out[i] // 3 == i // 3 for i in range(18)) and out[18] == 18 and out[19] == 19
 
 
+def most_python_nodes(plan):
+    """The most Python nodes between two exchanges of a plan's text: so many processes a task of that stage holds at once."""
+    most, above = 0, []
+    for line in plan.splitlines():
+        name = line.lstrip(" :+-*(0123456789)")
+        depth = len(line) - len(line.lstrip(" :+-"))
+        above = [x for x in above if x[0] < depth]
+        n = 0 if name.startswith("Exchange") else (above[-1][1] if above else 0) + bool(re.match("MapInArrow|ArrowEvalPython|FlatMapGroupsInArrow|MapInPandas", name))
+        above.append((depth, n))
+        most = max(most, n)
+    return most
+
+
+def test_near_copies_hold_one_python_process_a_task_and_small_batches(spark, monkeypatch):
+    """Idle processes live on: two in a row for a task are memory that every later stage lacks (the pipeline was stopped over that)."""
+    seen = []
+
+    class Watched(Stored):
+        def __init__(self, df, label, *args, **options):
+            seen.append((most_python_nodes(df._jdf.queryExecution().executedPlan().toString()), label))
+            super().__init__(df, label, *args, **options)
+
+    monkeypatch.setattr(sh, "Stored", Watched)
+    rng = random.Random(6)
+    base = [[f"t{i}w{rng.randrange(10**6)}" for _ in range(60)] for i in range(50)]
+    assert sh.near_duplicates(table(spark, [" ".join(b[: 60 - cut]) for b in base for cut in (0, 1)])).count() == 100
+    assert max(seen)[0] == 1, max(seen)
+
+    def rows(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_pydict({"n": pa.array([b.nbytes], pa.int64())})
+
+    large = spark.range(0, 4000, 1, 1).select(F.repeat(F.lit("abcd"), 2000).alias("text"))
+    sizes = [r["n"] for r in Stored(large.mapInArrow(rows, "n long"), "sizes").df.collect()]
+    assert max(sizes) < 9_000_000 and sum(sizes) > 32_000_000
+    assert spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch") == "67108864b"
+
+
 def test_near_copies_that_no_text_leads(spark, monkeypatch):
     """Windows that slide along a text: everyone shares shingles with many, is similar to few, and all are one group by steps."""
     monkeypatch.setattr(sh, "BLOCK", 8)
