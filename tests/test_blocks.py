@@ -6,13 +6,14 @@ import tracemalloc
 import numpy as np
 import pytest
 
+from fadestream.functions import kernels
 from fadestream.functions.kernels import Packed, sums_of
 from fadestream.operators.blocks import PointBlock
-from fadestream.operators.features import VIEWS
+from fadestream.operators.features import VIEWS, hash178
 from fadestream.operators.forge import DriftForge
-from fadestream.operators.lloyd import LocalWindow
+from fadestream.operators.lloyd import LocalWindow, lloyd
 from fadestream.plans import catalogue
-from fadestream.plans.experiments import run_grid, whole_block
+from fadestream.plans.experiments import run_cell, run_grid, whole_block
 
 
 def filled(x, held=None, step=7000):
@@ -109,3 +110,50 @@ def test_forged_streams_are_made_of_events(spark, sf_dir, tmp_path, name):
     else:
         error = {(r["p_false"], r["p_miss"]): r["error"] for r in whole}
         assert len(error) == 4 and error[0.0, 0.0] < error[0.0, 0.5]
+
+
+@pytest.mark.parametrize("d", [2, 12, 40])
+def test_followed_windows_have_the_sums_of_the_plain_kernel_and_look_at_few_points(d, monkeypatch):
+    x, seq = points(6000, d), np.repeat(np.arange(12), 500)
+    looked, plain = [], kernels.two_nearest
+    monkeypatch.setattr(kernels, "two_nearest", lambda x, c, guess=None: looked.append(x.shape[1]) or plain(x, c, guess))
+    window = LocalWindow(x, seq, narrow=False)
+    for start in (x[:7], x[3000:3007], x[:7] + 0.01):  # the window goes on from where it was
+        one, two = lloyd(window, start), lloyd(LocalWindow(x, seq, np.ones(len(x))), start)
+        assert one.iterations == two.iterations and np.allclose(one.centroids, two.centroids, atol=1e-9)
+        assert np.allclose(one.errors, two.errors, rtol=1e-11)
+        for name in ("n", "sx", "sxx", "sse"):
+            assert np.allclose(getattr(one.sums, name), getattr(two.sums, name), rtol=1e-9, atol=1e-9)
+    assert 0 < sum(looked) < two.iterations * len(x) * 2
+
+
+def test_policies_of_a_cell_share_their_window(monkeypatch):
+    made = []
+    init = kernels.Followed.__init__
+    monkeypatch.setattr(kernels.Followed, "__init__", lambda self, x, seq: made.append(len(x)) or init(self, x, seq))
+    cell = {"dataset": "x", "eps": 1.0, "k": 3, "m": 2, "rep": 0, "t_max": 4}
+    run_cell(filled(points(3000, 20)), cell, n=50, concepts=1, period=3, tol=0.01, shared_from="best", start_options={})
+    steps = 4 + 3
+    assert sum(n > 50 for n in made) <= 2 * steps  # one of the policies, one of the reference
+
+
+def test_words_of_one_doc_id_are_one_point(spark, tmp_path):
+    rows = [(1, "A b  b"), (2, None), (3, " \t"), (4, "\u00c9 x"), (1, "a")]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    got = {r["doc_id"]: r["x"] for r in hash178(spark, str(tmp_path)).collect()}
+    assert set(got) == {1, 4}
+    assert np.allclose(sorted(got[1])[-2:], [2 / 8**0.5] * 2) and all(abs(np.linalg.norm(x) - 1) < 1e-12 for x in got.values())
+
+
+def test_views_of_texts_hash_a_word_once(spark, sf_dir):
+    plan = hash178(spark, sf_dir)._jdf.queryExecution().executedPlan().toString()
+    assert "md5" not in plan and "Generate" not in plan
+
+
+def test_a_wrong_guess_and_ties_do_not_change_the_nearest():
+    x = np.concatenate([points(5000, 3), np.zeros((3, 3))])
+    c = np.vstack([x[:6], x[2], -np.ones(3), np.ones(3)])
+    want = kernels.nearest(x, c)
+    for guess in (None, np.full(len(x), 8), np.random.default_rng(0).integers(0, 9, len(x)), np.full(len(x), 6)):
+        k, near, then = kernels.two_nearest(kernels.laid(x), c, guess)
+        assert (k == want[0]).all() and np.allclose(near, want[1], atol=1e-9) and (then >= near).all()
