@@ -11,6 +11,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -18,6 +19,7 @@ from pyspark.sql.streaming import StreamingQuery, StreamingQueryListener
 
 from fadestream.functions import vectors as V
 from fadestream.functions.kernels import fading, nearest
+from fadestream.operators.distance import block
 from fadestream.operators.engine import FadingClusterer, StepResult
 from fadestream.operators.lloyd import LocalWindow, lloyd
 from fadestream.operators.seeding import local_kmpp
@@ -82,44 +84,64 @@ def fit_event_time(events: DataFrame, ts: str, width_seconds: int, t_max: int, s
 KEYED_OUT = "key string, batch_seq long, k int, n long, c array<double>, faded_error double, iterations int"
 
 
+def _packed(points: DataFrame, key: str) -> DataFrame:
+    """key, d, xs: the points of a key in an Arrow batch as one row of bytes. A group goes to its function in chunks of rows, each with
+    the key's whole state, so groups should have few rows."""
+    rows = points.select(F.col(key).cast("string").alias("key"), "x")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            if not b.num_rows:
+                continue
+            d = len(b.column(1)[0])
+            x, told = block(b.column(1), d), b.column(0).dictionary_encode(null_encoding="encode")
+            at = told.indices.to_numpy()
+            xs = [x[at == i].tobytes() for i in range(len(told.dictionary))]
+            yield pa.RecordBatch.from_arrays([told.dictionary, pa.array([d] * len(xs), pa.int32()), pa.array(xs, pa.binary())], names=["key", "d", "xs"])
+
+    return rows.mapInArrow(run, "key string, d int, xs binary")
+
+
 def fit_keyed(points: DataFrame, key: str, k: int, rho: float, t_max: int, start: str = "pair", seed: int = 0) -> DataFrame:
     """One fading model a key, in keyed state; every micro-batch in which a key has rows is a batch of that key's stream.
 
-    State holds the retained points of the key (t_max batches) and its last model. One exchange by key, no driver step.
+    State holds the points of the key that the next batch finds retained (t_max - 1 batches) and its last model. One exchange by key, no
+    driver step.
     """
     schema = "seq long, models string, seqs binary, xs binary"  # numbers as bytes: a list of lists costs an object a coordinate
 
     def step(group: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:  # noqa: ANN001
-        parts = [np.stack(f["x"].to_numpy()) for f in frames if len(f)]
+        parts = [np.frombuffer(xs).reshape(-1, d) for f in frames for d, xs in zip(f["d"], f["xs"], strict=True)]
         seq, model, seqs, xs = state.get if state.exists else (-1, "", b"", b"")
         if not parts:
             return
         new = np.concatenate(parts)
         new = new[np.lexsort(new.T[::-1])]
         seq += 1
-        seqs, x = np.frombuffer(seqs, dtype=np.int64), np.frombuffer(xs).reshape(-1, new.shape[1])
-        keep = seqs > seq - t_max
-        x, seqs = np.concatenate([x[keep], new]), np.concatenate([seqs[keep], np.full(len(new), seq)])
+        sizes, x = np.frombuffer(seqs, dtype=np.int64).reshape(-1, 2), np.frombuffer(xs).reshape(-1, new.shape[1])
+        x, seqs = np.concatenate([x, new]), np.concatenate([np.repeat(sizes[:, 0], sizes[:, 1]), np.full(len(new), seq)])
         rng = np.random.default_rng([seed, seq, _crc(group[0])])
         window = LocalWindow(x, seqs)
         weights = lambda s: fading(s, seq, rho)
         newest = LocalWindow(new, np.full(len(new), seq))
         if model:
             before = np.array(json.loads(model))
-            sums = LocalWindow(x, seqs).passes([before])[0]
+            sums = window.passes([before])[0]
             past = past_centres(before, sums, seq, rho, t_max, False)
             fresh, _ = fresh_centres(newest, local_kmpp(new, k, rng))
             c0 = POLICIES[start]().start(past, fresh, float(past.w.sum() + len(new)), rng).c
         else:
             c0 = local_kmpp(new, k, rng)
         r = lloyd(window, c0, weights)
-        state.update((seq, json.dumps(r.centroids.tolist()), seqs.tobytes(), np.ascontiguousarray(x).tobytes()))
+        keep = seqs > seq + 1 - t_max
+        sizes = np.column_stack(np.unique(seqs[keep], return_counts=True)).astype(np.int64)
+        state.update((seq, json.dumps(r.centroids.tolist()), sizes.tobytes(), np.ascontiguousarray(x[keep]).tobytes()))
         n = r.sums.n.sum(axis=0)
         yield pd.DataFrame(
             {"key": [str(group[0])] * k, "batch_seq": [seq] * k, "k": range(k), "n": n.astype(int), "c": r.centroids.tolist(), "faded_error": [r.errors[-1]] * k, "iterations": [r.iterations] * k}
         )
 
-    return points.select(F.col(key).cast("string").alias("key"), "x").groupBy("key").applyInPandasWithState(step, KEYED_OUT, schema, "append", "NoTimeout")
+    return _packed(points, key).groupBy("key").applyInPandasWithState(step, KEYED_OUT, schema, "append", "NoTimeout")
 
 
 def _crc(text: object) -> int:

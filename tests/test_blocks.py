@@ -5,6 +5,7 @@ import tracemalloc
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from fadestream.functions import kernels
 from fadestream.functions.kernels import Packed, sums_of
@@ -14,6 +15,7 @@ from fadestream.operators.forge import DriftForge
 from fadestream.operators.lloyd import LocalWindow, lloyd
 from fadestream.plans import catalogue
 from fadestream.plans.experiments import run_cell, run_grid, whole_block
+from fadestream.streaming import fit
 
 
 def filled(x, held=None, step=7000):
@@ -157,3 +159,43 @@ def test_a_wrong_guess_and_ties_do_not_change_the_nearest():
     for guess in (None, np.full(len(x), 8), np.random.default_rng(0).integers(0, 9, len(x)), np.full(len(x), 6)):
         k, near, then = kernels.two_nearest(kernels.laid(x), c, guess)
         assert (k == want[0]).all() and np.allclose(near, want[1], atol=1e-9) and (then >= near).all()
+
+
+def test_large_narrow_windows_are_followed(monkeypatch):
+    """Every pass of keyed state took all points of its window by the plain kernel before."""
+    x = np.rint(points(30_000, 4) * 10)
+    seq = np.repeat([3, 4], 15_000)
+    start = x[[0, 9000, 20_000]]
+    want = lloyd(LocalWindow(x, seq, np.ones(len(x))), start, lambda s: 0.5 ** (4.0 - s))
+    looked = []
+    plain, two = kernels.sums_of, kernels.two_nearest
+    monkeypatch.setattr("fadestream.operators.lloyd.sums_of", lambda x, *a: looked.append(len(x)) or plain(x, *a))
+    monkeypatch.setattr(kernels, "two_nearest", lambda x, *a: looked.append(x.shape[1]) or two(x, *a))
+    got = lloyd(LocalWindow(x, seq), start, lambda s: 0.5 ** (4.0 - s))
+    assert got.iterations == want.iterations and (got.sums.n == want.sums.n).all()
+    assert np.allclose(got.centroids, want.centroids, rtol=1e-12, atol=1e-9)
+    assert np.allclose(got.sums.sse, want.sums.sse, rtol=1e-9)
+    assert sum(looked) < len(x) * got.iterations / 2
+    mixed = np.tile([4, 3], 15_000)
+    assert np.allclose(LocalWindow(x, mixed).passes([start])[0].sx, plain(x, mixed, start).sx)
+
+
+def test_keyed_points_travel_in_few_rows(spark, tmp_path):
+    """A group of many rows goes to its function in chunks, each with the key's whole state: points of a key were rows of their own before."""
+    x = np.rint(points(6000, 4))
+    keys = ["a", "b", None]
+    rows = [(keys[i % 3], v.tolist()) for i, v in enumerate(x)]
+    df = spark.createDataFrame(rows, "u string, x array<double>").coalesce(2)
+    got = fit._packed(df, "u").collect()
+    assert len(got) <= 3 * 2
+    for i, key in enumerate(keys):
+        mine = np.concatenate([np.frombuffer(r["xs"]).reshape(-1, r["d"]) for r in got if r["key"] == key])
+        assert sorted(map(tuple, mine)) == sorted(map(tuple, x[i::3]))
+    for _ in range(3):
+        df.coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    out = fit.fit_keyed(fit.file_stream(spark, str(tmp_path / "in"), "u string, x array<double>"), "u", 3, 0.5, 2)
+    q = out.writeStream.outputMode("append").format("memory").queryName("keyed_few").option("checkpointLocation", str(tmp_path / "cp")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert max(o["memoryUsedBytes"] for o in q.lastProgress["stateOperators"]) < 2.5 * x.nbytes  # two versions of one batch each, not of two
+    facts = spark.table("keyed_few").groupBy("key", "batch_seq").agg(F.sum("n").alias("n")).collect()
+    assert sorted((r["key"], r["batch_seq"], r["n"]) for r in facts) == [(k, b, 2000 if b == 0 else 4000) for k in ("None", "a", "b") for b in range(3)]
