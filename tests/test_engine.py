@@ -439,3 +439,23 @@ def test_theory_and_sources_read_tables(spark, sf_dir, tmp_path, name):
         spark.read.parquet(f"{sf_dir}/{t}.parquet").where(by).write.parquet(str(tmp_path / f"{t}.parquet"))
     whole, part = ({tuple(r) for r in catalogue.QUERIES[name](spark, d).collect()} for d in (sf_dir, str(tmp_path)))
     assert whole and part and whole != part
+
+
+def test_growing_window_keeps_few_candidates():
+    """Once the list of next candidates had been made wide, while there were few points, passes looked through all marks."""
+    rng = np.random.default_rng(4)
+    grown, plain = GrowingWindow(3, 2), []
+    f = FadingClusterer(3, 1.0, None, "carry", grown=grown)
+    grown.AHEAD = 500
+    listed = []
+    for s in range(60):
+        x = np.rint(rng.normal(scale=30, size=(200, 4)) + 100 * rng.integers(0, 3, 200)[:, None])
+        plain.append(x)
+        r = f.step(x, s, seeds=plain[0][[0, 50, 100]])
+        horizon, near = grown._ahead()
+        listed.append(len(near))
+        late = np.setdiff1d(np.arange(grown.n), near)
+        assert (grown.mark[late] > horizon).all() and horizon >= grown.way  # no point is left out
+    assert max(listed[20:]) < 3000 < grown.n
+    want = sums_of(np.concatenate(plain), np.zeros(grown.n, dtype=int), r.centroids)
+    assert (r.sums.n.sum(axis=0) == want.n[0]).all() and np.allclose(r.sums.sx.sum(axis=0), want.sx[0], rtol=0, atol=0)
